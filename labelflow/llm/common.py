@@ -33,8 +33,10 @@ def shared_dir(spark: SparkSession) -> str:
 
 
 def new_path(spark: SparkSession, label: str) -> str:
-    """A fresh path in the shared folder, removed when the driver process ends."""
-    path = f"{shared_dir(spark)}/labelflow-{label}-{uuid.uuid4().hex}"
+    """A fresh, fully qualified path in the shared folder, removed when the driver process ends."""
+    where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(f"{shared_dir(spark)}/labelflow-{label}-{uuid.uuid4().hex}")
+    path = where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).makeQualified(where).toString()
+    path = path.replace("file:/", "file:///", 1) if path.startswith("file:/") and not path.startswith("file://") else path
     atexit.register(_quiet_remove, spark, path)
     return path
 
