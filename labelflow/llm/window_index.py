@@ -330,7 +330,7 @@ def _remove(width: int):
 def remove_flagged(docs: DataFrame, flags: DataFrame, width: int = WIDTH) -> DataFrame:
     """Documents without the words that flagged windows cover: doc_id, n_words, n_removed, kept_sha256, kept (UTF-8)."""
     mine = flags.groupBy("doc_id").agg(F.collect_list("hashes").alias("hashes"))
-    smallest = F.lit(np.iinfo(np.int64).min.item())
+    smallest = F.lit(int(np.iinfo(np.int64).min))
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), binary_text().alias("raw"))
     rows = rows.withColumn("key", F.coalesce("doc_id", smallest)).join(mine.withColumnRenamed("doc_id", "key"), "key", "left")
     return rows.select("doc_id", "raw", "hashes").mapInArrow(_remove(width), "doc_id long, n_words long, n_removed long, kept_sha256 string, kept binary")
