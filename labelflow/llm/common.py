@@ -1,19 +1,16 @@
-"""Shared pieces of the training-data operators: work folder, materialised stages, table readers, Arrow helpers."""
+"""Shared pieces of the training-data operators: table readers, text columns, Arrow helpers."""
 
 from __future__ import annotations
 
-import atexit
-import gc
-import uuid
-from collections.abc import Iterator
-from contextlib import contextmanager
-
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-CLEANUP_KEY = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+from labelflow.plans.stage import materialise, new_path, release, remove_path, shared_dir, shuffle_cleanup
+
+__all__ = ["ascii_lower", "binary_text", "doc_bucket", "id_column", "materialise", "new_path", "partitions_for", "release", "remove_path", "shared_dir", "shuffle_cleanup", "table"]
+
 MASK64 = (1 << 64) - 1
 
 
@@ -22,69 +19,6 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors see: spark.checkpoint.dir of the session; a local one only in local mode."""
-    found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
-    if found:
-        return found.rstrip("/")
-    if not spark.sparkContext.master.startswith("local"):
-        raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
-    return "file:///tmp/labelflow-checkpoints"
-
-
-def new_path(spark: SparkSession, label: str) -> str:
-    """A fresh, fully qualified path in the shared folder, removed when the driver process ends."""
-    where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(f"{shared_dir(spark)}/labelflow-{label}-{uuid.uuid4().hex}")
-    path = where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).makeQualified(where).toString()
-    path = path.replace("file:/", "file:///", 1) if path.startswith("file:/") and not path.startswith("file://") else path
-    atexit.register(_quiet_remove, spark, path)
-    return path
-
-
-def remove_path(spark: SparkSession, path: str) -> None:
-    jvm = spark.sparkContext._jvm
-    where = jvm.org.apache.hadoop.fs.Path(path)
-    where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
-
-
-def _quiet_remove(spark: SparkSession, path: str) -> None:
-    try:
-        if spark.sparkContext._jsc is not None:
-            remove_path(spark, path)
-    except Exception:  # noqa: BLE001  the session may be gone at interpreter exit
-        return
-
-
-@contextmanager
-def shuffle_cleanup(spark: SparkSession) -> Iterator[None]:
-    """Drop a query's shuffle files once it has been written; only matters for operators of several jobs."""
-    before = spark.conf.get(CLEANUP_KEY, "false")
-    spark.conf.set(CLEANUP_KEY, "true")
-    try:
-        yield
-    finally:
-        spark.conf.set(CLEANUP_KEY, before)
-
-
-def materialise(df: DataFrame, label: str) -> DataFrame:
-    """Write a stage to the shared folder and read it back: lineage ends, and a lost executor loses nothing."""
-    spark = df.sparkSession
-    path = new_path(spark, label)
-    with shuffle_cleanup(spark):
-        df.write.parquet(path)
-    gc.collect()
-    out = spark.read.schema(df.schema).parquet(path)
-    out._labelflow_path = path
-    return out
-
-
-def release(df: DataFrame) -> None:
-    """Remove the files of a materialised stage that nothing reads any more."""
-    path = getattr(df, "_labelflow_path", None)
-    if path:
-        remove_path(df.sparkSession, path)
-
-
 def partitions_for(spark: SparkSession, rows: int, rows_each: int, least: int | None = None) -> int:
     """Partitions so that each holds about rows_each rows, and no fewer than the session's shuffle partitions."""
     floor = least if least is not None else int(spark.conf.get("spark.sql.shuffle.partitions"))

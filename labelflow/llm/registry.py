@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from labelflow.llm import exact_dedup, window_index
+from labelflow.llm import exact_dedup, simhash, window_index
 from labelflow.llm.common import table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -20,6 +20,10 @@ def op6_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return window_index.substring_dedup(table(spark, sf_dir, "documents"))
 
 
+def op10_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return simhash.near_duplicates(table(spark, sf_dir, "documents"))
+
+
 SQL_OP3 = r"""
 WITH n AS (SELECT doc_id, length(coalesce(text, '')) AS n_points, regexp_replace(coalesce(text, ''), '[\x20\x09-\x0D]', '', 'g') AS norm FROM documents),
 r AS (SELECT *, row_number() OVER (PARTITION BY norm ORDER BY n_points DESC, doc_id) AS place, count(*) OVER (PARTITION BY norm) AS group_size,
@@ -43,6 +47,7 @@ def queries() -> dict[str, Query]:
     return {
         "op3_exact_dedup": op3_exact_dedup,
         "op6_substring_dedup": op6_substring_dedup,
+        "op10_simhash": op10_simhash,
     }
 
 
