@@ -5,9 +5,10 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from labelflow.llm import decontaminate, exact_dedup, simhash, window_index
-from labelflow.llm.common import table
+from labelflow.llm import decontaminate, exact_dedup, simhash, toxicity, window_index
+from labelflow.llm.common import doc_bucket, table
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -25,6 +26,13 @@ def op6_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return window_index.substring_dedup(table(spark, sf_dir, "documents"))
 
 
+def op8_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    model = toxicity.train(docs, table(spark, sf_dir, "labels"))
+    scored = toxicity.score(docs, model)
+    return scored.select("doc_id", (doc_bucket("doc_id", 4) == 2).alias("held_out"), F.col("_score").alias("score"), (F.col("_score") >= 0.3).cast("int").alias("predicted"))
+
+
 def op10_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.near_duplicates(table(spark, sf_dir, "documents"))
 
@@ -66,6 +74,7 @@ def queries() -> dict[str, Query]:
         "op1_decontaminate": op1_decontaminate,
         "op3_exact_dedup": op3_exact_dedup,
         "op6_substring_dedup": op6_substring_dedup,
+        "op8_toxicity": op8_toxicity,
         "op10_simhash": op10_simhash,
     }
 
