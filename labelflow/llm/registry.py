@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from labelflow.llm import decontaminate, exact_dedup, simhash, toxicity, window_index
+from labelflow.llm import decontaminate, exact_dedup, language_id, simhash, toxicity, window_index
 from labelflow.llm.common import doc_bucket, table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -26,6 +26,13 @@ def op6_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return window_index.substring_dedup(table(spark, sf_dir, "documents"))
 
 
+def op7_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    model = language_id.train(docs)
+    found = language_id.predict(docs.select("doc_id", "text"), model)
+    return found.select("doc_id", (doc_bucket("doc_id", 3) == 1).alias("held_out"), F.col("_lang").alias("lang_pred"), F.col("_score").alias("score"))
+
+
 def op8_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     model = toxicity.train(docs, table(spark, sf_dir, "labels"))
@@ -74,6 +81,7 @@ def queries() -> dict[str, Query]:
         "op1_decontaminate": op1_decontaminate,
         "op3_exact_dedup": op3_exact_dedup,
         "op6_substring_dedup": op6_substring_dedup,
+        "op7_language_id": op7_language_id,
         "op8_toxicity": op8_toxicity,
         "op10_simhash": op10_simhash,
     }
