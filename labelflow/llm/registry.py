@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from labelflow.llm import chat_format, decontaminate, exact_dedup, language_id, simhash, toxicity, window_index
+from labelflow.llm import chat_format, decontaminate, exact_dedup, language_id, simhash, toxicity, web_archive, window_index
 from labelflow.llm.common import doc_bucket, table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -18,6 +18,10 @@ def op1_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", "n_words", "n_hit", "n_items", "items_sha256", "contaminated")
 
 
+def op2_web_archive(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return web_archive.round_trip(table(spark, sf_dir, "pages")).select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
+
+
 def op3_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup.exact_dedup(table(spark, sf_dir, "documents"))
 
@@ -64,6 +68,13 @@ SELECT w.doc_id, len(words) AS n_words, coalesce(n_hit, 0) AS n_hit, coalesce(n_
 FROM w LEFT JOIN covered USING (doc_id) LEFT JOIN items USING (doc_id)
 """
 
+SQL_OP2 = r"""
+WITH p AS (SELECT page_id, coalesce(html, '') AS html, strlen(coalesce(html, '')) AS n FROM pages),
+r AS (SELECT *, max(page_id) OVER (PARTITION BY html) AS first_id FROM p)
+SELECT page_id, n AS payload_bytes, sha1(html) AS payload_digest, CASE WHEN n >= 1000 AND page_id <> first_id THEN 'revisit' ELSE 'response' END AS record_type,
+       CASE WHEN n >= 1000 AND page_id <> first_id THEN first_id END AS refers_to FROM r
+"""
+
 SQL_OP3 = r"""
 WITH n AS (SELECT doc_id, length(coalesce(text, '')) AS n_points, regexp_replace(coalesce(text, ''), '[\x20\x09-\x0D]', '', 'g') AS norm FROM documents),
 r AS (SELECT *, row_number() OVER (PARTITION BY norm ORDER BY n_points DESC, doc_id) AS place, count(*) OVER (PARTITION BY norm) AS group_size,
@@ -102,6 +113,7 @@ FROM f
 def queries() -> dict[str, Query]:
     return {
         "op1_decontaminate": op1_decontaminate,
+        "op2_web_archive": op2_web_archive,
         "op3_exact_dedup": op3_exact_dedup,
         "op6_substring_dedup": op6_substring_dedup,
         "op7_language_id": op7_language_id,
@@ -114,6 +126,7 @@ def queries() -> dict[str, Query]:
 def oracle_sql() -> dict[str, str]:
     return {
         "op1_decontaminate": SQL_OP1,
+        "op2_web_archive": SQL_OP2,
         "op3_exact_dedup": SQL_OP3,
         "op6_substring_dedup": SQL_OP6,
         "op9_chat_format": SQL_OP9,
