@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from labelflow.llm import chat_format, decontaminate, exact_dedup, language_id, simhash, toxicity, web_archive, window_index
+from labelflow.llm import chat_format, decontaminate, exact_dedup, language_id, sharding, simhash, toxicity, web_archive, window_index
 from labelflow.llm.common import doc_bucket, table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -26,6 +26,11 @@ def op3_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup.exact_dedup(table(spark, sf_dir, "documents"))
 
 
+def op4_kd_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
+    placed = sharding.kd_shards(table(spark, sf_dir, "documents"))
+    return placed.select("doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"))
+
+
 def op6_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return window_index.substring_dedup(table(spark, sf_dir, "documents"))
 
@@ -115,6 +120,7 @@ def queries() -> dict[str, Query]:
         "op1_decontaminate": op1_decontaminate,
         "op2_web_archive": op2_web_archive,
         "op3_exact_dedup": op3_exact_dedup,
+        "op4_kd_sharding": op4_kd_sharding,
         "op6_substring_dedup": op6_substring_dedup,
         "op7_language_id": op7_language_id,
         "op8_toxicity": op8_toxicity,
