@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from labelflow.llm import chat_format, decontaminate, exact_dedup, language_id, sharding, simhash, toxicity, web_archive, window_index
+from labelflow.llm import chat_format, decontaminate, exact_dedup, language_id, mixing, sharding, simhash, toxicity, web_archive, window_index
 from labelflow.llm.common import doc_bucket, table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -31,6 +31,11 @@ def op4_kd_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return placed.select("doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"))
 
 
+def op5_poisson_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "source")
+    return mixing.mix(docs).select("doc_id", "source", F.round("_rate", 9).alias("rate"), F.col("_copies").cast("long").alias("n_copies"), F.col("_copy").cast("long").alias("copy"), F.col("_key").alias("shuffle_key"))
+
+
 def op6_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return window_index.substring_dedup(table(spark, sf_dir, "documents"))
 
@@ -88,6 +93,19 @@ SELECT doc_id, keep_id, group_size, place = 1 AS kept, sha256(norm) AS text_sha2
 """
 
 
+SQL_OP5 = r"""
+WITH n AS (SELECT source, count(*) AS n FROM documents GROUP BY source),
+r AS (SELECT source, pow(n, 0.7) * (SELECT sum(n) / sum(pow(n, 0.7)) FROM n) / n AS rate FROM n),
+s AS (SELECT source, rate, CAST(greatest(1, ceil(rate / 30.0)) AS INT) AS parts FROM r),
+k AS (SELECT source, rate, parts, unnest(range(0, CAST(ceil(rate / parts + 12 * sqrt(rate / parts) + 20) AS INT) + 1)) AS k FROM s),
+c AS (SELECT source, rate, parts, k, sum(exp(k * ln(rate / parts) - rate / parts - lgamma(k + 1))) OVER (PARTITION BY source ORDER BY k) AS c FROM k),
+d AS (SELECT doc_id, source, unnest(range(0, parts)) AS part FROM documents JOIN s USING (source)),
+u AS (SELECT doc_id, source, CAST('0x' || substr(md5('20240613:' || doc_id || ':' || part), 1, 13) AS BIGINT) / 4503599627370496.0 AS u FROM d),
+m AS (SELECT u.doc_id, u.source, any_value(rate) AS rate, count(*) FILTER (WHERE c.c <= u.u) AS n_copies FROM u JOIN c ON u.source = c.source GROUP BY u.doc_id, u.source),
+e AS (SELECT *, unnest(range(0, n_copies)) AS copy FROM m)
+SELECT doc_id, source, round(rate, 9) AS rate, n_copies, copy, CAST('0x' || substr(md5('20240613/copy:' || doc_id || ':' || copy), 1, 15) AS BIGINT) AS shuffle_key FROM e
+"""
+
 SQL_OP6 = r"""
 WITH w AS (SELECT doc_id, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') AS words FROM documents),
 win AS (SELECT doc_id, i, array_to_string(words[i:i + 12], ' ') AS g FROM (SELECT doc_id, words, unnest(range(1, len(words) - 11)) AS i FROM w)),
@@ -121,6 +139,7 @@ def queries() -> dict[str, Query]:
         "op2_web_archive": op2_web_archive,
         "op3_exact_dedup": op3_exact_dedup,
         "op4_kd_sharding": op4_kd_sharding,
+        "op5_poisson_mix": op5_poisson_mix,
         "op6_substring_dedup": op6_substring_dedup,
         "op7_language_id": op7_language_id,
         "op8_toxicity": op8_toxicity,
@@ -134,6 +153,7 @@ def oracle_sql() -> dict[str, str]:
         "op1_decontaminate": SQL_OP1,
         "op2_web_archive": SQL_OP2,
         "op3_exact_dedup": SQL_OP3,
+        "op5_poisson_mix": SQL_OP5,
         "op6_substring_dedup": SQL_OP6,
         "op9_chat_format": SQL_OP9,
     }
