@@ -24,3 +24,9 @@ def lookup(left: DataFrame, right: DataFrame, keys: list[str], how: str = "left"
     salted = left.withColumn("_salt", F.pmod(by, F.lit(SALTS)).cast("int"))
     spread = right.withColumn("_salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
     return salted.join(spread, [*keys, "_salt"], how).drop("_salt")
+
+
+def without(left: DataFrame, right: DataFrame, keys: list[str], limit: int = BROADCAST_ROWS) -> DataFrame:
+    """Left rows whose key is not in `right` (distinct keys, cheap to count); broadcast behind the same count."""
+    small = right.limit(limit + 1).count() <= limit
+    return left.join(F.broadcast(right) if small else right, keys, "left_anti")
