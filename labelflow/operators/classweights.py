@@ -40,7 +40,7 @@ def component_label() -> Column:
     return class_share(F.col("w0"), F.col("w1"))
 
 
-def initial_labels(new_ids: DataFrame, sub_edges: DataFrame, weights: DataFrame, truth: DataFrame, init: str = "component", method: str = "contract") -> DataFrame:
+def initial_labels(new_ids: DataFrame, sub_edges: DataFrame, weights: DataFrame, truth: DataFrame, init: str = "component", method: str = "auto") -> DataFrame:
     """(node_id, f0, comp_id) of new nodes: 'component' by supernode, 'vertex' each on its own, 'half' neutral. Truth wins."""
     if init == "component":
         comps = connected_components(sub_edges.select("u", "v"), new_ids, method)

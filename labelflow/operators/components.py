@@ -1,10 +1,12 @@
-"""Connected components of an edge table (u, v): hook and jump, star rounds, and contraction by random priority.
+"""Connected components of an edge table (u, v): hook and jump, star rounds, contraction by random priority, and one task.
 
-All three return (node_id, comp_id) with comp_id the smallest id of the component; nodes without edges are their own component.
+All return (node_id, comp_id) with comp_id the smallest id of the component; nodes without edges are their own component.
 """
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -111,11 +113,46 @@ def contract(edges: DataFrame) -> DataFrame:
     return out
 
 
-METHODS = {"hook_jump": hook_jump, "stars": stars, "contract": contract}
+#: Edges that one task may label on its own: about 50 MB of them.
+ONE_TASK_EDGES = 2_000_000
 
 
-def connected_components(edges: DataFrame, nodes: DataFrame | None = None, method: str = "contract") -> DataFrame:
-    """(node_id, comp_id = smallest id of the component). `nodes` adds those without edges."""
+def _label_block(group: pa.Table) -> pa.Table:
+    """Smallest reachable id by repeated minimum and pointer jumping on arrays."""
+    u, v = group["u"].to_numpy(), group["v"].to_numpy()
+    ids, place = np.unique(np.concatenate([u, v]), return_inverse=True)
+    a, b = place[: len(u)], place[len(u) :]
+    par = np.arange(len(ids))
+    while True:
+        before = par.copy()
+        low = np.minimum(par[a], par[b])
+        np.minimum.at(par, par[a], low)
+        np.minimum.at(par, par[b], low)
+        while True:
+            up = par[par]
+            if np.array_equal(up, par):
+                break
+            par = up
+        if np.array_equal(par, before):
+            return pa.table({"node_id": ids, "comp_id": ids[par]})
+
+
+def one_task(edges: DataFrame) -> DataFrame:
+    """All components in one task, for edge sets that the caller has found to be small."""
+    e = edges.select(F.lit(0).alias("k"), F.col("u").cast("long").alias("u"), F.col("v").cast("long").alias("v")).filter("u != v")
+    return e.groupBy("k").applyInArrow(lambda t: _label_block(t), "node_id long, comp_id long")
+
+
+METHODS = {"hook_jump": hook_jump, "stars": stars, "contract": contract, "one_task": one_task}
+
+
+def connected_components(edges: DataFrame, nodes: DataFrame | None = None, method: str = "auto") -> DataFrame:
+    """(node_id, comp_id = smallest id of the component). `nodes` adds those without edges.
+
+    `auto` counts the edges: up to ONE_TASK_EDGES one task labels them, beyond that the graph is contracted by distributed rounds."""
+    if method == "auto":
+        edges = materialise(edges.select("u", "v"), "cc-input")
+        method = "one_task" if edges.count() <= ONE_TASK_EDGES else "contract"
     return _with_isolated(METHODS[method](edges), nodes)
 
 

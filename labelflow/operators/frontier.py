@@ -9,12 +9,13 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from labelflow.functions.fixed import HALF
+from labelflow.functions.fixed import HALF, units
 from labelflow.operators.classweights import contraction, initial_labels
 from labelflow.operators.components import connected_components
 from labelflow.operators.graph import SimilarityGraph, apply_deletes, apply_inserts, new_subgraph, tau_mean
-from labelflow.operators.propagate import Run, free_state, frontier_loop
+from labelflow.operators.propagate import TAIL_ARCS, Run, free_state, frontier_loop
 from labelflow.plans.joins import lookup, without
+from labelflow.plans.local_update import ARC, NODE, SCHEMA, STATE, STEP, TAU, run_update
 from labelflow.plans.stage import materialise
 
 
@@ -38,6 +39,8 @@ def frontier_update(g: SimilarityGraph, labels: DataFrame | None, ins: DataFrame
     `labels` (node_id, f) are those before the batch; `ins` (node_id, truth), `ins_edges` (u, v, w) and `dels` (node_id) the batch. Deletes go
     first. `tau` is a number or 'mean', the mean edge weight; it only gates the subgraph of new nodes, unless tau_gates_graph."""
     begun = time.monotonic()
+    if plan in ("auto", "tail") and g.arcs.count() + (2 * ins_edges.count() if ins_edges is not None else 0) <= TAIL_ARCS:
+        return _one_task_update(g, labels, ins, ins_edges, dels, tau, delta, init, commit_small, schedule, max_steps, tau_gates_graph, begun)
     affected = None
     if dels is not None:
         g, affected = apply_deletes(g, dels)
@@ -65,6 +68,35 @@ def frontier_update(g: SimilarityGraph, labels: DataFrame | None, ins: DataFrame
     return Update(g, run, float(tau) if tau != "mean" else 0.0, hot, setup)
 
 
+def _one_task_update(g, labels, ins, ins_edges, dels, tau, delta, init, commit_small, schedule, max_steps, gates, begun) -> Update:
+    """The whole batch in one task; sizes have been checked."""
+    blank = F.lit(None).cast("long")
+    live = g.nodes.select("node_id", F.col("truth").cast("long").alias("truth"))
+    live = live.join(labels.select("node_id", "f"), "node_id", "left") if labels is not None else live.withColumn("f", blank)
+    left = live.withColumn("kind", F.lit(0))
+    right = g.arcs.select("src", "dst", F.col("w").cast("long").alias("w"), F.lit(0).alias("kind"))
+    if ins is not None:
+        left = left.unionByName(ins.select("node_id", F.col("truth").cast("long").alias("truth"), blank.alias("f"), F.lit(1).alias("kind")))
+        right = right.unionByName(ins_edges.select(F.col("u").alias("src"), F.col("v").alias("dst"), F.col("w").cast("long").alias("w"), F.lit(1).alias("kind")))
+    if dels is not None:
+        left = left.unionByName(dels.select("node_id", blank.alias("truth"), blank.alias("f"), F.lit(2).alias("kind")))
+    fixed, limit = None if tau == "mean" else float(tau), units(delta)
+
+    def kernel(a, b):
+        return run_update(a, b, fixed, gates, limit, init, max_steps, commit_small, schedule)
+
+    out = left.withColumn("k", F.lit(0)).groupBy("k").cogroup(right.withColumn("k", F.lit(0)).groupBy("k")).applyInArrow(kernel, SCHEMA)
+    done = materialise(out, "update")
+    small = done.filter(F.col("kind").isin(STEP, TAU)).orderBy("w1").collect()  # one row a superstep
+    steps = [(r.i, r.j, r.f, r.w0) for r in small if r.kind == STEP]
+    state = done.filter(F.col("kind") == STATE)
+    graph = SimilarityGraph(done.filter(F.col("kind") == NODE).select(F.col("i").alias("node_id"), F.col("j").cast("int").alias("truth")), done.filter(F.col("kind") == ARC).select(F.col("i").alias("src"), F.col("j").alias("dst"), F.col("f").alias("w")))
+    converged = not steps or steps[-1][1] == 0 or len(steps) < max_steps
+    took = time.monotonic() - begun
+    run = Run(state.select(F.col("i").alias("node_id"), "f", "w0", "w1", "w_all"), steps, took, "tail", converged)
+    return Update(graph, run, next((r.x for r in small if r.kind == TAU), 0.0), state.filter("hot").select(F.col("i").alias("node_id")), 0.0)
+
+
 def reached(g: SimilarityGraph) -> DataFrame:
     """(node_id, reached): whether a node's component holds any ground truth; labels are unique only there."""
     comps = materialise(connected_components(g.arcs.filter("src < dst").select(F.col("src").alias("u"), F.col("dst").alias("v")), g.nodes.select("node_id")), "graph-comps")

@@ -138,7 +138,7 @@ def _tail(state: DataFrame, arcs: DataFrame, hot: DataFrame | None, run) -> tupl
 
 
 def _fits(arcs: DataFrame) -> bool:
-    return arcs.limit(TAIL_ARCS + 1).count() <= TAIL_ARCS
+    return arcs.count() <= TAIL_ARCS
 
 
 def frontier_loop(state: DataFrame, arcs: DataFrame, hot: DataFrame, delta: float = 1e-4, plan: str = "auto", max_steps: int = MAX_STEPS, commit_small: bool = False, schedule: str = "sync", form: str = "average") -> Run:

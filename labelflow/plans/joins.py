@@ -18,7 +18,7 @@ def lookup(left: DataFrame, right: DataFrame, keys: list[str], how: str = "left"
     """
     if how not in ("left", "inner"):
         raise ValueError("lookup joins are left or inner")
-    if right.limit(limit + 1).count() <= limit:
+    if right.count() <= limit:
         return left.join(F.broadcast(right), keys, how)
     by = F.xxhash64(salt_by) if salt_by else F.xxhash64(*[c for c in left.columns])
     salted = left.withColumn("_salt", F.pmod(by, F.lit(SALTS)).cast("int"))
@@ -28,5 +28,5 @@ def lookup(left: DataFrame, right: DataFrame, keys: list[str], how: str = "left"
 
 def without(left: DataFrame, right: DataFrame, keys: list[str], limit: int = BROADCAST_ROWS) -> DataFrame:
     """Left rows whose key is not in `right` (distinct keys, cheap to count); broadcast behind the same count."""
-    small = right.limit(limit + 1).count() <= limit
+    small = right.count() <= limit
     return left.join(F.broadcast(right) if small else right, keys, "left_anti")

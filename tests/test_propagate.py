@@ -152,7 +152,7 @@ def test_hook_and_jump_trace(spark):
     assert as_map(trace[1]) == {8: 8, 9: 8, 10: 8}
 
 
-@pytest.mark.parametrize("method", ["hook_jump", "stars", "contract"])
+@pytest.mark.parametrize("method", ["hook_jump", "stars", "contract", "one_task", "auto"])
 def test_components(spark, method):
     edges = spark.createDataFrame([(2, 9), (9, 1), (1, 8), (8, 0), (20, 21), (22, 21), (5, 5)], "u long, v long")
     nodes = spark.createDataFrame([(i,) for i in (0, 1, 2, 8, 9, 20, 21, 22, 30)], "node_id long")
