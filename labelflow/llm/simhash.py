@@ -191,7 +191,7 @@ def components(docs: DataFrame, shingle: int = 4, radius: int = 4, slices: int =
     """(doc_id, print, component_id): the smallest doc_id that links lead to."""
     rows = materialise(fingerprints(docs, shingle), "simhash")
     nodes = materialise(rows.groupBy("print").agg(F.min("doc_id").alias("least")), "prints")
-    joined = connected_components(links(nodes, radius, slices)).select(F.col("node_id").alias("print"), "comp_id")
+    joined = connected_components(links(nodes, radius, slices), method="contract").select(F.col("node_id").alias("print"), "comp_id")
     placed = nodes.join(joined, "print", "left").withColumn("comp", F.coalesce("comp_id", "print"))
     linked = materialise(placed.filter("comp_id is not null").groupBy("comp").agg(F.min("least").alias("component_id")), "linked")
     alone = placed.filter("comp_id is null").select("print", F.col("least").alias("component_id"))
