@@ -573,7 +573,7 @@ _CUT = round(1_000_000 * 0.01 / 0.91)
 _DEL = round(1_000_000 * 0.09 / 0.91)
 
 
-@query("make_batches_90_1_9", f"WITH {sql.NODES}, r AS (SELECT *, CAST(h % 10 AS INT) AS batch_id FROM {hash_sql(hash_sql('nodes', 'node_id', 3), 'node_id', 4, 'h2')}) SELECT batch_id, 'ins' AS op, node_id, CASE WHEN h2 % 1000000 < {_CUT} THEN truth END AS truth FROM r UNION ALL SELECT CAST(batch_id + 1 + h2 % (9 - batch_id) AS INT), 'del', node_id, NULL FROM r WHERE batch_id < 9 AND (h2 // 1000) % 1000000 < {_DEL}")
+@query("make_batches_90_1_9", f"WITH {sql.NODES}, r AS (SELECT *, CAST(h % 10 AS INT) AS batch_id FROM {hash_sql(hash_sql(hash_sql('nodes', 'node_id', 3), 'node_id', 4, 'h2'), 'node_id', 5, 'h3')}) SELECT batch_id, 'ins' AS op, node_id, CASE WHEN h2 % 1000000 < {_CUT} THEN truth END AS truth FROM r UNION ALL SELECT CAST(batch_id + 1 + h2 % (9 - batch_id) AS INT), 'del', node_id, NULL FROM r WHERE batch_id < 9 AND h3 % 1000000 < {_DEL}")
 def make_batches(spark, sf_dir):
     return graph.make_batches(graph.order_part(read(spark, sf_dir, "orders"), read(spark, sf_dir, "lineitem"))[0], 10)
 

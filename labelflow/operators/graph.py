@@ -130,14 +130,16 @@ def make_batches(nodes: DataFrame, n_batches: int, mix: tuple[float, float, floa
     Deletions are drawn with replacement, as the same node may be hit by two batches; the graph never loses all nodes, since a batch
     only deletes among earlier ones."""
     unlabelled, labelled, deleted = mix
-    rows = with_hash(with_hash(nodes.select("node_id", "truth"), "h", "node_id", salt), "h2", "node_id", salt + 1)
+    rows = nodes.select("node_id", "truth")
+    for name, s in (("h", salt), ("h2", salt + 1), ("h3", salt + 2)):
+        rows = with_hash(rows, name, "node_id", s)
     rows = rows.withColumn("batch_id", (F.col("h") % n_batches).cast("int"))
     cut = round(1_000_000 * labelled / (unlabelled + labelled))
     ins = rows.select("batch_id", F.lit("ins").alias("op"), "node_id", F.when(F.col("h2") % 1_000_000 < cut, F.col("truth")).alias("truth"))
     # a node of batch b is deleted by batch b + 1 + (h2 mod rest) with the share that keeps deletions at their part of a batch
     rest = n_batches - 1 - F.col("batch_id")
     share = round(1_000_000 * deleted / (unlabelled + labelled))
-    dels = rows.filter((rest > 0) & (F.floor(F.col("h2") / 1000) % 1_000_000 < share))
+    dels = rows.filter((rest > 0) & (F.col("h3") % 1_000_000 < share))
     dels = dels.select((F.col("batch_id") + 1 + F.col("h2") % F.greatest(rest, F.lit(1))).cast("int").alias("batch_id"), F.lit("del").alias("op"), "node_id", F.lit(None).cast("int").alias("truth"))
     return ins.withColumn("truth", F.col("truth").cast("int")).unionByName(dels)
 
