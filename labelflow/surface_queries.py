@@ -420,13 +420,13 @@ def classify_builtin(spark, sf_dir):
     return propagate.classify(_swept(spark, sf_dir, 5)[2].state).select("node_id", "class")
 
 
-@query("udaf_weighted_mean", "SELECT l_orderkey, round(sum(l_quantity * l_discount) / sum(l_quantity), 6) AS mean FROM lineitem GROUP BY 1")
+@query("udaf_weighted_mean", "SELECT l_orderkey, round(sum(l_quantity * l_discount) / sum(l_quantity), 10) AS mean FROM lineitem GROUP BY 1")
 def udaf_weighted_mean(spark, sf_dir):
     @F.pandas_udf("double")
     def mean(w: pd.Series, x: pd.Series) -> float:
         return float((w * x).sum() / w.sum())
 
-    return read(spark, sf_dir, "lineitem").groupBy("l_orderkey").agg(F.round(mean("l_quantity", "l_discount"), 6).alias("mean"))
+    return read(spark, sf_dir, "lineitem").groupBy("l_orderkey").agg(F.round(mean("l_quantity", "l_discount"), 10).alias("mean"))
 
 
 @query("udtf_neighbours", f"WITH {sql.EDGES}, {sql.arcs()}, t AS (SELECT src, dst, w, row_number() OVER (PARTITION BY src ORDER BY w DESC, dst) AS r FROM arcs WHERE src % 2 = 1) SELECT src, dst, w FROM t WHERE r <= 3")
