@@ -62,15 +62,15 @@ def window_hashes(words: np.ndarray, width: int) -> np.ndarray:
 
 
 def window_checks(words: np.ndarray, width: int) -> np.ndarray:
-    """16-bit hash of the same windows from other bits of the words, to verify a match of the first."""
+    """32-bit hash of the same windows from other bits of the words, to verify a match of the first."""
     n = len(words) - width + 1
     if n <= 0:
-        return np.empty(0, np.uint16)
+        return np.empty(0, np.uint32)
     turned = _mix(words)
     h = np.zeros(n, np.uint64)
     for j in range(width):
         h += turned[j : j + n] * _FACTORS[1, j]
-    return (_mix(h) >> np.uint64(48)).astype(np.uint16)
+    return (_mix(h) >> np.uint64(32)).astype(np.uint32)
 
 
 def settle(h: np.ndarray, c: np.ndarray, d: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
@@ -160,7 +160,7 @@ def _runs_of(width: int, buckets: int):
                 base, docs = _narrow(ud[lo:hi])
                 rows.append((b, 0, base, uh[lo:hi].tobytes(), uc[lo:hi].tobytes(), docs))
         for doc, raw in zip(*_flag_rows(d[beaten], h[beaten]), strict=True):
-            rows.append((doc % buckets, 1, doc, raw, b"", b""))
+            rows.append((xxhash.xxh64_intdigest(doc.to_bytes(8, "little", signed=True)) % buckets, 1, doc, raw, b"", b""))
         return _batch(rows)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -185,11 +185,11 @@ def _read_run(path: str, bucket: int) -> tuple[np.ndarray, np.ndarray]:
     store, root = pafs.FileSystem.from_uri(path)
     name = f"{root}/{bucket:08d}.run"
     if store.get_file_info(name).type == pafs.FileType.NotFound:
-        return np.empty(0, np.uint64), np.empty(0, np.uint16)
+        return np.empty(0, np.uint64), np.empty(0, np.uint32)
     with store.open_input_file(name) as f:
         raw = f.read()
-    n = len(raw) // 10
-    return np.frombuffer(raw, np.uint64, n), np.frombuffer(raw, np.uint16, n, offset=8 * n)
+    n = len(raw) // 12
+    return np.frombuffer(raw, np.uint64, n), np.frombuffer(raw, np.uint32, n, offset=8 * n)
 
 
 def _write_run(path: str, bucket: int, h: np.ndarray, c: np.ndarray) -> None:
@@ -216,7 +216,7 @@ def _merge_bucket(history: list[str], target: str):
                 out_flags.append(rh)
             else:
                 hs.append(np.frombuffer(rh, np.uint64))
-                cs.append(np.frombuffer(rc, np.uint16))
+                cs.append(np.frombuffer(rc, np.uint32))
                 ds.append(_widen(base, rd, len(hs[-1])))
         if hs:
             h, c, d = np.concatenate(hs), np.concatenate(cs), np.concatenate(ds)
