@@ -30,7 +30,7 @@ class Update:
 
 def initial_frontier(affected: DataFrame, nodes: DataFrame) -> DataFrame:
     """Affected nodes that are alive and unlabelled."""
-    return lookup(affected.select("node_id").distinct(), materialise(nodes.filter("truth is null").select("node_id"), "alive"), ["node_id"], "inner", "node_id")
+    return lookup(affected.select("node_id").distinct(), materialise(nodes.filter("truth is null").select("node_id"), "alive"), ["node_id"], "inner", "node_id", salts=1)
 
 
 def frontier_update(g: SimilarityGraph, labels: DataFrame | None, ins: DataFrame | None = None, ins_edges: DataFrame | None = None, dels: DataFrame | None = None, tau: float | str = "mean", delta: float = 1e-4, init: str = "component", plan: str = "auto", commit_small: bool = False, schedule: str = "sync", max_steps: int = 100_000, tau_gates_graph: bool = False) -> Update:

@@ -4,10 +4,12 @@ State is (node_id, f, w1, w_all) of unlabelled nodes, labels in whole units; arc
 Ground truth enters through w1 and w_all only. Three plans reach the same labels:
 
 * `sync`    one distributed step at a time, one join and one pre-summed aggregation each, written once a step;
-* `tail`    once the arcs that are left fit TAIL_ARCS, one task finishes the run on a compressed row layout;
+* `tail`    where all arcs fit TAIL_ARCS, one task finishes the run on a compressed row layout;
+* `ball`    where the rows of the hot nodes and of some rings around them fit, one task runs supersteps on them until the frontier
+  reaches a node whose row it does not hold: the same labels, many supersteps for one pass over the arcs;
 * `blocked` nodes are cut into blocks by hash; a stage sweeps every block several times against frozen outside values.
 
-`auto` takes the tail when the whole graph is small enough, else steps in sync until the frontier and its surroundings are.
+`auto` takes the tail when the whole graph is small enough, else the ball when the frontier is, else a step in sync.
 """
 
 from __future__ import annotations
@@ -23,13 +25,17 @@ from pyspark.sql import functions as F
 from labelflow.functions.fixed import HALF, SCALE, rounded_div, units
 from labelflow.operators.classweights import contraction
 from labelflow.operators.graph import SimilarityGraph
-from labelflow.plans.joins import lookup, without
+from labelflow.plans.joins import SALTS, lookup, without
 from labelflow.plans.local import Rows, frontier_steps, relaxed, sweep_steps
 from labelflow.plans.stage import materialise, release
 
 #: Arcs that one task may finish on its own: about 100 MB of them.
 TAIL_ARCS = 2_000_000
 MAX_STEPS = 100_000
+#: Most rings of neighbours that a ball takes in around the frontier.
+RINGS = 6
+#: A node of more arcs makes a join key that is worth salting.
+HUB_ARCS = 1_000_000
 
 
 @dataclass
@@ -71,6 +77,16 @@ def adjust_form(num: Column, f: Column, w1: Column, w_all: Column) -> Column:
 FORMS = {"average": average_form, "adjust": adjust_form}
 
 
+def arc_counts(arcs: DataFrame) -> DataFrame:
+    """(node_id, degree) of nodes with arcs; one aggregation, pre-summed per task."""
+    return arcs.groupBy(F.col("src").alias("node_id")).agg(F.count("*").alias("degree"))
+
+
+def hub_salts(degrees: DataFrame) -> int:
+    """Salts that joins on the arcs' ends need: one where no node is a hub."""
+    return SALTS if (degrees.agg(F.max("degree")).first()[0] or 0) > HUB_ARCS else 1
+
+
 def free_state(g: SimilarityGraph, f0: DataFrame | None = None, default: int = HALF) -> tuple[DataFrame, DataFrame]:
     """(state, arcs_free) of a graph; f0 (node_id, f0) gives starting labels, others start at the default."""
     weights = contraction(g.arcs, g.nodes)
@@ -81,20 +97,21 @@ def free_state(g: SimilarityGraph, f0: DataFrame | None = None, default: int = H
     else:
         state = state.withColumn("f0", F.lit(None).cast("long"))
     state = materialise(state.select("node_id", F.coalesce("f0", F.lit(default)).cast("long").alias("f"), F.coalesce("w0", F.lit(0)).cast("long").alias("w0"), F.coalesce("w1", F.lit(0)).cast("long").alias("w1"), F.coalesce("w_all", F.lit(0)).cast("long").alias("w_all")), "state")
-    arcs = lookup(lookup(g.arcs.select("src", "dst", "w"), free.select(F.col("node_id").alias("src")), ["src"], "inner", "dst"), free.select(F.col("node_id").alias("dst")), ["dst"], "inner", "src")
+    salts = hub_salts(arc_counts(g.arcs))
+    arcs = lookup(lookup(g.arcs.select("src", "dst", "w"), free.select(F.col("node_id").alias("src")), ["src"], "inner", "dst", salts=salts), free.select(F.col("node_id").alias("dst")), ["dst"], "inner", "src", salts=salts)
     return state, materialise(arcs.select("src", "dst", "w"), "arcs-free")
 
 
-def neighbour_sums(arcs: DataFrame, state: DataFrame, hot: DataFrame | None = None, weighted: bool = True) -> DataFrame:
+def neighbour_sums(arcs: DataFrame, state: DataFrame, hot: DataFrame | None = None, weighted: bool = True, salts: int = SALTS) -> DataFrame:
     """(node_id, num): weighted neighbour labels of the hot nodes, of all where hot is None."""
-    part = arcs if hot is None else lookup(arcs, hot.select(F.col("node_id").alias("src")), ["src"], "inner", "dst")
-    seen = lookup(part, state.select(F.col("node_id").alias("dst"), F.col("f").alias("far")), ["dst"], "inner", "src")
+    part = arcs if hot is None else lookup(arcs, hot.select(F.col("node_id").alias("src")), ["src"], "inner", "dst", salts=salts)
+    seen = lookup(part, state.select(F.col("node_id").alias("dst"), F.col("f").alias("far")), ["dst"], "inner", "src", salts=salts)
     return seen.groupBy(F.col("src").alias("node_id")).agg(F.sum((F.col("w") if weighted else F.lit(1)) * F.col("far")).alias("num"))
 
 
-def relax(state: DataFrame, arcs: DataFrame, hot: DataFrame | None = None, form: str = "average") -> DataFrame:
+def relax(state: DataFrame, arcs: DataFrame, hot: DataFrame | None = None, form: str = "average", salts: int = SALTS) -> DataFrame:
     """(state columns, new): the updated label of hot nodes, null for others and for nodes without neighbours."""
-    sums = neighbour_sums(arcs, state, hot)
+    sums = neighbour_sums(arcs, state, hot, salts=salts)
     rows = state.join(sums, "node_id", "left")
     if hot is not None:
         rows = rows.join(hot.select("node_id", F.lit(True).alias("is_hot")), "node_id", "left")
@@ -105,9 +122,9 @@ def relax(state: DataFrame, arcs: DataFrame, hot: DataFrame | None = None, form:
     return rows.withColumn("new", new).drop("num", "is_hot")
 
 
-def advance_frontier(arcs: DataFrame, committed: DataFrame) -> DataFrame:
+def advance_frontier(arcs: DataFrame, committed: DataFrame, salts: int = SALTS) -> DataFrame:
     """Nodes that moved and their unlabelled neighbours."""
-    near = lookup(arcs, committed.select(F.col("node_id").alias("src")), ["src"], "inner", "dst").select(F.col("dst").alias("node_id"))
+    near = lookup(arcs, committed.select(F.col("node_id").alias("src")), ["src"], "inner", "dst", salts=salts).select(F.col("dst").alias("node_id"))
     return committed.select("node_id").unionByName(near).distinct()
 
 
@@ -141,13 +158,58 @@ def _fits(arcs: DataFrame) -> bool:
     return arcs.count() <= TAIL_ARCS
 
 
+def _ball(arcs: DataFrame, degrees: DataFrame, hot: DataFrame, salts: int) -> tuple[DataFrame, DataFrame] | None:
+    """(inner nodes, all their arcs): the hot nodes and up to RINGS rings around them, as far as the arcs stay within TAIL_ARCS, which
+    the degrees tell before any arc is read; None where not even the hot nodes' own arcs do."""
+    inner, held = hot.select("node_id"), None
+    for _ in range(RINGS):
+        if (lookup(degrees, inner, ["node_id"], "inner", "node_id", salts=1).agg(F.sum("degree")).first()[0] or 0) > TAIL_ARCS:
+            break
+        rows = materialise(lookup(arcs, inner.select(F.col("node_id").alias("src")), ["src"], "inner", "dst", salts=salts).select("src", "dst", "w"), "ball")
+        if held is not None:
+            release(held[1])
+        held = inner, rows
+        wider = materialise(inner.unionByName(rows.select(F.col("dst").alias("node_id"))).distinct(), "ring")
+        if wider.count() == inner.count():
+            break
+        inner = wider
+    return held
+
+
+def _ball_steps(state: DataFrame, ball: tuple[DataFrame, DataFrame], hot: DataFrame, run) -> tuple[DataFrame, DataFrame, list]:
+    """Runs supersteps inside a ball; returns its changed labels (node_id, f), the hot nodes it ended with, and the steps."""
+    inner, rows = ball
+    members = materialise(inner.unionByName(rows.select(F.col("dst").alias("node_id"))).distinct(), "members")
+    nodes = lookup(state, members, ["node_id"], "inner", "node_id", salts=1).join(hot.select("node_id", F.lit(True).alias("hot")), "node_id", "left").join(inner.select("node_id", F.lit(True).alias("inner")), "node_id", "left")
+    nodes = nodes.select(F.lit(0).alias("k"), "node_id", "f", "w1", "w_all", F.coalesce("hot", F.lit(False)).alias("hot"), F.coalesce("inner", F.lit(False)).alias("inner"))
+
+    def work(left: pa.Table, right: pa.Table) -> pa.Table:
+        place = Rows(left["node_id"].to_numpy(), *(right[c].to_numpy() for c in ("src", "dst", "w")))
+        f, w1, w_all = (left[c].to_numpy()[place.order] for c in ("f", "w1", "w_all"))
+        flags, whole = (left[c].to_numpy(zero_copy_only=False)[place.order] for c in ("hot", "inner"))
+        before, flags = f.copy(), flags.copy()
+        steps = run(place, f, w1, w_all, flags, ~whole)
+        out = np.flatnonzero((f != before) | flags)
+        pad, n = [None] * len(out), len(steps)
+        blank = [None] * n
+        cols = {c: pa.array([*pad, *(s[i] for s in steps)], pa.int64()) for i, c in enumerate("abcd")}
+        at = pa.array([*pad, *range(n)], pa.int64())
+        return pa.table({"node_id": pa.array([*place.ids[out].tolist(), *blank], pa.int64()), "f": pa.array([*f[out].tolist(), *blank], pa.int64()), "hot": pa.array([*flags[out].tolist(), *blank], pa.bool_()), "at": at, **cols})
+
+    links = rows.select(F.lit(0).alias("k"), "src", "dst", "w")
+    done = materialise(nodes.groupBy("k").cogroup(links.groupBy("k")).applyInArrow(work, "node_id long, f long, hot boolean, at long, a long, b long, c long, d long"), "ball-steps")
+    release(members)
+    steps = [tuple(r) for r in done.filter("node_id is null").orderBy("at").select("a", "b", "c", "d").collect()]  # one row a superstep
+    return done.filter("node_id is not null").select("node_id", "f"), done.filter("hot").select("node_id"), steps
+
+
 def frontier_loop(state: DataFrame, arcs: DataFrame, hot: DataFrame, delta: float = 1e-4, plan: str = "auto", max_steps: int = MAX_STEPS, commit_small: bool = False, schedule: str = "sync", form: str = "average") -> Run:
     """Re-averages hot nodes; a move above delta is committed and makes the node and its neighbours hot. Ends with no hot node, or after
     max_steps, which the run reports as not converged."""
     start, limit = time.monotonic(), units(delta)
-    hot = materialise(lookup(hot.select("node_id").distinct(), state.filter("w_all > 0").select("node_id"), ["node_id"], "inner", "node_id"), "hot")
+    hot = materialise(lookup(hot.select("node_id").distinct(), state.filter("w_all > 0").select("node_id"), ["node_id"], "inner", "node_id", salts=1), "hot")
     steps: list[tuple[int, int, int, int]] = []
-    used = "sync"
+    used, degrees, salts = "sync", None, SALTS
     while len(steps) < max_steps:
         if plan in ("auto", "tail") and _fits(arcs):
             state, more = _tail(state, arcs, hot, lambda rows, f, w1, w_all, flags: frontier_steps(rows, f, w1, w_all, flags, limit, max_steps - len(steps), commit_small, schedule))
@@ -160,10 +222,23 @@ def frontier_loop(state: DataFrame, arcs: DataFrame, hot: DataFrame, delta: floa
         n_hot = hot.count()
         if not n_hot:
             break
+        if degrees is None:
+            degrees = materialise(arc_counts(arcs), "degrees")
+            salts = hub_salts(degrees)
+        ball = _ball(arcs, degrees, hot, salts) if plan in ("auto", "ball") and schedule == "sync" else None
+        if ball is not None:
+            left = max_steps - len(steps)
+            changed, hot, more = _ball_steps(state, ball, hot, lambda rows, f, w1, w_all, flags, halo: frontier_steps(rows, f, w1, w_all, flags, limit, left, commit_small, "sync", halo))
+            release(ball[1])
+            steps += more
+            used = "ball" if used == "ball" or len(steps) == len(more) else "sync+ball"
+            fresh = changed.withColumnRenamed("f", "fresh")
+            state = materialise(lookup(state, fresh, ["node_id"], "left", "node_id", salts=1).select("node_id", F.coalesce("fresh", "f").alias("f"), "w0", "w1", "w_all"), "patched")
+            continue
         moved = None
         for colour in (None,) if schedule == "sync" else (0, 1):
             part = hot if colour is None else hot.filter(F.pmod("node_id", F.lit(2)) == colour)
-            rows = relax(state, arcs, part, form)
+            rows = relax(state, arcs, part, form, salts)
             big = F.abs(F.col("new") - F.col("f")) > limit
             take = F.col("new").isNotNull() if commit_small else F.coalesce(big, F.lit(False))
             stepped = materialise(rows.select("node_id", F.when(take, F.col("new")).otherwise(F.col("f")).alias("f"), "w0", "w1", "w_all", F.coalesce(big, F.lit(False)).alias("moved"), F.abs(F.col("new") - F.col("f")).alias("change")), "step")
@@ -174,7 +249,7 @@ def frontier_loop(state: DataFrame, arcs: DataFrame, hot: DataFrame, delta: floa
         moved = materialise(moved, "moved")
         n_moved = moved.count()
         steps.append((n_hot, n_moved, 0, int(top)))
-        hot = materialise(advance_frontier(arcs, moved), "hot")
+        hot = materialise(advance_frontier(arcs, moved, salts), "hot")
         if not n_moved:
             break
     return Run(state, steps, time.monotonic() - start, used, not steps or steps[-1][1] == 0 or len(steps) < max_steps)
@@ -194,8 +269,9 @@ def full_sweep(state: DataFrame, arcs: DataFrame, delta: float = 1e-4, plan: str
         raise ValueError(f"more than {TAIL_ARCS} arcs: neither the tail plan nor acceleration applies")
     steps = []
     n = state.filter("w_all > 0").count()
+    salts = hub_salts(arc_counts(arcs)) if n else SALTS
     while len(steps) < max_steps and n:
-        rows = relax(state, arcs, None, form)
+        rows = relax(state, arcs, None, form, salts)
         stepped = materialise(rows.select("node_id", F.coalesce("new", "f").alias("f"), "w0", "w1", "w_all", F.abs(F.col("new") - F.col("f")).alias("change")), "sweep")
         top, moved = stepped.agg(F.max("change"), F.count(F.when(F.col("change") > limit, 1))).first()
         state = stepped.drop("change")

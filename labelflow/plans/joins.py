@@ -10,19 +10,22 @@ BROADCAST_ROWS = 500_000
 SALTS = 16
 
 
-def lookup(left: DataFrame, right: DataFrame, keys: list[str], how: str = "left", salt_by: str | None = None, limit: int = BROADCAST_ROWS) -> DataFrame:
+def lookup(left: DataFrame, right: DataFrame, keys: list[str], how: str = "left", salt_by: str | None = None, limit: int = BROADCAST_ROWS, salts: int = SALTS) -> DataFrame:
     """Joins left rows to the one right row of their key. `right` should be cheap to count (a written stage).
 
     Up to `limit` right rows are broadcast. Beyond that each right row is repeated for every salt and left rows pick theirs by
-    the hash of `salt_by`, so that a key with a third of all left rows is spread over SALTS tasks.
+    the hash of `salt_by`, so that a key with a third of all left rows is spread over `salts` tasks. One salt is a plain
+    join, for keys that the caller knows to be even.
     """
     if how not in ("left", "inner"):
         raise ValueError("lookup joins are left or inner")
     if right.count() <= limit:
         return left.join(F.broadcast(right), keys, how)
+    if salts == 1:
+        return left.join(right, keys, how)
     by = F.xxhash64(salt_by) if salt_by else F.xxhash64(*[c for c in left.columns])
-    salted = left.withColumn("_salt", F.pmod(by, F.lit(SALTS)).cast("int"))
-    spread = right.withColumn("_salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+    salted = left.withColumn("_salt", F.pmod(by, F.lit(salts)).cast("int"))
+    spread = right.withColumn("_salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
     return salted.join(spread, [*keys, "_salt"], how).drop("_salt")
 
 

@@ -48,12 +48,14 @@ def relaxed(rows: Rows, nodes: np.ndarray, f: np.ndarray, w1: np.ndarray, w_all:
     return (2 * num + den) // (2 * den)
 
 
-def frontier_steps(rows: Rows, f: np.ndarray, w1: np.ndarray, w_all: np.ndarray, hot: np.ndarray, delta: int, most: int, commit_small: bool = False, schedule: str = "sync") -> list[tuple[int, int, int, int]]:
-    """Runs supersteps on f in place until no node is hot; per step: hot nodes, committed nodes, arcs touched, largest change.
+def frontier_steps(rows: Rows, f: np.ndarray, w1: np.ndarray, w_all: np.ndarray, hot: np.ndarray, delta: int, most: int, commit_small: bool = False, schedule: str = "sync", halo: np.ndarray | None = None) -> list[tuple[int, int, int, int]]:
+    """Runs supersteps on f in place until no node is hot, or one of `halo` is, whose rows are not all here; per step: hot nodes, committed nodes, arcs touched, largest change.
 
     `two_phase` updates even places first and lets odd ones see the result, which is nearer to updating in place."""
     steps = []
     while len(steps) < most:
+        if halo is not None and np.any(hot & halo):
+            break
         live = np.flatnonzero(hot & (w_all > 0))
         if not len(live):
             hot[:] = False

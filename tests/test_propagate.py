@@ -70,6 +70,33 @@ def test_plans_give_identical_labels(spark):
     assert sorted(forms[0]) == sorted(forms[1])
 
 
+def test_ball_plan_is_the_sync_plan(spark, monkeypatch):
+    """Where balls of some rings fit, a run in balls takes the steps of the sync plan; where none fits, it is the sync plan."""
+    g = chain(spark, 24)
+    state, arcs = propagate.free_state(g)
+    hot = spark.createDataFrame([(1,), (22,)], "node_id long")
+    want = propagate.frontier_loop(state, arcs, hot, 1e-2, plan="sync", max_steps=4)
+    for most, plan in ((12, "ball"), (1, "sync")):
+        monkeypatch.setattr(propagate, "TAIL_ARCS", most)
+        got = propagate.frontier_loop(state, arcs, hot, 1e-2, max_steps=4)
+        assert labels_of(got) == labels_of(want)
+        assert [s[:2] for s in got.steps] == [s[:2] for s in want.steps]
+        assert plan in got.plan and got.converged == want.converged
+
+
+def test_ball_plan_runs_to_the_end(spark, monkeypatch):
+    truth, edges = random_graph()
+    g = graph(spark, truth, edges)
+    state, arcs = propagate.free_state(g)
+    hot = state.select("node_id").orderBy("node_id").limit(2)
+    want = propagate.frontier_loop(state, arcs, hot, 5e-2)
+    assert want.plan == "tail"
+    monkeypatch.setattr(propagate, "TAIL_ARCS", arcs.count() - 1)
+    got = propagate.frontier_loop(state, arcs, hot, 5e-2)
+    assert got.plan != "tail" and got.converged == want.converged
+    assert labels_of(got) == labels_of(want) and [s[:2] for s in got.steps] == [s[:2] for s in want.steps]
+
+
 def test_all_reach_the_harmonic_solution(spark):
     truth, edges = random_graph()
     g = graph(spark, truth, edges)
