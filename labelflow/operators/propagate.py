@@ -25,7 +25,7 @@ from pyspark.sql import functions as F
 from labelflow.functions.fixed import HALF, SCALE, rounded_div, units
 from labelflow.operators.classweights import contraction
 from labelflow.operators.graph import SimilarityGraph
-from labelflow.plans.joins import SALTS, lookup, without
+from labelflow.plans.joins import BROADCAST_ROWS, SALTS, lookup, without
 from labelflow.plans.local import Rows, frontier_steps, relaxed, sweep_steps
 from labelflow.plans.stage import materialise, release
 
@@ -97,7 +97,7 @@ def free_state(g: SimilarityGraph, f0: DataFrame | None = None, default: int = H
     else:
         state = state.withColumn("f0", F.lit(None).cast("long"))
     state = materialise(state.select("node_id", F.coalesce("f0", F.lit(default)).cast("long").alias("f"), F.coalesce("w0", F.lit(0)).cast("long").alias("w0"), F.coalesce("w1", F.lit(0)).cast("long").alias("w1"), F.coalesce("w_all", F.lit(0)).cast("long").alias("w_all")), "state")
-    salts = hub_salts(arc_counts(g.arcs))
+    salts = hub_salts(arc_counts(g.arcs)) if free.count() > BROADCAST_ROWS else 1  # a side that is broadcast needs none
     arcs = lookup(lookup(g.arcs.select("src", "dst", "w"), free.select(F.col("node_id").alias("src")), ["src"], "inner", "dst", salts=salts), free.select(F.col("node_id").alias("dst")), ["dst"], "inner", "src", salts=salts)
     return state, materialise(arcs.select("src", "dst", "w"), "arcs-free")
 
