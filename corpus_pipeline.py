@@ -1,9 +1,9 @@
-"""Corpus pipeline: toxicity filter, near-duplicate removal, decontamination, mixing, sharding.
+"""Corpus pipeline: toxicity filter, near-duplicate removal by fingerprint and by shingle similarity, decontamination, mixing, sharding.
 
 Each stage takes (spark, docs, sf_dir) and returns a DataFrame that is written as Parquet and read again as the next one's docs.
 All but the last return the columns of documents. A doc_id names one document: a stage that drops an id drops all rows of
 that id, and near-duplicate removal leaves one row of an id that repeats. Rows of a null id cannot be named: toxicity judges
-each by its text; the two stages that drop by id keep them.
+each by its text; the stages that drop by id keep them.
 """
 
 from __future__ import annotations
@@ -11,7 +11,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from labelflow.llm import decontaminate, mixing, sharding, simhash, toxicity
+from labelflow.llm import decontaminate, mixing, near_copies, sharding, simhash, toxicity
 from labelflow.llm.common import materialise, table
 from labelflow.plans.joins import without
 
@@ -43,6 +43,12 @@ def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> D
     return without(kept, repeated, ["doc_id"]).unionByName(again)
 
 
+def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Keeps the smallest doc_id of each component of documents whose sets of five-word shingles have a Jaccard similarity of 0.8 or more."""
+    docs = docs.select(*COLUMNS)
+    return without(docs, materialise(near_copies.near_copies(docs, 5).select("doc_id").distinct(), "pipeline-copies"), ["doc_id"])
+
+
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Drops documents that hold any window of ten words of a benchmark item."""
     docs = docs.select(*COLUMNS)
@@ -63,6 +69,7 @@ def shard(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 STAGES = [
     ("toxicity", drop_toxic),
     ("near_duplicates", drop_near_duplicates),
+    ("near_copies", drop_near_copies),
     ("decontamination", drop_contaminated),
     ("mixing", mix_sources),
     ("sharding", shard),

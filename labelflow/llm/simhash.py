@@ -50,20 +50,24 @@ def majority_bits(hashes: np.ndarray) -> int:
     return int(np.packbits(2 * count > len(hashes), bitorder="little").view(np.uint64)[0])
 
 
-def simhash(raw: bytes, shingle: int) -> int:
-    """Fingerprint of a UTF-8 text: A-Z lower-cased, words split at ASCII white space, shingles of consecutive words."""
+def shingle_hashes(raw: bytes, shingle: int) -> np.ndarray:
+    """Hashes of a UTF-8 text's shingles: A-Z lower-cased, words split at ASCII white space, shingles of consecutive words."""
     words = raw.lower().split()
     if not words:
-        return 0
+        return np.empty(0, np.uint64)
     text = b" ".join(words)
     if len(words) < shingle:
-        return majority_bits(np.array([xxhash.xxh64_intdigest(text, SEED)], np.uint64))
+        return np.array([xxhash.xxh64_intdigest(text, SEED)], np.uint64)
     ends = np.cumsum(np.fromiter(map(len, words), np.int64, len(words)) + 1) - 1
     starts = np.concatenate(([0], ends[:-1] + 1))
     digest = xxhash.xxh64_intdigest
     n = len(words) - shingle + 1
-    hashes = np.fromiter((digest(text[a:b], SEED) for a, b in zip(starts[:n].tolist(), ends[shingle - 1 :].tolist(), strict=True)), np.uint64, n)
-    return majority_bits(hashes)
+    return np.fromiter((digest(text[a:b], SEED) for a, b in zip(starts[:n].tolist(), ends[shingle - 1 :].tolist(), strict=True)), np.uint64, n)
+
+
+def simhash(raw: bytes, shingle: int) -> int:
+    """Fingerprint of a UTF-8 text; 0 without words."""
+    return majority_bits(shingle_hashes(raw, shingle))
 
 
 def _fingerprint_rows(shingle: int):
