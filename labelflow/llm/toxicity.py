@@ -7,8 +7,10 @@ copies of one document do not vouch for its rare words. Every other word costs a
 maximal segments of positive total; the best is normalised by extreme-value theory (scale from the background scores, minus
 the log of the length), and a logistic model over that, the number and the sum of significant segments gives the score.
 
-Bounds, all parameters: `max_terms` tokens in the model, `calibration_rows` labelled rows for the logistic model. Counts are
-over all rows. Defined results: a null or empty text has no segments and gets the score of such texts; a label is toxic if
+Every token with support is scored; only those whose log-odds pass the tests come to the driver. Bounds, all parameters:
+`calibration_rows` labelled rows for the logistic model, and `most_terms` selected tokens, beyond which training refuses and cuts
+nothing. Up to `shared_terms` candidates the counts of other documents are taken for these alone, beyond that for all tokens, with
+equal results. Counts are over all rows. Defined results: a null or empty text has no segments and gets the score of such texts; a label is toxic if
 any of a document's label rows is; null labels are ignored; without any labelled training row of both kinds every score is
 the smoothed base rate. Other columns pass through untouched.
 """
@@ -25,7 +27,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from labelflow.llm.common import binary_text, doc_bucket
+from labelflow.llm.common import binary_text, doc_bucket, materialise
 from labelflow.plans.joins import lookup
 
 PREFIXES = (4, 5, 6)
@@ -145,7 +147,9 @@ def _count_toxic(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     yield out()
 
 
-def _count_known(known: frozenset[bytes]):
+def _count_other(known: frozenset[bytes] | None):
+    """Per task: documents of each known token, or of each token."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: dict[bytes, int] = {}
         cache: dict[bytes, tuple[bytes, ...]] = {}
@@ -157,11 +161,17 @@ def _count_known(known: frozenset[bytes]):
                     if t is None:
                         if len(cache) >= CACHE:
                             cache.clear()
-                        t = cache[w] = tuple(x for x in tokens_of(w) if x in known)
+                        t = cache[w] = tuple(x for x in tokens_of(w) if known is None or x in known)
                     found.update(t)
                 for t in found:
                     held[t] = held.get(t, 0) + 1
-        yield pa.RecordBatch.from_arrays([pa.array(list(held), pa.binary()), pa.array(list(held.values()), pa.int64())], names=["token", "n"])
+                if len(held) >= CACHE:
+                    yield out(held)
+                    held.clear()
+        yield out(held)
+
+    def out(held: dict[bytes, int]) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([pa.array(list(held), pa.binary()), pa.array(list(held.values()), pa.int64())], names=["token", "n"])
 
     return run
 
@@ -224,7 +234,7 @@ def _logistic(x: np.ndarray, y: np.ndarray, ridge: float = 1.0, rounds: int = 40
     return tuple(float(v) for v in w)
 
 
-def train(docs: DataFrame, labels: DataFrame, max_terms: int = 50_000, calibration_rows: int = 20_000, prior: float = 20.0, support: int = 3, contexts: int = 4, least_odds: float = 2.0) -> ToxicityModel:
+def train(docs: DataFrame, labels: DataFrame, shared_terms: int = 50_000, most_terms: int = 1_000_000, calibration_rows: int = 20_000, prior: float = 20.0, support: int = 3, contexts: int = 4, least_odds: float = 2.0) -> ToxicityModel:
     """Fits on labelled rows outside the held-out quarter (crc32 of the decimal id, modulo 4, is 2)."""
     ids = F.col("doc_id").cast("long").alias("doc_id")
     marks = labels.select(ids, F.col("toxic").alias("_toxic")).filter("doc_id is not null and _toxic is not null").filter(doc_bucket("doc_id", 4) != 2)
@@ -240,13 +250,19 @@ def train(docs: DataFrame, labels: DataFrame, max_terms: int = 50_000, calibrati
         return model
     toxic = labelled.filter("_toxic > 0").select("_raw").mapInArrow(_count_toxic, "token binary, n long, marks long")
     toxic = toxic.groupBy("token").agg(F.sum("n").alias("n"), F.bit_count(F.bit_or("marks")).alias("contexts"))
-    found = toxic.filter((F.col("n") >= support) & (F.col("contexts") >= contexts)).orderBy(F.desc("n"), "token").limit(max_terms).collect()
-    seen = {bytes(r.token): r.n for r in found}
-    other = labelled.filter("_toxic <= 0").select("_raw").mapInArrow(_count_known(frozenset(seen)), "token binary, n long")
-    rest = {bytes(r.token): r.n for r in other.groupBy("token").agg(F.sum("n").alias("n")).collect()}
+    found = materialise(toxic.filter((F.col("n") >= support) & (F.col("contexts") >= contexts)).select("token", F.col("n").alias("k")), "toxic-terms")
+    known = frozenset(bytes(r.token) for r in found.select("token").collect()) if found.count() <= shared_terms else None
+    other = labelled.filter("_toxic <= 0").select("_raw").mapInArrow(_count_other(known), "token binary, n long").groupBy("token").agg(F.sum("n").alias("n"))
+    both = found.join(other, "token", "left").select("token", "k", F.coalesce("n", F.lit(0)).alias("n"))
+    k, n = F.col("k"), F.col("n")
+    share = prior * (k + n) / (n_toxic + n_other)
+    odds = F.log((k + share) / (n_toxic + prior - k - share + 1e-9)) - F.log((n + share) / (n_other + prior - n - share + 1e-9))
+    spread = F.sqrt(1.0 / (k + 0.5) + 1.0 / (n + 0.5))
+    chosen = materialise(both.filter((odds >= least_odds - 1e-6) & (odds / spread >= 3.0 - 1e-6)), "chosen-terms")
+    if chosen.count() > most_terms:
+        raise ValueError(f"more than {most_terms} tokens are selected: raise least_odds or most_terms")
     rates = {}
-    for t, k in seen.items():
-        n = rest.get(t, 0)
+    for t, k, n in sorted((bytes(r.token), r.k, r.n) for r in chosen.collect()):
         share = prior * (k + n) / (n_toxic + n_other)
         odds = math.log((k + share) / (n_toxic + prior - k - share + 1e-9)) - math.log((n + share) / (n_other + prior - n - share + 1e-9))
         spread = math.sqrt(1.0 / (k + 0.5) + 1.0 / (n + 0.5))
