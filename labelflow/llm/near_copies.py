@@ -6,7 +6,7 @@ the counts only set the order, so collisions cost time and lose nothing. Sets th
 
 1. to LEADERS of the hash's sets, chosen by as many random orders: linear in a group, and joins most of it;
 2. all pairs of sets that are in different components after that, in blocks of BLOCK sets, so that a group of any size is
-   dealt over tasks. Sizes and the parity of 128 bits bound a pair's similarity from above and rule most pairs out.
+   dealt over tasks. Sizes and parities (128, 512, then WIDE bits) bound a pair's similarity from above and rule most pairs out.
 
 What is left of both passes is compared whole. Links are closed into components.
 
@@ -31,6 +31,7 @@ from labelflow.plans.joins import lookup, without
 
 SLOTS = 1 << 18
 CHUNK = 1 << 12
+WIDE = 2048
 LEADERS = 8
 BLOCK = 4096
 PAIRS_AT_ONCE = 1 << 20
@@ -45,9 +46,9 @@ def _sets(shingle: int):
                 hashes = np.unique(shingle_hashes(raw, shingle))
                 if len(hashes):
                     raw_set = hashes.tobytes()
-                    rows.append((i, xxhash.xxh64_intdigest(raw_set) - (1 << 63), len(hashes), raw_set))
-            cols = list(zip(*rows, strict=True)) or [[], [], [], []]
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.int32(), pa.binary()), strict=True)], names=["doc_id", "sid", "n", "hashes"])
+                    rows.append((i, xxhash.xxh64_intdigest(raw_set) - (1 << 63), len(hashes), parity(hashes, 512).tobytes(), parity(hashes, WIDE).tobytes(), raw_set))
+            cols = list(zip(*rows, strict=True)) or [[]] * 6
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.int32(), pa.binary(), pa.binary(), pa.binary()), strict=True)], names=["doc_id", "sid", "n", "mid", "wide", "hashes"])
 
     return run
 
@@ -76,9 +77,9 @@ def _levels(sets: DataFrame) -> np.ndarray:
     return np.ceil(np.log2(counts.ravel() + 1)).astype(np.uint8)
 
 
-def parity(hashes: np.ndarray) -> np.ndarray:
-    """128 bits as two words: bit b is set if an odd number of hashes falls on b. Two sets' parities differ in no more bits than the sets in hashes."""
-    odd = np.bincount((hashes >> np.uint64(40) & np.uint64(127)).astype(np.int64), minlength=128) & 1
+def parity(hashes: np.ndarray, bits: int = 128) -> np.ndarray:
+    """As words: bit b is set if an odd number of hashes falls on b. Two sets' parities differ in no more bits than the sets in hashes."""
+    odd = np.bincount((hashes >> np.uint64(40) & np.uint64(bits - 1)).astype(np.int64), minlength=bits) & 1
     return np.packbits(odd.astype(bool), bitorder="little").view(np.int64)
 
 
@@ -146,21 +147,43 @@ def _led(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield _pairs(c["sid"][order][ok], c["sid"][lead][ok])
 
 
-def _across(key: tuple, group: pa.Table) -> pa.Table:
-    """Possible pairs in different components: of one block, or between two."""
-    i, j = key[1].as_py(), key[2].as_py()
-    at = group["block"].to_numpy()
-    left, right = group.filter(pa.array(at == i)), group.filter(pa.array(at == j))
-    a, b = _columns(left), _columns(right)
-    ca, cb = left["comp"].to_numpy(), right["comp"].to_numpy()
-    found = []
-    step = max(1, PAIRS_AT_ONCE // max(1, len(cb)))
-    for x in range(0, len(ca), step):
-        p, q = np.nonzero((ca[x : x + step, None] != cb[None, :]) & (a["sid"][x : x + step, None] != b["sid"][None, :]))
-        ok = _possible(a, p + x, b, q)
-        found.append(np.stack([a["sid"][p[ok] + x], b["sid"][q[ok]]], axis=1))
-    all_found = np.concatenate(found) if found else np.empty((0, 2), np.int64)
-    return pa.Table.from_batches([_pairs(all_found[:, 0], all_found[:, 1])])
+def _across(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Of a partition dealt by h and blocks i, j: possible pairs in different components, of one block or between two."""
+    t = _whole(batches)
+    if t is None:
+        return
+    keys = [t[k].to_numpy() for k in ("j", "i", "h")]
+    order = np.lexsort(keys)
+    c = {k: v[order] for k, v in _columns(t).items()}
+    keys = [k[order] for k in keys]
+    comp, block, within = t["comp"].to_numpy()[order], t["block"].to_numpy()[order], keys[0] == keys[1]
+    mid = np.frombuffer(b"".join(t["mid"].to_pylist()), np.uint64).reshape(len(comp), -1)[order]
+    starts = np.flatnonzero(np.concatenate(([True], np.any([k[1:] != k[:-1] for k in keys], axis=0))))
+    ends = np.repeat(np.append(starts[1:], len(comp)), np.diff(np.append(starts, len(comp))))
+    at, apart, found, held = np.arange(len(comp)), 0, [], 0
+    while len(at):
+        apart += 1
+        at = at[at + apart < ends[at]]
+        to = at + apart
+        live = (comp[at] != comp[to]) & (c["sid"][at] != c["sid"][to]) & (within[at] | (block[at] != block[to]))
+        p, q = at[live], to[live]
+        ok = _possible(c, p, c, q)
+        p, q = p[ok], q[ok]
+        ok = 9 * np.bitwise_count(mid[p] ^ mid[q]).sum(axis=1, dtype=np.int64) <= c["n"][p].astype(np.int64) + c["n"][q]
+        found.append((c["sid"][p[ok]], c["sid"][q[ok]]))
+        held += int(ok.sum())
+        if held > PAIRS_AT_ONCE or not len(at):
+            yield _pairs(*(np.concatenate(x) for x in zip(*found, strict=True)))
+            found, held = [], 0
+
+
+def _alike(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Pairs that the wide parities leave possible."""
+    for batch in batches:
+        if batch.num_rows:
+            x, y = (np.frombuffer(b"".join(batch.column(k).to_pylist()), np.uint64).reshape(batch.num_rows, -1) for k in (2, 3))
+            ok = 9 * np.bitwise_count(x ^ y).sum(axis=1, dtype=np.int64) <= batch.column(4).to_numpy()
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1)], names=["u", "v"]).filter(pa.array(ok))
 
 
 def _similar(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -175,7 +198,11 @@ def _similar(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 def _verified(pairs: DataFrame, sets: DataFrame) -> DataFrame:
     """The pairs whose whole sets have a similarity of 4/5."""
-    pairs = materialise(pairs.distinct(), "near-pairs")
+    first = materialise(pairs.distinct(), "near-first")
+    a, b = (sets.select(F.col("sid").alias(k), F.col("n").alias(f"n_{k}"), F.col("wide").alias(f"w_{k}")) for k in "uv")
+    seen = first.join(a, "u").join(b, "v").select("u", "v", "w_u", "w_v", (F.col("n_u") + F.col("n_v")).cast("long").alias("both"))
+    pairs = materialise(seen.mapInArrow(_alike, "u long, v long").distinct(), "near-pairs")
+    release(first)
     wanted = materialise(pairs.select(F.explode(F.array("u", "v")).alias("sid")).distinct(), "near-wanted")
     some = materialise(lookup(sets, wanted, ["sid"], "inner", salts=1).select("sid", "hashes"), "near-some")
     sides = pairs.join(some.select(F.col("sid").alias("u"), F.col("hashes").alias("x")), "u").join(some.select(F.col("sid").alias("v"), F.col("hashes").alias("y")), "v")
@@ -188,7 +215,7 @@ def near_copies(docs: DataFrame, shingle: int = 5, block: int = BLOCK) -> DataFr
     """(doc_id, component_id) of the documents that are not the least id of their component."""
     spark = docs.sparkSession
     named = docs.filter("doc_id is not null").select(F.col("doc_id").cast("long").alias("doc_id"), binary_text().alias("raw"))
-    rows = materialise(named.mapInArrow(_sets(shingle), "doc_id long, sid long, n int, hashes binary"), "near-sets")
+    rows = materialise(named.mapInArrow(_sets(shingle), "doc_id long, sid long, n int, mid binary, wide binary, hashes binary"), "near-sets")
     ids = materialise(rows.select("doc_id", "sid"), "near-ids")
     least = materialise(ids.groupBy("sid").agg(F.min("doc_id").alias("doc_id")), "near-least")
     again = materialise(ids.join(least.withColumnRenamed("doc_id", "least"), "sid").filter("doc_id != least").select("doc_id", "sid").distinct(), "near-again")
@@ -202,7 +229,8 @@ def near_copies(docs: DataFrame, shingle: int = 5, block: int = BLOCK) -> DataFr
     large = materialise(met.groupBy("h").agg(F.count("*").alias("m")).filter(F.col("m") > block).select("h", F.ceil(F.col("m") / block).cast("int").alias("blocks")), "near-large")
     placed = lookup(placed, large, ["h"], "left", "sid").withColumn("blocks", F.coalesce("blocks", F.lit(1))).withColumn("block", F.pmod(F.xxhash64("sid"), F.col("blocks")).cast("int"))
     placed = placed.withColumn("_to", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).withColumn("i", F.least("block", "_to")).withColumn("j", F.greatest("block", "_to"))
-    rest = _verified(placed.groupBy("h", "i", "j").applyInArrow(_across, "u long, v long"), sets)
+    placed = lookup(placed, sets.select("sid", "mid").dropDuplicates(["sid"]), ["sid"], "inner", limit=100_000, salts=1)
+    rest = _verified(placed.repartition(parts, "h", "i", "j").mapInArrow(_across, "u long, v long"), sets)
     joined = connected_components(materialise(links.unionByName(rest), "near-all-links"))
     linked = materialise(joined.select(F.col("node_id").alias("sid"), "comp_id"), "near-linked")
     known = materialise(lookup(least, linked, ["sid"], "left", salts=1).withColumn("comp", F.coalesce("comp_id", "sid")).select("sid", "comp", "doc_id"), "near-known")
