@@ -132,15 +132,14 @@ def lsh_buckets(vecs: DataFrame, planes: int = 8, tables: int = 8, seed: int = 7
 
 
 def lsh_knn(vecs: DataFrame, k: int, planes: int = 8, tables: int = 8, seed: int = 7, bucket_rows: int = 2_000) -> DataFrame:
-    """(u, v, sim): approximate k nearest neighbours. Buckets larger than bucket_rows are split by further planes of their own (the id's
-    hash decides nothing), so a dense region stays bounded; the candidates are re-ranked exactly."""
+    """(u, v, sim): approximate k nearest neighbours. A bucket larger than bucket_rows is dealt over salts, each of which meets the whole
+    bucket, so that no candidate is lost; the candidates are re-ranked exactly."""
     b = materialise(lsh_buckets(vecs, planes, tables, seed), "lsh")
-    heavy = materialise(b.groupBy("table", "bucket").agg(F.count("*").alias("n")).filter(F.col("n") > bucket_rows).select("table", "bucket", F.lit(True).alias("heavy")), "heavy")
-    b = lookup(b, heavy, ["table", "bucket"], "left", "node_id")
-    more = F.aggregate(F.sequence(F.lit(0), F.lit(9)), F.lit(0), lambda acc, j: acc * 2 + F.when(F.element_at("q", (j + F.col("table")) % F.size("q") + 1) > 0, 1).otherwise(0))
-    b = b.withColumn("finer", F.when(F.col("heavy"), more).otherwise(F.lit(-1))).drop("heavy")
-    other = b.select(F.col("node_id").alias("v"), F.col("q").alias("qv"), "table", "bucket", "finer")
-    pairs = b.select(F.col("node_id").alias("u"), F.col("q").alias("qu"), "table", "bucket", "finer").join(other, ["table", "bucket", "finer"]).filter("u != v")
+    heavy = materialise(b.groupBy("table", "bucket").agg(F.count("*").alias("n")).filter(F.col("n") > bucket_rows).select("table", "bucket", F.ceil(F.col("n") / bucket_rows).cast("int").alias("salts")), "heavy")
+    b = lookup(b, heavy, ["table", "bucket"], "left", "node_id").withColumn("salts", F.coalesce("salts", F.lit(1)))
+    left = b.select(F.col("node_id").alias("u"), F.col("q").alias("qu"), "table", "bucket", F.pmod(F.xxhash64("node_id"), F.col("salts")).cast("int").alias("salt"))
+    other = b.select(F.col("node_id").alias("v"), F.col("q").alias("qv"), "table", "bucket", F.explode(F.sequence(F.lit(0), F.col("salts") - 1)).alias("salt"))
+    pairs = left.join(other, ["table", "bucket", "salt"]).filter("u != v")
     sim = F.aggregate(F.zip_with("qu", "qv", lambda x, y: x * y), F.lit(0).cast("long"), lambda a, x: a + x)
     return knn(pairs.dropDuplicates(["u", "v"]).select("u", "v", sim.alias("sim")), k)
 
