@@ -525,11 +525,10 @@ def tfidf_terms(spark, sf_dir):
 
 
 def text_graph(spark: SparkSession, sf_dir: str, k: int = 5, frac: float = 0.1) -> tuple[SimilarityGraph, DataFrame]:
-    """kNN graph of documents over their heaviest terms; class 1 is English, shown for a share; and all classes."""
+    """kNN graph of documents by the cosine over all their terms; class 1 is English, shown for a share; and all classes."""
     docs = read(spark, sf_dir, "documents")
-    terms = similarity.tfidf(docs.select("doc_id", "text"), max_df=0.05, max_terms=40)
-    pairs = similarity.both_ways(materialise(similarity.sparse_cosine(materialise(terms, "tfidf")), "pairs"))
-    edges = similarity.knn_edges(pairs.withColumn("sim", F.round(F.col("sim") * 1_000_000).cast("long")), k)
+    terms = materialise(similarity.tfidf(docs.select("doc_id", "text")), "tfidf")
+    edges = similarity.knn_edges(materialise(similarity.cosine_knn(terms, k), "pairs"), k)
     truth = docs.select(F.col("doc_id").alias("node_id"), graph.one_vs_rest(F.col("lang"), "en").alias("truth"))
     return seeded(SimilarityGraph(truth, materialise(graph.arcs_of(edges), "arcs")), frac), truth
 

@@ -54,6 +54,59 @@ def sparse_cosine(terms: DataFrame) -> DataFrame:
     return a.join(b, "term").filter("u < v").groupBy("u", "v").agg(F.sum(F.col("a") * F.col("b")).alias("sim"))
 
 
+def cosine_knn(terms: DataFrame, k: int, block: int = 1000, columns: int = 4096) -> DataFrame:
+    """(u, v, sim): for each u the k best v of every block, over all terms, so that the k best of all are among them; sim is whole millionths.
+
+    Documents are dealt over blocks of about `block`; each pair of blocks is a task of its own that multiplies the two as matrices, `columns`
+    terms at a time. No term makes pairs of rows, however common. Terms go by their 64-bit hash."""
+    rows = terms.groupBy("node_id").agg(F.collect_list(F.xxhash64("term")).alias("h"), F.collect_list("weight").alias("x"))
+    rows = materialise(rows, "vectors")
+    blocks = max(1, -(-rows.count() // block))
+    rows = rows.withColumn("block", F.pmod(F.xxhash64("node_id"), F.lit(blocks)).cast("int"))
+    rows = rows.withColumn("other", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))).withColumn("i", F.least("block", "other")).withColumn("j", F.greatest("block", "other"))
+
+    def flat(t: pa.Table) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        h = t["h"].combine_chunks()
+        size = np.diff(h.offsets.to_numpy())
+        return t["node_id"].to_numpy(), np.repeat(np.arange(len(size)), size), h.flatten().to_numpy(), t["x"].combine_chunks().flatten().to_numpy()
+
+    def best(ids: np.ndarray, others: np.ndarray, sims: np.ndarray) -> pa.Table:
+        order = np.argsort(others)
+        others, sims = others[order], sims[:, order].copy()
+        sims[ids[:, None] == others[None, :]] = -1
+        top = np.argsort(-sims, axis=1, kind="stable")[:, :k]  # ties go to the smaller id
+        got = np.take_along_axis(sims, top, axis=1)
+        u, v, w = np.repeat(ids, top.shape[1]), others[top].ravel(), got.ravel()
+        return pa.table({"u": u[w > 0], "v": v[w > 0], "sim": w[w > 0]})
+
+    def score(key: tuple, group: pa.Table) -> pa.Table:
+        at = group["block"].to_numpy()
+        i, j = key[0].as_py(), key[1].as_py()
+        a = flat(group.filter(pa.array(at == i)))
+        b = flat(group.filter(pa.array(at == j)))
+        both = np.intersect1d(a[2], b[2])
+        sims = np.zeros((len(a[0]), len(b[0])))
+        place = []
+        for _, r, h, x in (a, b):
+            keep = np.isin(h, both)
+            c = np.searchsorted(both, h[keep])
+            o = np.argsort(c, kind="stable")
+            place.append((r[keep][o], c[o], x[keep][o]))
+        for low in range(0, len(both), columns):
+            m = []
+            for (r, c, x), n in zip(place, sims.shape, strict=True):
+                p, q = np.searchsorted(c, (low, low + columns))
+                dense = np.zeros((n, columns))
+                dense[r[p:q], c[p:q] - low] = x[p:q]
+                m.append(dense)
+            sims += m[0] @ m[1].T
+        whole = np.rint(sims * 1_000_000).astype(np.int64)
+        out = best(a[0], b[0], whole)
+        return out if i == j else pa.concat_tables([out, best(b[0], a[0], whole.T)])
+
+    return rows.groupBy("i", "j").applyInArrow(score, "u long, v long, sim long")
+
+
 def quantised(vecs: DataFrame, ident: str = "vec_id", vec: str = "embedding") -> DataFrame:
     """(node_id, q): coordinates as whole thousandths, so that products are exact."""
     return vecs.select(F.col(ident).alias("node_id"), F.transform(vec, lambda x: F.floor(x.cast("double") * QUANT + 0.5).cast("long")).alias("q"))
