@@ -35,20 +35,22 @@ WIDE = 2048
 LEADERS = 8
 BLOCK = 4096
 PAIRS_AT_ONCE = 1 << 20
+ROWS_AT_ONCE = 512
 MEETING = "h long, sid long, n int, s0 long, s1 long"
 
 
 def _sets(shingle: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            ids, rows = batch.column(0).to_pylist(), []
-            for i, raw in zip(ids, batch.column(1).to_pylist(), strict=True):
-                hashes = np.unique(shingle_hashes(raw, shingle))
-                if len(hashes):
-                    raw_set = hashes.tobytes()
-                    rows.append((i, xxhash.xxh64_intdigest(raw_set) - (1 << 63), len(hashes), parity(hashes, 512).tobytes(), parity(hashes, WIDE).tobytes(), raw_set))
-            cols = list(zip(*rows, strict=True)) or [[]] * 6
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.int32(), pa.binary(), pa.binary(), pa.binary()), strict=True)], names=["doc_id", "sid", "n", "mid", "wide", "hashes"])
+        for whole in batches:
+            for at in range(0, whole.num_rows, ROWS_AT_ONCE):
+                batch, rows = whole.slice(at, ROWS_AT_ONCE), []
+                for i, raw in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+                    hashes = np.unique(shingle_hashes(raw, shingle))
+                    if len(hashes):
+                        raw_set = hashes.tobytes()
+                        rows.append((i, xxhash.xxh64_intdigest(raw_set) - (1 << 63), len(hashes), parity(hashes, 512).tobytes(), parity(hashes, WIDE).tobytes(), raw_set))
+                cols = list(zip(*rows, strict=True)) or [[]] * 6
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.int32(), pa.binary(), pa.binary(), pa.binary()), strict=True)], names=["doc_id", "sid", "n", "mid", "wide", "hashes"])
 
     return run
 
