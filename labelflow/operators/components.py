@@ -117,7 +117,7 @@ def contract(edges: DataFrame) -> DataFrame:
 ONE_TASK_EDGES = 2_000_000
 
 
-def _label_block(group: pa.Table) -> pa.Table:
+def label_block(group: pa.Table) -> pa.Table:
     """Smallest reachable id by repeated minimum and pointer jumping on arrays."""
     u, v = group["u"].to_numpy(), group["v"].to_numpy()
     ids, place = np.unique(np.concatenate([u, v]), return_inverse=True)
@@ -140,7 +140,7 @@ def _label_block(group: pa.Table) -> pa.Table:
 def one_task(edges: DataFrame) -> DataFrame:
     """All components in one task, for edge sets that the caller has found to be small."""
     e = edges.select(F.lit(0).alias("k"), F.col("u").cast("long").alias("u"), F.col("v").cast("long").alias("v")).filter("u != v")
-    return e.groupBy("k").applyInArrow(lambda t: _label_block(t), "node_id long, comp_id long")
+    return e.groupBy("k").applyInArrow(lambda t: label_block(t), "node_id long, comp_id long")
 
 
 METHODS = {"hook_jump": hook_jump, "stars": stars, "contract": contract, "one_task": one_task}
