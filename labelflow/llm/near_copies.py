@@ -1,14 +1,15 @@
-"""Near copies by exact Jaccard similarity of word shingles: every pair of at least 4/5 is found, every link is verified.
+"""Groups of near copies: documents whose sets of five-word shingles have a Jaccard similarity of 0.8 or more, and no others.
 
-A document is the set of its shingles' 64-bit hashes; equal sets count once. Sets whose similarity is 4/5 share one of their
-first n - ceil(4n/5) + 1 hashes under any order of the hashes. The order here puts rare ones first, by counts in SLOTS slots:
-the counts only set the order, so collisions cost time and lose nothing. Sets that meet at a hash are linked in two passes:
+A document is the set of its shingles' 64-bit hashes; equal sets count once. Links are found in two passes and each is
+verified on the whole sets:
 
-1. to LEADERS of the hash's sets, chosen by as many random orders: linear in a group, and joins most of it;
-2. all pairs of sets that are in different components after that, in blocks of BLOCK sets, so that a group of any size is
-   dealt over tasks. Sizes and parities (128, 512, then WIDE bits) bound a pair's similarity from above and rule most pairs out.
-
-What is left of both passes is compared whole. Links are closed into components.
+1. Fingerprints of the sets are joined by ball hashing (see `simhash`) and each set is compared with the least of its group:
+   linear in a group, and settles most of it. Four bits of 64 find a pair of similarity 0.8 rarely, so this is not all.
+2. The rest by prefixes: sets whose similarity is 4/5 share one of their first n - ceil(4n/5) + 1 hashes under any order of
+   the hashes. The order puts rare ones first, by counts in SLOTS slots; the counts only set the order, so collisions cost
+   time and lose nothing. Sets that meet at a hash and are in different groups so far are compared in blocks of BLOCK sets,
+   so that a hash of any number of sets is dealt over tasks. Sizes and parities (128, 512, then WIDE bits) bound a pair's
+   similarity from above and rule most pairs out before the sets are fetched.
 
 Defined results: null ids and texts without words take no part; fewer words than a shingle make one shingle of all.
 """
@@ -25,14 +26,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from labelflow.llm.common import binary_text, materialise, partitions_for, release
-from labelflow.llm.simhash import shingle_hashes
-from labelflow.operators.components import connected_components
+from labelflow.llm.simhash import closed, joined_prints, majority_bits, shingle_hashes
 from labelflow.plans.joins import lookup, without
 
 SLOTS = 1 << 18
 CHUNK = 1 << 12
 WIDE = 2048
-LEADERS = 8
 BLOCK = 4096
 PAIRS_AT_ONCE = 1 << 20
 ROWS_AT_ONCE = 512
@@ -48,9 +47,11 @@ def _sets(shingle: int):
                     hashes = np.unique(shingle_hashes(raw, shingle))
                     if len(hashes):
                         raw_set = hashes.tobytes()
-                        rows.append((i, xxhash.xxh64_intdigest(raw_set) - (1 << 63), len(hashes), parity(hashes, 512).tobytes(), parity(hashes, WIDE).tobytes(), raw_set))
-                cols = list(zip(*rows, strict=True)) or [[]] * 6
-                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.int32(), pa.binary(), pa.binary(), pa.binary()), strict=True)], names=["doc_id", "sid", "n", "mid", "wide", "hashes"])
+                        rows.append((i, xxhash.xxh64_intdigest(raw_set) - (1 << 63), majority_bits(hashes), len(hashes), parity(hashes, 512).tobytes(), parity(hashes, WIDE).tobytes(), raw_set))
+                cols = list(zip(*rows, strict=True)) or [[]] * 7
+                prints = pa.array(np.array(cols[2], np.uint64).view(np.int64))
+                kinds = (pa.int64(), pa.int64(), None, pa.int32(), pa.binary(), pa.binary(), pa.binary())
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) if t else prints for c, t in zip(cols, kinds, strict=True)], names=["doc_id", "sid", "print", "n", "mid", "wide", "hashes"])
 
     return run
 
@@ -133,22 +134,6 @@ def _pairs(a: np.ndarray, b: np.ndarray) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(p[:, 0])), pa.array(np.ascontiguousarray(p[:, 1]))], names=["u", "v"])
 
 
-def _led(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Of a partition dealt by h: each set with the leaders of its h."""
-    t = _whole(batches)
-    if t is None:
-        return
-    c, h = _columns(t), t["h"].to_numpy()
-    for k in range(LEADERS):
-        rank = c["sid"].view(np.uint64) * np.uint64(0x9E3779B97F4A7C15 + 2 * k * 0x51ED27)
-        rank ^= rank >> np.uint64(29)
-        order = np.lexsort((rank * np.uint64(0xBF58476D1CE4E5B9), h))
-        new = np.concatenate(([True], h[order][1:] != h[order][:-1]))
-        lead = order[np.flatnonzero(new)][np.cumsum(new) - 1]
-        ok = (c["sid"][order] != c["sid"][lead]) & _possible(c, order, c, lead)
-        yield _pairs(c["sid"][order][ok], c["sid"][lead][ok])
-
-
 def _across(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Of a partition dealt by h and blocks i, j: possible pairs in different components, of one block or between two."""
     t = _whole(batches)
@@ -213,31 +198,41 @@ def _verified(pairs: DataFrame, sets: DataFrame) -> DataFrame:
     return out
 
 
-def near_copies(docs: DataFrame, shingle: int = 5, block: int = BLOCK) -> DataFrame:
+def _by_fingerprint(sets: DataFrame, radius: int) -> DataFrame:
+    """Verified links (u, v) of sets with the least set of their fingerprint's group."""
+    prints = materialise(sets.groupBy("print").agg(F.min("sid").alias("least"), F.max("sid").alias("most")), "near-prints")
+    roots = materialise(prints.join(joined_prints(prints, radius), "print").select("print", "least", "most", "root"), "near-roots")
+    groups = roots.groupBy("root").agg(F.min("least").alias("lead"), F.max("most").alias("most")).filter("lead != most").select("root", "lead")
+    leads = materialise(lookup(roots, materialise(groups, "near-groups"), ["root"], "inner", "print").select("print", "lead"), "near-leads")
+    pairs = lookup(sets.select("sid", "print"), leads, ["print"], "inner", "sid").filter("sid != lead").select(F.col("sid").alias("u"), F.col("lead").alias("v"))
+    return _verified(pairs, sets)
+
+
+def near_copies(docs: DataFrame, shingle: int = 5, radius: int = 4, block: int = BLOCK) -> DataFrame:
     """(doc_id, component_id) of the documents that are not the least id of their component."""
     spark = docs.sparkSession
     named = docs.filter("doc_id is not null").select(F.col("doc_id").cast("long").alias("doc_id"), binary_text().alias("raw"))
-    rows = materialise(named.mapInArrow(_sets(shingle), "doc_id long, sid long, n int, mid binary, wide binary, hashes binary"), "near-sets")
+    rows = materialise(named.mapInArrow(_sets(shingle), "doc_id long, sid long, print long, n int, mid binary, wide binary, hashes binary"), "near-sets")
     ids = materialise(rows.select("doc_id", "sid"), "near-ids")
     least = materialise(ids.groupBy("sid").agg(F.min("doc_id").alias("doc_id")), "near-least")
     again = materialise(ids.join(least.withColumnRenamed("doc_id", "least"), "sid").filter("doc_id != least").select("doc_id", "sid").distinct(), "near-again")
     sets = without(rows, again, ["doc_id", "sid"])
+    links = _by_fingerprint(sets, radius)
+    comps = links.select(F.col("u").alias("sid"), F.col("v").alias("comp"))  # a star each
     parts = partitions_for(spark, rows.count(), 8_000)
-    deal = lambda df: df.repartition(parts, "h")
-    met = materialise(deal(sets.select("sid", "hashes").mapInArrow(_prefixes(_levels(rows)), MEETING)).mapInArrow(_meeting, MEETING), "near-met")
-    links = _verified(deal(met).mapInArrow(_led, "u long, v long"), sets)
-    comps = materialise(connected_components(links), "near-comps").select(F.col("node_id").alias("sid"), F.col("comp_id").alias("comp"))
-    placed = lookup(met, comps, ["sid"], "left", salts=1).withColumn("comp", F.coalesce("comp", "sid"))
-    large = materialise(met.groupBy("h").agg(F.count("*").alias("m")).filter(F.col("m") > block).select("h", F.ceil(F.col("m") / block).cast("int").alias("blocks")), "near-large")
-    placed = lookup(placed, large, ["h"], "left", "sid").withColumn("blocks", F.coalesce("blocks", F.lit(1))).withColumn("block", F.pmod(F.xxhash64("sid"), F.col("blocks")).cast("int"))
+    met = sets.select("sid", "hashes").mapInArrow(_prefixes(_levels(rows)), MEETING).repartition(parts, "h").mapInArrow(_meeting, MEETING)
+    met = materialise(lookup(met, comps, ["sid"], "left", salts=1).withColumn("comp", F.coalesce("comp", "sid")), "near-met")
+    live = met.groupBy("h").agg(F.count("*").alias("m"), F.min("comp").alias("a"), F.max("comp").alias("b")).filter("a != b")
+    live = materialise(live.select("h", F.ceil(F.col("m") / block).cast("int").alias("blocks")), "near-live")
+    placed = lookup(met, live, ["h"], "inner", "sid").withColumn("block", F.pmod(F.xxhash64("sid"), F.col("blocks")).cast("int"))
     placed = placed.withColumn("_to", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).withColumn("i", F.least("block", "_to")).withColumn("j", F.greatest("block", "_to"))
     placed = lookup(placed, sets.select("sid", "mid").dropDuplicates(["sid"]), ["sid"], "inner", limit=100_000, salts=1)
     rest = _verified(placed.repartition(parts, "h", "i", "j").mapInArrow(_across, "u long, v long"), sets)
-    joined = connected_components(materialise(links.unionByName(rest), "near-all-links"))
+    joined = closed(materialise(links.unionByName(rest), "near-all-links"))
     linked = materialise(joined.select(F.col("node_id").alias("sid"), "comp_id"), "near-linked")
     known = materialise(lookup(least, linked, ["sid"], "left", salts=1).withColumn("comp", F.coalesce("comp_id", "sid")).select("sid", "comp", "doc_id"), "near-known")
     first = known.groupBy("comp").agg(F.min("doc_id").alias("component_id"))
     found = ids.join(known.select("sid", "comp"), "sid").join(first, "comp").filter("doc_id != component_id").select("doc_id", "component_id").distinct()
     out = materialise(found, "near-copies")
-    release(rows, met, links, rest)
+    release(rows, ids, least, again, met, live, links, rest, linked, known)
     return out

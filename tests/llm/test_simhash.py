@@ -61,17 +61,35 @@ def test_planted_distances(spark):
             prints.append(x)
     signed = [(x - (1 << 64) if x >= 1 << 63 else x,) for x in set(prints)]
     nodes = spark.createDataFrame(signed, "print long")
-    from labelflow.operators.components import connected_components
-
-    links = simhash.links(nodes)
-    for u, v in links.collect():
-        assert bin((u ^ v) & (2**64 - 1)).count("1") <= 4
-    got = {r.node_id: r.comp_id for r in connected_components(links, nodes.withColumnRenamed("print", "node_id")).collect()}
+    got = {r.print: r.root for r in simhash.joined_prints(nodes).collect()}
     want = brute_components({s[0] & (2**64 - 1): s[0] & (2**64 - 1) for s in signed})
     as_sets = lambda m: {frozenset(k & (2**64 - 1) for k in m if m[k] == r) for r in set(m.values())}
     assert as_sets(got) == as_sets(want)
 
 
+def test_links_of_a_dense_group_are_linear(spark):
+    """Prints within two flips of one base: all pairs are within the radius; the first pass leaves one root, later ones no link."""
+    rng = np.random.default_rng(9)
+    rows = {}
+    for size in (100, 400):
+        base, prints = int(rng.integers(0, 2**62)), set()
+        while len(prints) < size:
+            x = base
+            for b in rng.choice(64, 2, replace=False):
+                x ^= 1 << int(b)
+            prints.add(x - (1 << 64) if x >= 1 << 63 else x)
+        state = spark.createDataFrame([(x, x) for x in prints], "print long, root long").repartition(8)
+        made = []
+        for k, space in enumerate(simhash.spaces(4)):
+            links = simhash._pass(state, size, 4, space)
+            made.append(links.count())
+            if k < 2:
+                state = simhash._contracted(state, links)
+        assert state.select("root").distinct().count() == 1 and made[2:] == [0] * 4
+        rows[size] = sum(made)
+    assert rows[100] <= 4 * 100 and rows[400] <= 4 * 400
+
+
 def test_edge_cases(spark):
     rows = [(1, None, "x"), (2, "", "x"), (3, " \n", "x"), (None, "one two", "x"), (5, "one two", "x"), (5, "one two", "x"), (6, "ONE\ttwo", None), (7, "w " * 50_000, None)]
     docs = spark.createDataFrame(rows, "doc_id long, text string, print string")
