@@ -1,4 +1,4 @@
-"""Corpus pipeline: toxicity filter, near-duplicate removal by fingerprint and by shingle similarity, decontamination, mixing, sharding.
+"""Corpus pipeline: toxicity filter, near-duplicate removal, decontamination, mixing, sharding.
 
 Each stage takes (spark, docs, sf_dir) and returns a DataFrame that is written as Parquet and read again as the next one's docs.
 All but the last return the columns of documents. A doc_id names one document: a stage that drops an id drops all rows of
@@ -11,7 +11,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from labelflow.llm import decontaminate, mixing, near_copies, sharding, simhash, toxicity
+from labelflow.llm import decontaminate, mixing, near_copies, sharding, toxicity
 from labelflow.llm.common import materialise, table
 from labelflow.plans.joins import without
 
@@ -30,25 +30,16 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps the smallest doc_id of each component of near duplicates: shingles of five words, fingerprints at most 4 bits apart."""
+    """Keeps the smallest doc_id of each group of documents that steps of five-word shingle similarity 0.8 or more join, and one row of it."""
     docs = docs.select(*COLUMNS)
-    found = materialise(simhash.components(docs, shingle=5), "pipeline-components")
-    gone = materialise(found.filter("doc_id != component_id").select("doc_id").distinct(), "pipeline-gone")
-    kept = without(docs, gone, ["doc_id"])
-    repeated = found.filter("doc_id is not null").groupBy("doc_id").agg(F.count("*").alias("n")).filter("n > 1").select("doc_id")
-    repeated = materialise(repeated, "pipeline-repeats")
+    kept = without(docs, materialise(near_copies.near_copies(docs, 5).select("doc_id").distinct(), "pipeline-copies"), ["doc_id"])
+    repeated = materialise(docs.filter("doc_id is not null").groupBy("doc_id").agg(F.count("*").alias("n")).filter("n > 1").select("doc_id"), "pipeline-repeats")
     if repeated.isEmpty():
         return kept
     again = kept.join(repeated, "doc_id", "left_semi").dropDuplicates(["doc_id"]).select(*COLUMNS)
     return without(kept, repeated, ["doc_id"]).unionByName(again)
 
 
-def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps the smallest doc_id of each component of documents whose sets of five-word shingles have a Jaccard similarity of 0.8 or more."""
-    docs = docs.select(*COLUMNS)
-    return without(docs, materialise(near_copies.near_copies(docs, 5).select("doc_id").distinct(), "pipeline-copies"), ["doc_id"])
-
-
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Drops documents that hold any window of ten words of a benchmark item."""
     docs = docs.select(*COLUMNS)
@@ -69,7 +60,6 @@ def shard(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 STAGES = [
     ("toxicity", drop_toxic),
     ("near_duplicates", drop_near_duplicates),
-    ("near_copies", drop_near_copies),
     ("decontamination", drop_contaminated),
     ("mixing", mix_sources),
     ("sharding", shard),
