@@ -3,9 +3,11 @@
 Training counts, over all labelled training documents, in how many toxic and other documents a token occurs (a word, or the
 first 4, 5 or 6 letters of a longer one), and turns the counts into log-odds under a Dirichlet prior of the joint
 frequencies. Tokens are kept whose support is real: enough toxic documents and enough different following words, so that the
-copies of one document do not vouch for its rare words. Every other word costs a constant drift. A linear scan finds all
-maximal segments of positive total; the best is normalised by extreme-value theory (scale from the background scores, minus
-the log of the length), and a logistic model over that, the number and the sum of significant segments gives the score.
+copies of one document do not vouch for its rare words. Tokens score their own log-odds where these differ significantly from
+zero, for or (words only) against; every word without positive ones costs a drift besides, which keeps the background's mean
+negative, as the theory needs. A linear scan finds all maximal segments of positive total; the best is normalised by
+extreme-value theory (scale from the background's scores and their rates a word, minus the log of the length), and a logistic
+model over that, the number and the sum of significant segments gives the score.
 
 Every token with support is scored; only those whose log-odds pass the tests come to the driver. Bounds, all parameters:
 `calibration_rows` labelled rows for the logistic model, and `most_terms` selected tokens, beyond which training refuses and cuts
@@ -27,11 +29,13 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from labelflow.llm.common import binary_text, doc_bucket, materialise
+from labelflow.llm.common import binary_text, doc_bucket, materialise, release
 from labelflow.plans.joins import lookup
 
 PREFIXES = (4, 5, 6)
 CACHE = 400_000
+#: Stands for the number of words; no token is empty.
+WORDS = b""
 _SEPARATORS = bytes(b for b in range(128) if not (48 <= b <= 57 or 97 <= b <= 122))
 _TO_SPACE = bytes.maketrans(_SEPARATORS, b" " * len(_SEPARATORS))
 
@@ -58,12 +62,10 @@ class ToxicityModel:
     weights: tuple[float, ...] = (0.0, 0.0, 0.0, 0.0)
 
     def word_score(self, word: bytes) -> float:
-        best = 0.0
-        for t in tokens_of(word):
-            v = self.odds.get(t, 0.0)
-            if v > best:
-                best = v
-        return best
+        """The largest positive log-odds of a word and its prefixes, else the word's own negative ones less the drift; 0 if none are known."""
+        found = [self.odds[t] for t in tokens_of(word) if t in self.odds]
+        best = max(found, default=0.0)
+        return best if best >= 0 else best - self.drift
 
     def segments(self, words: list[bytes], cache: dict[bytes, float]) -> list[tuple[int, int, float]]:
         """(first word, last word, total) of every maximal segment of positive total."""
@@ -94,24 +96,31 @@ class ToxicityModel:
 
 
 def maximal_segments(hits: list[tuple[int, float]], drift: float) -> list[tuple[int, int, float]]:
-    """All maximal-scoring segments when words outside `hits` cost `drift`; one scan, each hit merged at most once."""
-    held: list[tuple[int, int, float, float]] = []  # first, last, total before, total after
+    """All maximal-scoring segments when words outside `hits` cost `drift`, in time linear in the hits.
+
+    Each held segment knows the nearest earlier one whose total before it is smaller. A hit follows these links, and whatever
+    it passes stands between two such segments from then on and is never looked at again."""
+    held: list[tuple[int, int, float, float, int]] = []  # first, last, total before, total after, link
     total, last = 0.0, -1
     for at, s in hits:
         total -= drift * (at - last - 1)
+        last = at
+        if s <= 0:
+            total += s
+            continue
         first, before = at, total
         total += s
-        last = at
-        while held:
-            j = len(held) - 1
+        j = len(held) - 1
+        while True:
             while j >= 0 and held[j][2] >= before:
-                j -= 1
+                j = held[j][4]
             if j < 0 or held[j][3] >= total:
+                held.append((first, at, before, total, j))
                 break
-            first, before = held[j][0], held[j][2]
+            first, _, before, _, link = held[j]
             del held[j:]
-        held.append((first, at, before, total))
-    return [(a, b, after - before) for a, b, before, after in held]
+            j = link
+    return [(a, b, after - before) for a, b, before, after, _ in held]
 
 
 def _count_toxic(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -148,15 +157,17 @@ def _count_toxic(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def _count_other(known: frozenset[bytes] | None):
-    """Per task: documents of each known token, or of each token."""
+    """Per task: documents of each known token, or of each token; and, under the name WORDS, how many words there are."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: dict[bytes, int] = {}
+        held: dict[bytes, int] = {WORDS: 0}
         cache: dict[bytes, tuple[bytes, ...]] = {}
         for batch in batches:
             for raw in batch.column(0).to_pylist():
                 found: set[bytes] = set()
-                for w in set(words_of(raw)):
+                words = words_of(raw)
+                held[WORDS] = held.get(WORDS, 0) + len(words)
+                for w in set(words):
                     t = cache.get(w)
                     if t is None:
                         if len(cache) >= CACHE:
@@ -208,7 +219,9 @@ def passages(model: ToxicityModel, text: str | None) -> list[tuple[int, int, flo
 def _scale(odds: dict[bytes, float], rates: dict[bytes, float], drift: float) -> float:
     """The positive root of E[exp(root * score)] = 1 over background words: the extreme-value scale of segment totals."""
     hits = sum(rates.values())
-    moment = lambda x: (1.0 - min(0.5, hits)) * math.exp(-x * drift) + sum(r * math.exp(min(700.0, x * odds[t])) for t, r in rates.items())
+    total = max(1.0, hits)
+    value = lambda t: odds[t] if odds[t] >= 0 else odds[t] - drift
+    moment = lambda x: (1.0 - hits / total) * math.exp(-x * drift) + sum(r / total * math.exp(min(700.0, x * value(t))) for t, r in rates.items())
     if not rates or moment(1e-6) >= 1.0:
         return 1.0
     low, high = 1e-6, 1.0
@@ -240,7 +253,7 @@ def train(docs: DataFrame, labels: DataFrame, shared_terms: int = 50_000, most_t
     marks = labels.select(ids, F.col("toxic").alias("_toxic")).filter("doc_id is not null and _toxic is not null").filter(doc_bucket("doc_id", 4) != 2)
     marks = marks.groupBy("doc_id").agg(F.max("_toxic").alias("_toxic"))
     texts = docs.select(ids, binary_text().alias("_raw")).filter("doc_id is not null")
-    labelled = lookup(texts, marks, ["doc_id"], "inner", "doc_id")
+    labelled = materialise(lookup(texts, marks, ["doc_id"], "inner", "doc_id"), "labelled")
     sizes = {r._toxic: r.n for r in marks.join(docs.select(ids), "doc_id").groupBy("_toxic").agg(F.count("*").alias("n")).collect()}
     n_toxic = sum(n for t, n in sizes.items() if t > 0)
     n_other = sum(n for t, n in sizes.items() if t <= 0)
@@ -253,12 +266,15 @@ def train(docs: DataFrame, labels: DataFrame, shared_terms: int = 50_000, most_t
     found = materialise(toxic.filter((F.col("n") >= support) & (F.col("contexts") >= contexts)).select("token", F.col("n").alias("k")), "toxic-terms")
     known = frozenset(bytes(r.token) for r in found.select("token").collect()) if found.count() <= shared_terms else None
     other = labelled.filter("_toxic <= 0").select("_raw").mapInArrow(_count_other(known), "token binary, n long").groupBy("token").agg(F.sum("n").alias("n"))
+    other = materialise(other, "other-terms")
+    n_words = float(max(1, other.filter(F.col("token") == F.lit(WORDS)).agg(F.sum("n")).first()[0] or 0))
     both = found.join(other, "token", "left").select("token", "k", F.coalesce("n", F.lit(0)).alias("n"))
     k, n = F.col("k"), F.col("n")
     share = prior * (k + n) / (n_toxic + n_other)
     odds = F.log((k + share) / (n_toxic + prior - k - share + 1e-9)) - F.log((n + share) / (n_other + prior - n - share + 1e-9))
     spread = F.sqrt(1.0 / (k + 0.5) + 1.0 / (n + 0.5))
-    chosen = materialise(both.filter((odds >= least_odds - 1e-6) & (odds / spread >= 3.0 - 1e-6)), "chosen-terms")
+    against = ~F.col("token").startswith(F.lit(b"^")) & (odds < 0) & (odds / spread <= -3.0 + 1e-6)
+    chosen = materialise(both.filter((odds >= least_odds - 1e-6) & (odds / spread >= 3.0 - 1e-6) | against), "chosen-terms")
     if chosen.count() > most_terms:
         raise ValueError(f"more than {most_terms} tokens are selected: raise least_odds or most_terms")
     rates = {}
@@ -266,9 +282,9 @@ def train(docs: DataFrame, labels: DataFrame, shared_terms: int = 50_000, most_t
         share = prior * (k + n) / (n_toxic + n_other)
         odds = math.log((k + share) / (n_toxic + prior - k - share + 1e-9)) - math.log((n + share) / (n_other + prior - n - share + 1e-9))
         spread = math.sqrt(1.0 / (k + 0.5) + 1.0 / (n + 0.5))
-        if odds >= least_odds and odds / spread >= 3.0:
-            model.odds[t] = min(odds, 8.0)
-            rates[t] = (n + 0.1) / (n_other * 100.0)
+        if odds >= least_odds and odds / spread >= 3.0 or odds < 0 and odds / spread <= -3.0 and not t.startswith(b"^"):
+            model.odds[t] = min(8.0, max(-2.0, odds))
+            rates[t] = (n + 0.1) / n_words
     model.scale = _scale(model.odds, rates, model.drift)
     part = min(1.0, calibration_rows / max(1, n_toxic + n_other))
     sample = labelled.filter(F.pmod(F.xxhash64("doc_id", F.lit(7)), F.lit(1_000_000)) < int(part * 1_000_000))
@@ -277,6 +293,7 @@ def train(docs: DataFrame, labels: DataFrame, shared_terms: int = 50_000, most_t
         x = np.array([[r._f0, r._f1, r._f2] for r in rows])
         y = np.array([1.0 if r._toxic > 0 else 0.0 for r in rows])
         model.weights = _logistic(x, y)
+    release(labelled, found, other, chosen)
     return model
 
 
