@@ -4,7 +4,7 @@ A source's repetition rate is its target share of the output over its rows. Each
 the Poisson distribution of that rate at a uniform number made from the hash of its id and the seed, so draws need no state
 and repeat exactly. A rate above 30 is split into equal parts drawn with hashes of their own, which keeps the inversion within
 double range. Documents are exploded by their count and dealt over partitions by the hash of (id, copy), in whose order each
-partition is sorted: a global shuffle with one exchange.
+partition is sorted: a global shuffle with one exchange, into as many partitions as the expected bytes ask for.
 
 Defined results: rows that repeat an id draw the same count; a null source is a source of its own; a source without a weight, or
 with a weight of zero or less, gets rate zero and no rows; null ids hash as the text `null`; other columns pass through.
@@ -20,6 +20,8 @@ from labelflow.plans.joins import lookup
 
 SEED = 20240613
 PART = 30.0
+#: Bytes of the scanned files (compressed) that one partition of the shuffled output is meant to hold.
+BYTES_PER_PARTITION = 64 << 20
 NO_SOURCE = "\x00"
 
 
@@ -70,6 +72,14 @@ def drawn(docs: DataFrame, rates: DataFrame, seed: int = SEED) -> DataFrame:
     return rows.withColumnRenamed("rate", "_rate").drop("_u", "parts", "cdf", "mix_source")
 
 
+def _bytes_out(docs: DataFrame, total: float | None) -> int:
+    """Expected bytes after replication: what the optimizer knows of the input's size, times rows out over rows in."""
+    size = int(docs._jdf.queryExecution().optimizedPlan().stats().sizeInBytes().toString())
+    if total is None:
+        return size
+    return int(size * min(1e4, total / max(1, docs.count())))
+
+
 def mix(docs: DataFrame, weights: DataFrame | None = None, total: float | None = None, temperature: float = 0.7, seed: int = SEED) -> DataFrame:
     """Documents replicated to the target mix and shuffled, with _rate, _copies, _copy (from 0) and _key (the shuffle's order).
 
@@ -80,5 +90,5 @@ def mix(docs: DataFrame, weights: DataFrame | None = None, total: float | None =
     rates = source_rates(docs, weights, total, temperature)
     rows = drawn(docs, rates, seed).filter("_copies > 0")
     rows = rows.withColumn("_copy", F.explode(F.sequence(F.lit(0), F.col("_copies") - 1))).withColumn("_key", shuffle_key(F.col("doc_id"), F.col("_copy"), seed))
-    n = partitions_for(docs.sparkSession, 0, 1)
+    n = partitions_for(docs.sparkSession, _bytes_out(docs, total), BYTES_PER_PARTITION)
     return rows.repartition(n, "_key").sortWithinPartitions("_key", "doc_id")

@@ -32,8 +32,9 @@ def op4_kd_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op5_poisson_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = table(spark, sf_dir, "documents").select("doc_id", "source")
-    return mixing.mix(docs).select("doc_id", "source", F.round("_rate", 9).alias("rate"), F.col("_copies").cast("long").alias("n_copies"), F.col("_copy").cast("long").alias("copy"), F.col("_key").alias("shuffle_key"))
+    mixed = mixing.mix(table(spark, sf_dir, "documents"))  # whole rows are replicated and shuffled; the digest is taken after
+    drawn = [F.round("_rate", 9).alias("rate"), F.col("_copies").cast("long").alias("n_copies"), F.col("_copy").cast("long").alias("copy"), F.col("_key").alias("shuffle_key")]
+    return mixed.select("doc_id", "source", "lang", "n_chars", *drawn, F.octet_length("text").cast("long").alias("n_bytes"), F.sha2("text", 256).alias("text_sha256"))
 
 
 def op6_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -103,7 +104,9 @@ d AS (SELECT doc_id, source, unnest(range(0, parts)) AS part FROM documents JOIN
 u AS (SELECT doc_id, source, CAST('0x' || substr(md5('20240613:' || doc_id || ':' || part), 1, 13) AS BIGINT) / 4503599627370496.0 AS u FROM d),
 m AS (SELECT u.doc_id, u.source, any_value(rate) AS rate, count(*) FILTER (WHERE c.c <= u.u) AS n_copies FROM u JOIN c ON u.source = c.source GROUP BY u.doc_id, u.source),
 e AS (SELECT *, unnest(range(0, n_copies)) AS copy FROM m)
-SELECT doc_id, source, round(rate, 9) AS rate, n_copies, copy, CAST('0x' || substr(md5('20240613/copy:' || doc_id || ':' || copy), 1, 15) AS BIGINT) AS shuffle_key FROM e
+SELECT e.doc_id, e.source, t.lang, t.n_chars, round(rate, 9) AS rate, n_copies, copy, CAST('0x' || substr(md5('20240613/copy:' || e.doc_id || ':' || copy), 1, 15) AS BIGINT) AS shuffle_key,
+       strlen(t.text) AS n_bytes, sha256(t.text) AS text_sha256
+FROM e JOIN documents t ON e.doc_id = t.doc_id
 """
 
 SQL_OP6 = r"""
