@@ -38,6 +38,8 @@ SEED = 42
 RUN = 2048
 SLICES = 4
 VARIANTS_PER_BUCKET = 2_000_000
+#: A task ships one run per bucket, so buckets of few variants would make more runs than they hold work.
+LEAST_IN_BUCKET = 500_000
 FEW_LINKS = 10_000
 HASHES_AT_ONCE = 1 << 18
 #: An odd factor scatters variants over slices and buckets; as a bijection it keeps equality.
@@ -179,7 +181,7 @@ def _pass(state: DataFrame, n: int, radius: int, space: tuple[int, int]) -> Data
     """Links between roots that the variants of one pass make."""
     spark = state.sparkSession
     share = n * len(ball(radius // 2)) * (space[1] - space[0] >> 40) >> 24
-    buckets = partitions_for(spark, share, VARIANTS_PER_BUCKET)
+    buckets = max(1, -(-share // VARIANTS_PER_BUCKET), min(share // LEAST_IN_BUCKET, partitions_for(spark, 0, 1)))
     spread = state.repartitionByRange(partitions_for(spark, n, RUN * 4), "root", "print").sortWithinPartitions("root", "print")
     rows = spread.select("print", "root").mapInArrow(_emit(radius, space, buckets), "bucket int, keys binary, marks binary, roots binary, a binary, b binary")
     return materialise(rows.groupBy("bucket").applyInArrow(_meet(radius), "u long, v long"), "links")
