@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from labelflow.llm.common import binary_text, materialise, release
+from labelflow.llm.common import binary_text, join_groups, materialise, release
 
 WHITE = b" \t\n\x0b\x0c\r"
 CHUNK = 1 << 16
@@ -137,12 +137,11 @@ KEY = ["n_bytes", "print", "round"]
 
 
 def _with_group(prints: DataFrame) -> DataFrame:
-    """Adds the group's size and the row that would stay. Groups are counted before the shuffle, and large ones dealt over salts."""
+    """Adds the group's size and the row that would stay. Groups are counted before the shuffle; only the rows of large ones are salted."""
     order = F.struct("n_points", F.col("doc_id").isNotNull().alias("has_id"), F.bitwise_not(F.coalesce("doc_id", F.lit(0))).alias("id_down"), F.bitwise_not("rid").alias("rid_down"), "doc_id", "text_sha256", "rid")
     groups = prints.groupBy(*KEY).agg(F.count("*").alias("group_size"), F.max(order).alias("best")).filter("group_size > 1")
-    groups = groups.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(MOST_SALTS - 1)))).select(*KEY, "salt", "group_size", F.col("best.doc_id").alias("keep_id"), F.col("best.rid").alias("keep_rid"), F.col("best.text_sha256").alias("keep_sha"))
-    salted = prints.withColumn("salt", F.pmod(F.xxhash64("rid"), F.lit(MOST_SALTS)).cast("int"))
-    out = salted.join(groups, [*KEY, "salt"], "left").drop("salt")
+    groups = groups.select(*KEY, "group_size", F.col("best.doc_id").alias("keep_id"), F.col("best.rid").alias("keep_rid"), F.col("best.text_sha256").alias("keep_sha"))
+    out = join_groups(prints, groups, KEY, "group_size", ["rid"], ROWS_PER_SALT)
     return out.select(
         *prints.columns,
         F.coalesce("group_size", F.lit(1)).alias("group_size"),
@@ -190,5 +189,6 @@ def exact_dedup(docs: DataFrame) -> DataFrame:
             break
         level += 1  # collisions: what differs forms groups of its own, until all groups are of one text
         moved = differ.withColumn("moved", F.lit(level))
-        prints = materialise(prints.join(moved, "rid", "left").withColumn("round", F.coalesce("moved", "round")).drop("moved"), "prints")
+        was, prints = prints, materialise(prints.join(moved, "rid", "left").withColumn("round", F.coalesce("moved", "round")).drop("moved"), "prints")
+        release(was, grouped, differ)
     return grouped.select("doc_id", "keep_id", F.col("group_size").cast("long").alias("group_size"), (F.col("rid") == F.col("keep_rid")).alias("kept"), "text_sha256")

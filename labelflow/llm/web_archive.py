@@ -29,7 +29,7 @@ from pyarrow import fs as pafs
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from labelflow.llm.common import binary_text, materialise, new_path
+from labelflow.llm.common import binary_text, join_groups, materialise, new_path
 
 #: Signatures and sizes of the ZIP format, and the WARC version line: fixed values.
 LOCAL, CENTRAL, END, END64, LOCATOR64 = b"PK\x03\x04", b"PK\x01\x02", b"PK\x05\x06", b"PK\x06\x06", b"PK\x06\x07"
@@ -42,7 +42,6 @@ DATA, INDEX = "archive/data.warc.gz", "indexes/index.cdxj"
 PACKAGE_BYTES = 256 << 20
 LINES_PER_SPLIT = 2_000
 LEAST_BYTES = 1000
-SALTS = 64
 _WHEN = datetime(2024, 1, 1, tzinfo=UTC).strftime("%Y-%m-%dT%H:%M:%SZ")
 
 
@@ -208,14 +207,12 @@ def _page_of(urn: str) -> int | None:
 
 def plan_records(pages: DataFrame, least_bytes: int = LEAST_BYTES) -> DataFrame:
     """page_id, url, payload, payload_bytes, payload_digest, record_type, refers_to. Only repeated payloads take part in the
-    lookup, each under several salts, so one payload of a third of all pages is dealt over tasks."""
+    lookup, and the pages of a payload that many share are dealt over tasks."""
     rows = pages.select(F.col("page_id").cast("long").alias("page_id"), F.coalesce(F.col("url"), F.concat(F.lit("urn:page:"), F.coalesce(F.col("page_id").cast("string"), F.lit("None")))).alias("url"), binary_text("html").alias("payload"))
     rows = rows.withColumn("payload_bytes", F.length("payload").cast("long")).withColumn("payload_digest", F.sha1("payload"))
     long_enough = F.col("payload_bytes") >= least_bytes
-    keys = rows.filter(long_enough).groupBy("payload_digest", "payload_bytes").agg(F.max("page_id").alias("first_id"), F.count("*").alias("copies")).filter("copies > 1").drop("copies")
-    keys = keys.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
-    salted = rows.withColumn("salt", F.pmod(F.xxhash64("page_id", "url"), F.lit(SALTS)).cast("int"))
-    out = salted.join(keys, ["payload_digest", "payload_bytes", "salt"], "left")
+    keys = rows.filter(long_enough).groupBy("payload_digest", "payload_bytes").agg(F.max("page_id").alias("first_id"), F.count("*").alias("copies")).filter("copies > 1")
+    out = join_groups(rows, keys, ["payload_digest", "payload_bytes"], "copies", ["page_id", "url"])
     revisit = F.col("first_id").isNotNull() & ~F.col("page_id").eqNullSafe(F.col("first_id"))
     return out.select("page_id", "url", "payload", "payload_bytes", "payload_digest", F.when(revisit, F.lit("revisit")).otherwise(F.lit("response")).alias("record_type"), F.when(revisit, F.col("first_id")).alias("refers_to"))
 
