@@ -1,9 +1,11 @@
 """Log-structured index of window fingerprints, and substring deduplication over it.
 
-A window is `width` consecutive words of one document. Each ingested batch is cut into sorted runs of (64-bit hash, 16-bit
-check hash, smallest document), dealt over hash buckets, merge-joined inside a bucket with each other and with the sorted
-immutable runs of earlier batches, and what is new is written as one more run. A second hash of the same words verifies a
-match. Once `fanout` runs exist they are compacted into one before the next batch.
+A window is `width` consecutive words of one document. Each ingested batch is cut into sorted runs of (64-bit hash, smallest
+document), dealt over hash buckets, merge-joined inside a bucket with each other and with the sorted immutable runs of
+earlier batches, and what is new is written as one more run. Once `fanout` runs exist they are compacted into one before the
+next batch. A match names the document that its window comes from, and is verified on the words: both documents digest the
+13 words in question (128 bits of BLAKE2), digests meet by hash, and a hash with any failed match is settled for all documents
+by (hash, digest), so equal hashes of other words neither remove a word nor hide a repeat.
 
 Before anything is shuffled each task keeps one row per distinct window of its own documents and settles the others there,
 so a passage that a third of all documents share costs a row per task, not a row per document.
@@ -17,7 +19,9 @@ from __future__ import annotations
 
 import hashlib
 import json
+import os
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -27,17 +31,22 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from labelflow.llm.common import binary_text, id_column, materialise, new_path, partitions_for, release, remove_path, shuffle_cleanup
+from labelflow.plans.joins import lookup
 
 WIDTH = 13
 CHUNK_WORDS = 1_000_000
 WINDOWS_PER_BUCKET = 4_000_000
 LEAST_BUCKETS = 256
-FANOUT = 4
+FANOUT = 3
 BYTES_PER_WORD = 6
-ROWS = "bucket int, kind int, base long, hashes binary, checks binary, docs binary"
+ROWS = "bucket int, kind int, base long, hashes binary, docs binary"
+FLAGS = "doc_id long, hashes binary, sources binary"
+#: Hashes with a failed match that one round settles.
+ODD_AT_ONCE = 1_000_000
+NO_ID = int(np.iinfo(np.int64).min)
 _rng = np.random.default_rng(20240607)
-#: Odd multipliers by place in the window, for the hash and for the check; derived from a fixed seed.
-_FACTORS = _rng.integers(1, 1 << 63, size=(2, 256), dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+#: Odd multipliers by place in the window; derived from a fixed seed.
+_FACTORS = _rng.integers(1, 1 << 63, size=256, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 
 
 def word_hashes(words: list[bytes]) -> np.ndarray:
@@ -50,80 +59,61 @@ def _mix(h: np.ndarray) -> np.ndarray:
     return h ^ (h >> np.uint64(32))
 
 
-def window_hashes(words: np.ndarray, width: int) -> np.ndarray:
-    """64-bit hash of each run of `width` word hashes."""
+def window_hashes(words: np.ndarray, width: int, bits: int = 64) -> np.ndarray:
+    """Hash of each run of `width` word hashes; fewer `bits` than 64 make collisions, for tests."""
     n = len(words) - width + 1
     if n <= 0:
         return np.empty(0, np.uint64)
     h = np.zeros(n, np.uint64)
     for j in range(width):
-        h += words[j : j + n] * _FACTORS[0, j]
-    return _mix(h)
+        h += words[j : j + n] * _FACTORS[j]
+    return _mix(h) if bits == 64 else _mix(h) >> np.uint64(64 - bits) << np.uint64(64 - bits)
 
 
-def window_checks(words: np.ndarray, width: int) -> np.ndarray:
-    """32-bit hash of the same windows from other bits of the words, to verify a match of the first."""
-    n = len(words) - width + 1
-    if n <= 0:
-        return np.empty(0, np.uint32)
-    turned = _mix(words)
-    h = np.zeros(n, np.uint64)
-    for j in range(width):
-        h += turned[j : j + n] * _FACTORS[1, j]
-    return (_mix(h) >> np.uint64(32)).astype(np.uint32)
+def window_digests(words: list[bytes], starts: np.ndarray, width: int) -> np.ndarray:
+    """(n, 2) words of a 128-bit digest of the words of each window; a word has no white space, so one space joins them apart."""
+    flat = b"".join(hashlib.blake2b(b" ".join(words[i : i + width]), digest_size=16).digest() for i in starts.tolist())
+    return np.frombuffer(flat, np.uint64).reshape(-1, 2)
 
 
-def settle(h: np.ndarray, c: np.ndarray, d: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """Distinct sorted windows: hash, check, smallest document; and the rows (as indices) that a smaller document beats."""
+def settle(h: np.ndarray, d: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Distinct sorted hashes with their smallest document; and the rows (as indices) that a smaller document beats, with that document."""
     if not len(h):
-        return h, c, d, np.empty(0, np.int64)
+        return h, d, np.empty(0, np.int64), d
     order = np.argsort(h)
-    hs, cs = h[order], c[order]
+    hs, ds = h[order], d[order]
     first = np.concatenate(([True], hs[1:] != hs[:-1]))
     at = np.flatnonzero(first)
-    group = np.cumsum(first) - 1
-    if np.any(cs != cs[at][group]):  # equal hashes, other words: the check splits them
-        order = np.lexsort((c, h))
-        hs, cs = h[order], c[order]
-        first = np.concatenate(([True], (hs[1:] != hs[:-1]) | (cs[1:] != cs[:-1])))
-        at = np.flatnonzero(first)
-        group = np.cumsum(first) - 1
-    ds = d[order]
     least = np.minimum.reduceat(ds, at)
-    return hs[at], cs[at], least, order[ds > least[group]]
+    source = least[np.cumsum(first) - 1]
+    beaten = ds > source
+    return hs[at], least, order[beaten], source[beaten]
 
 
-def present(h: np.ndarray, c: np.ndarray, old_h: np.ndarray, old_c: np.ndarray) -> np.ndarray:
-    """Which of the sorted windows a sorted run holds."""
-    out = np.zeros(len(h), bool)
+def present(h: np.ndarray, old_h: np.ndarray, old_d: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Which of the sorted hashes a sorted run holds, and the document each of these has there."""
     if not len(old_h):
-        return out
-    lo = np.searchsorted(old_h, h)
-    todo = np.flatnonzero(lo < len(old_h))
-    while len(todo):
-        todo = todo[old_h[lo[todo]] == h[todo]]
-        hit = old_c[lo[todo]] == c[todo]
-        out[todo[hit]] = True
-        todo = todo[~hit]
-        lo[todo] += 1
-        todo = todo[lo[todo] < len(old_h)]
-    return out
+        return np.zeros(len(h), bool), old_d[:0]
+    at = np.minimum(np.searchsorted(old_h, h), len(old_h) - 1)
+    hit = old_h[at] == h
+    return hit, old_d[at[hit]]
 
 
-def _flag_rows(ids: np.ndarray, hashes: np.ndarray) -> tuple[list[int], list[bytes]]:
-    if not len(ids):
-        return [], []
-    order = np.argsort(ids, kind="stable")
-    ids, hashes = ids[order], hashes[order]
-    cut = np.flatnonzero(np.concatenate(([True], ids[1:] != ids[:-1])))
-    ends = np.append(cut[1:], len(ids))
-    return ids[cut].tolist(), [hashes[a:b].tobytes() for a, b in zip(cut, ends, strict=True)]
+def _by_doc(ids: np.ndarray, *columns: np.ndarray) -> Iterator[tuple]:
+    """(id, bytes of each column) for each id."""
+    if len(ids):
+        order = np.argsort(ids, kind="stable")
+        ids, columns = ids[order], [c[order] for c in columns]
+        cut = np.flatnonzero(np.concatenate(([True], ids[1:] != ids[:-1])))
+        for a, b in zip(cut, np.append(cut[1:], len(ids)), strict=True):
+            yield (int(ids[a]), *(c[a:b].tobytes() for c in columns))
 
 
-def _batch(rows: list[tuple]) -> pa.RecordBatch:
-    cols = list(zip(*rows, strict=True)) if rows else [[]] * 6
-    kinds = (pa.int32(), pa.int32(), pa.int64(), pa.binary(), pa.binary(), pa.binary())
-    return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds, strict=True)], names=["bucket", "kind", "base", "hashes", "checks", "docs"])
+def _arrow(rows: list[tuple], schema: str) -> pa.RecordBatch:
+    kinds = {"int": pa.int32(), "long": pa.int64(), "binary": pa.binary(), "boolean": pa.bool_()}
+    fields = [f.split() for f in schema.split(", ")]
+    cols = list(zip(*rows, strict=True)) if rows else [[]] * len(fields)
+    return pa.RecordBatch.from_arrays([pa.array(c, kinds[k]) for c, (_, k) in zip(cols, fields, strict=True)], names=[n for n, _ in fields])
 
 
 def _narrow(d: np.ndarray) -> tuple[int, bytes]:
@@ -139,29 +129,33 @@ def _widen(base: int, raw: bytes, n: int) -> np.ndarray:
     return (np.frombuffer(raw, kind).astype(np.uint64) + np.uint64(base & 0xFFFFFFFFFFFFFFFF)).astype(np.int64)
 
 
-def _runs_of(width: int, buckets: int):
+def bucket_edges(buckets: int) -> np.ndarray:
+    return (np.arange(1, buckets, dtype=np.float64) * (2.0**64 / buckets)).astype(np.uint64)
+
+
+def _runs_of(width: int, buckets: int, bits: int):
     """Map side: sorted runs of distinct windows by bucket, and what is already settled among the task's own documents."""
-    edges = (np.arange(1, buckets, dtype=np.float64) * (2.0**64 / buckets)).astype(np.uint64)
+    edges = bucket_edges(buckets)
 
     def flush(parts: list[np.ndarray], ids: list[int]) -> pa.RecordBatch:
         words = np.concatenate(parts)
         ends = np.cumsum([len(p) for p in parts])
         owner = np.repeat(np.arange(len(parts)), [len(p) for p in parts])
-        h, c = window_hashes(words, width), window_checks(words, width)
+        h = window_hashes(words, width, bits)
         start = np.arange(len(h))
         valid = start + width <= ends[owner[: len(h)]]
-        h, c, d = h[valid], c[valid], np.asarray(ids, np.int64)[owner[: len(valid)][valid]]
-        uh, uc, ud, beaten = settle(h, c, d)
+        h, d = h[valid], np.asarray(ids, np.int64)[owner[: len(valid)][valid]]
+        uh, ud, beaten, sources = settle(h, d)
         rows = []
         cuts = np.concatenate(([0], np.searchsorted(uh, edges), [len(uh)]))
         for b in range(buckets):
             lo, hi = cuts[b], cuts[b + 1]
             if hi > lo:
                 base, docs = _narrow(ud[lo:hi])
-                rows.append((b, 0, base, uh[lo:hi].tobytes(), uc[lo:hi].tobytes(), docs))
-        for doc, raw in zip(*_flag_rows(d[beaten], h[beaten]), strict=True):
-            rows.append((xxhash.xxh64_intdigest(doc.to_bytes(8, "little", signed=True)) % buckets, 1, doc, raw, b"", b""))
-        return _batch(rows)
+                rows.append((b, 0, base, uh[lo:hi].tobytes(), docs))
+        for doc, hashes, raw in _by_doc(d[beaten], h[beaten], sources):
+            rows.append((xxhash.xxh64_intdigest(doc.to_bytes(8, "little", signed=True)) % buckets, 1, doc, hashes, raw))
+        return _arrow(rows, ROWS)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         parts, ids, held = [], [], 0
@@ -185,23 +179,38 @@ def _read_run(path: str, bucket: int) -> tuple[np.ndarray, np.ndarray]:
     store, root = pafs.FileSystem.from_uri(path)
     name = f"{root}/{bucket:08d}.run"
     if store.get_file_info(name).type == pafs.FileType.NotFound:
-        return np.empty(0, np.uint64), np.empty(0, np.uint32)
+        return np.empty(0, np.uint64), np.empty(0, np.int64)
     with store.open_input_file(name) as f:
         raw = f.read()
-    n = len(raw) // 12
-    return np.frombuffer(raw, np.uint64, n), np.frombuffer(raw, np.uint32, n, offset=8 * n)
+    n, base = np.frombuffer(raw, np.int64, 2).tolist()
+    return np.frombuffer(raw, np.uint64, n, offset=16), _widen(base, raw[16 + 8 * n :], n)
+
 
+def _write_run(path: str, bucket: int, h: np.ndarray, d: np.ndarray) -> None:
+    """One bucket of an immutable run: how many, the smallest document, the hashes, the documents less the smallest.
 
-def _write_run(path: str, bucket: int, h: np.ndarray, c: np.ndarray) -> None:
-    """One bucket of an immutable run; a repeated task writes the same bytes under the same name."""
+    Every attempt of a task writes the same bytes, under a name of its own first. The first to move its file in place wins; a
+    later one finds the file there and drops its own."""
+    if not len(h):
+        return
     store, root = pafs.FileSystem.from_uri(path)
     store.create_dir(root, recursive=True)
     name = f"{root}/{bucket:08d}.run"
-    held = f"{root}/.{bucket:08d}.{xxhash.xxh64_hexdigest(np.random.bytes(16))}"
+    there = lambda: store.get_file_info(name).type != pafs.FileType.NotFound
+    if there():
+        return
+    held = f"{root}/.{bucket:08d}.{os.urandom(8).hex()}"
+    base, docs = _narrow(d)
     with store.open_output_stream(held) as f:
+        f.write(np.array([len(h), base], np.int64).tobytes())
         f.write(h.tobytes())
-        f.write(c.tobytes())
-    store.move(held, name)
+        f.write(docs)
+    try:
+        store.move(held, name)
+    except OSError:
+        if not there():
+            raise
+        store.delete_file(held)
 
 
 def _merge_bucket(history: list[str], target: str):
@@ -209,26 +218,24 @@ def _merge_bucket(history: list[str], target: str):
 
     def run(key: tuple, group: pa.Table) -> pa.Table:
         bucket = key[0].as_py()
-        hs, cs, ds, out_ids, out_flags = [], [], [], [], []
-        for kind, base, rh, rc, rd in zip(*(group[c].to_pylist() for c in ("kind", "base", "hashes", "checks", "docs")), strict=True):
+        hs, ds, out = [], [], []
+        for kind, base, rh, rd in zip(*(group[c].to_pylist() for c in ("kind", "base", "hashes", "docs")), strict=True):
             if kind == 1:
-                out_ids.append(base)
-                out_flags.append(rh)
+                out.append((base, rh, rd))
             else:
                 hs.append(np.frombuffer(rh, np.uint64))
-                cs.append(np.frombuffer(rc, np.uint32))
                 ds.append(_widen(base, rd, len(hs[-1])))
         if hs:
-            h, c, d = np.concatenate(hs), np.concatenate(cs), np.concatenate(ds)
-            uh, uc, ud, beaten = settle(h, c, d)
-            known = np.zeros(len(uh), bool)
+            h, d = np.concatenate(hs), np.concatenate(ds)
+            uh, ud, beaten, sources = settle(h, d)
+            out += _by_doc(d[beaten], h[beaten], sources)
+            fresh = np.ones(len(uh), bool)
             for path in history:
-                known |= present(uh, uc, *_read_run(path, bucket))
-            more_ids, more = _flag_rows(np.concatenate((d[beaten], ud[known])), np.concatenate((h[beaten], uh[known])))
-            out_ids += more_ids
-            out_flags += more
-            _write_run(target, bucket, uh[~known], uc[~known])
-        return pa.table({"doc_id": pa.array(out_ids, pa.int64()), "hashes": pa.array(out_flags, pa.binary())})
+                hit, sources = present(uh, *_read_run(path, bucket))
+                out += _by_doc(ud[hit], uh[hit], sources)
+                fresh &= ~hit
+            _write_run(target, bucket, uh[fresh], ud[fresh])
+        return pa.Table.from_batches([_arrow(out, FLAGS)])
 
     return run
 
@@ -238,9 +245,8 @@ def _compact_bucket(sources: list[str], target: str):
         for batch in batches:
             for bucket in batch.column(0).to_pylist():
                 runs = [_read_run(p, bucket) for p in sources]
-                h, c = np.concatenate([r[0] for r in runs]), np.concatenate([r[1] for r in runs])
-                h, c, _, _ = settle(h, c, np.zeros(len(h), np.int64))
-                _write_run(target, bucket, h, c)
+                h, d, _, _ = settle(np.concatenate([r[0] for r in runs]), np.concatenate([r[1] for r in runs]))
+                _write_run(target, bucket, h, d)
             yield batch
 
     return run
@@ -249,11 +255,11 @@ def _compact_bucket(sources: list[str], target: str):
 class WindowIndex:
     """Sorted immutable runs of the windows seen so far, in a folder that all executors share."""
 
-    def __init__(self, spark: SparkSession, buckets: int, width: int = WIDTH, path: str | None = None, fanout: int = FANOUT):
-        self.spark, self.width, self.buckets, self.fanout = spark, width, buckets, fanout
+    def __init__(self, spark: SparkSession, buckets: int, width: int = WIDTH, path: str | None = None, fanout: int = FANOUT, bits: int = 64):
+        self.spark, self.width, self.buckets, self.fanout, self.bits = spark, width, buckets, fanout, bits
         self.path = path or new_path(spark, "windows")
         self.runs: list[str] = []
-        self.made = 0
+        self.made = self.compactions = 0
 
     def _next(self) -> str:
         self.made += 1
@@ -261,23 +267,23 @@ class WindowIndex:
 
     def manifest(self) -> str:
         """What to keep beside the runs in order to open the index again."""
-        return json.dumps({"width": self.width, "buckets": self.buckets, "runs": self.runs, "made": self.made})
+        return json.dumps({"width": self.width, "buckets": self.buckets, "fanout": self.fanout, "bits": self.bits, "runs": self.runs, "made": self.made})
 
     @classmethod
     def open(cls, spark: SparkSession, path: str, manifest: str) -> WindowIndex:
         held = json.loads(manifest)
-        out = cls(spark, held["buckets"], held["width"], path)
+        out = cls(spark, held["buckets"], held["width"], path, held["fanout"], held["bits"])
         out.runs, out.made = held["runs"], held["made"]
         return out
 
     def ingest(self, docs: DataFrame) -> DataFrame:
-        """Adds a batch of (doc_id, text) whose ids are all larger than those before; returns (doc_id, hashes): the windows
-        of a document that started in a smaller one. Compacts first where the log has grown to `fanout` runs."""
+        """Adds a batch of (doc_id, text) whose ids are all larger than those before; returns (doc_id, hashes, sources): the
+        windows of a document whose hash started in a smaller one, and that one. Compacts first where the log has grown to `fanout` runs."""
         if len(self.runs) >= self.fanout:
             self.compact()
         target = self._next()
-        rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), binary_text().alias("raw")).mapInArrow(_runs_of(self.width, self.buckets), ROWS)
-        flags = materialise(rows.groupBy("bucket").applyInArrow(_merge_bucket(list(self.runs), target), "doc_id long, hashes binary"), "flags")
+        rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), binary_text().alias("raw")).mapInArrow(_runs_of(self.width, self.buckets, self.bits), ROWS)
+        flags = materialise(rows.groupBy("bucket").applyInArrow(_merge_bucket(list(self.runs), target), FLAGS), "flags")
         self.runs.append(target)
         return flags
 
@@ -290,6 +296,7 @@ class WindowIndex:
         with shuffle_cleanup(self.spark):
             ids.mapInArrow(_compact_bucket(old, target), "id long").count()
         self.runs = [target]
+        self.compactions += 1
         for path in old:
             remove_path(self.spark, path)
 
@@ -298,7 +305,142 @@ class WindowIndex:
         self.runs = []
 
 
-def _remove(width: int):
+WORK = "bucket int, kind int, doc_base long, source_base long, hashes binary, docs binary, sources binary, digests binary"
+VERDICTS = "doc_id long, hashes binary, digests binary, sure boolean"
+
+
+def _sources(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Of flags: for each source the hashes that it must show the words of."""
+    for batch in batches:
+        if batch.num_rows:
+            h, s = (np.frombuffer(b"".join(batch.column(k).to_pylist()), t) for k, t in ((1, np.uint64), (2, np.int64)))
+            order = np.lexsort((h, s))
+            h, s = h[order], s[order]
+            new = np.concatenate(([True], (h[1:] != h[:-1]) | (s[1:] != s[:-1])))
+            yield _arrow([(doc, hashes, None) for doc, hashes in _by_doc(s[new], h[new])], FLAGS)
+
+
+def _windows_among(words: list[bytes], wanted: np.ndarray, width: int, bits: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Starts, hashes and digests of the windows whose hash is among the sorted wanted ones."""
+    h = window_hashes(word_hashes(words), width, bits)
+    at = np.minimum(np.searchsorted(wanted, h), len(wanted) - 1)
+    starts = np.flatnonzero(wanted[at] == h) if len(h) else np.empty(0, np.int64)
+    return starts, h[starts], window_digests(words, starts, width)
+
+
+def _digests(width: int, buckets: int, bits: int):
+    """Of documents with flags and wanted hashes: by bucket, the digests of the windows that ask and of those that answer."""
+    edges = bucket_edges(buckets)
+
+    def out(kind: int, parts: list[tuple[np.ndarray, ...]]) -> list[tuple]:
+        h, d, s, g = (np.concatenate(c) for c in zip(*parts, strict=True))
+        order = np.argsort(h)
+        h, d, s, g = h[order], d[order], s[order], g[order]
+        cuts = np.concatenate(([0], np.searchsorted(h, edges), [len(h)])).tolist()
+        rows = []
+        for b, (x, y) in enumerate(zip(cuts[:-1], cuts[1:], strict=True)):
+            if y > x:
+                (doc_base, docs), (source_base, sources) = _narrow(d[x:y]), _narrow(s[x:y])
+                rows.append((b, kind, doc_base, source_base, h[x:y].tobytes(), docs, sources, g[x:y].tobytes()))
+        return rows
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            asks, answers = [], []
+            for doc, raw, work in zip(*(batch.column(k).to_pylist() for k in range(3)), strict=True):
+                mine = [(np.frombuffer(w["hashes"], np.uint64), np.frombuffer(w["sources"], np.int64)) for w in work if w["sources"] is not None]
+                asked = [np.frombuffer(w["hashes"], np.uint64) for w in work if w["sources"] is None]
+                words = raw.split()
+                _, h, g = _windows_among(words, np.unique(np.concatenate([*(m[0] for m in mine), *asked])), width, bits)
+                each = np.unique(np.column_stack([h, g]), axis=0)  # sorted by hash
+                h, g = np.ascontiguousarray(each[:, 0]), each[:, 1:]
+                if mine:
+                    flag, source = (np.concatenate(c) for c in zip(*mine, strict=True))
+                    low, high = np.searchsorted(h, flag), np.searchsorted(h, flag, "right")
+                    n = high - low
+                    at = np.repeat(low, n) + np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
+                    asks.append((h[at], np.full(len(at), doc, np.int64), np.repeat(source, n), g[at]))
+                if asked:
+                    at = np.flatnonzero(np.isin(h, np.concatenate(asked)))
+                    answers.append((h[at], np.full(len(at), doc, np.int64), np.full(len(at), doc, np.int64), g[at]))
+            rows = [r for kind, parts in ((0, asks), (1, answers)) if parts for r in out(kind, parts)]
+            if rows:
+                yield _arrow(rows, WORK)
+
+    return run
+
+
+def _confirm(key: tuple, group: pa.Table) -> pa.Table:
+    """Of a bucket: the flags of hashes whose every match has equal words; and the hashes with a failed match."""
+    parts: tuple[list, list] = ([], [])
+    for kind, doc_base, source_base, rh, rd, rs, rg in zip(*(group[c].to_pylist() for c in ("kind", "doc_base", "source_base", "hashes", "docs", "sources", "digests")), strict=True):
+        h = np.frombuffer(rh, np.uint64)
+        parts[kind].append((h, _widen(doc_base, rd, len(h)), _widen(source_base, rs, len(h)), np.frombuffer(rg, np.uint64).reshape(-1, 2)))
+    if not parts[0]:
+        return pa.Table.from_batches([_arrow([], VERDICTS)])
+    h, d, s, g = (np.concatenate(c) for c in zip(*parts[0], strict=True))
+    same = np.zeros(len(h), bool)
+    if parts[1]:
+        ah, _, at_doc, ag = (np.concatenate(c) for c in zip(*parts[1], strict=True))
+        order = np.argsort(names := ah ^ _mix(at_doc.view(np.uint64)))
+        names, ah, at_doc, ag = names[order], ah[order], at_doc[order], ag[order]
+        mine = h ^ _mix(s.view(np.uint64))
+        low = np.searchsorted(names, mine)
+        todo = np.flatnonzero(low < len(names))
+        while len(todo):
+            todo = todo[names[low[todo]] == mine[todo]]
+            at = low[todo]
+            hit = (ah[at] == h[todo]) & (at_doc[at] == s[todo]) & (ag[at] == g[todo]).all(axis=1)
+            same[todo[hit]] = True
+            todo = todo[~hit]
+            low[todo] += 1
+            todo = todo[low[todo] < len(names)]
+    odd = np.unique(h[~same])
+    sure = ~np.isin(h, odd)
+    rows = [(doc, hashes, None, True) for doc, hashes in _by_doc(d[sure], h[sure])]
+    return pa.Table.from_batches([_arrow(rows + [(None, odd.tobytes(), None, False)] * bool(len(odd)), VERDICTS)])
+
+
+def _odd_windows(odd: np.ndarray, width: int, bits: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            rows = set()
+            for doc, raw in zip(id_column(batch).tolist(), batch.column(1).to_pylist(), strict=True):
+                _, h, g = _windows_among(raw.split(), odd, width, bits)
+                rows |= {(doc, x.tobytes(), y.tobytes()) for x, y in zip(h, g, strict=True)}
+            yield _arrow(list(rows), "doc_id long, hashes binary, digests binary")
+
+    return run
+
+
+def _settled(docs: DataFrame, odd: DataFrame, width: int, bits: int) -> DataFrame:
+    """Flags (doc_id, hashes, digests) of hashes with a failed match, from the digests of all their windows."""
+    hashes = materialise(odd.selectExpr("explode(transform(sequence(0, cast(length(hashes) / 8 as int) - 1), i -> substring(hashes, i * 8 + 1, 8))) as h").distinct(), "odd")
+    n, out = hashes.count(), []
+    rounds = -(-n // ODD_AT_ONCE)
+    for k in range(rounds):
+        some = hashes.filter(F.pmod(F.xxhash64("h"), F.lit(rounds)) == k) if rounds > 1 else hashes
+        held = np.sort(np.frombuffer(b"".join(bytes(r.h) for r in some.collect()), np.uint64))  # about ODD_AT_ONCE, by the number of rounds
+        rows = materialise(docs.select(F.col("doc_id").cast("long").alias("doc_id"), binary_text().alias("raw")).mapInArrow(_odd_windows(held, width, bits), "doc_id long, hashes binary, digests binary"), "odd-windows")
+        firsts = materialise(rows.groupBy("hashes", "digests").agg(F.min("doc_id").alias("least")), "odd-firsts")
+        out.append(materialise(lookup(rows, firsts, ["hashes", "digests"], "inner", "doc_id").filter("doc_id > least").select("doc_id", "hashes", "digests"), "odd-flags"))
+        release(rows, firsts)
+    return reduce(DataFrame.unionByName, out)
+
+
+def verified(docs: DataFrame, flags: DataFrame, buckets: int, width: int = WIDTH, bits: int = 64) -> DataFrame:
+    """(doc_id, hashes, digests): flags whose words have been compared; digests only where a hash stands for several windows."""
+    work = flags.unionByName(flags.mapInArrow(_sources, FLAGS))
+    work = work.groupBy(F.col("doc_id").alias("key")).agg(F.collect_list(F.struct("hashes", "sources")).alias("work"))
+    rows = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID)).alias("key"), binary_text().alias("raw"))
+    both = rows.join(work, "key").select("key", "raw", "work").mapInArrow(_digests(width, buckets, bits), WORK)
+    found = materialise(both.groupBy("bucket").applyInArrow(_confirm, VERDICTS), "verdicts")
+    odd = found.filter("not sure")
+    sure = found.filter("sure").select("doc_id", "hashes", "digests")
+    return sure if odd.isEmpty() else sure.unionByName(_settled(docs, odd.select("hashes"), width, bits))
+
+
+def _remove(width: int, bits: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             n_words, n_removed, kept_text = [], [], []
@@ -307,10 +449,16 @@ def _remove(width: int):
                 n_words.append(len(words))
                 gone = 0
                 if flags:
-                    known = np.sort(np.concatenate([np.frombuffer(f, np.uint64) for f in flags]))
-                    h = window_hashes(word_hashes(words), width)
-                    at = np.minimum(np.searchsorted(known, h), len(known) - 1)
-                    starts = np.flatnonzero(known[at] == h)
+                    h = window_hashes(word_hashes(words), width, bits)
+                    known = np.sort(np.frombuffer(b"".join(f["hashes"] for f in flags), np.uint64))
+                    starts = np.flatnonzero(known[np.minimum(np.searchsorted(known, h), len(known) - 1)] == h)
+                    digests = {f["hashes"] + f["digests"] for f in flags if f["digests"] is not None}
+                    if digests:  # of a hash with digests, only those windows
+                        odd = {x[:8] for x in digests}
+                        mine = [i for i in starts.tolist() if h[i].tobytes() in odd]
+                        shown = window_digests(words, np.array(mine, np.int64), width)
+                        wrong = [i for i, g in zip(mine, shown, strict=True) if h[i].tobytes() + g.tobytes() not in digests]
+                        starts = np.setdiff1d(starts, wrong)
                     edge = np.zeros(len(words) + 1, np.int64)
                     np.add.at(edge, starts, 1)
                     np.add.at(edge, starts + width, -1)
@@ -327,13 +475,12 @@ def _remove(width: int):
     return run
 
 
-def remove_flagged(docs: DataFrame, flags: DataFrame, width: int = WIDTH) -> DataFrame:
-    """Documents without the words that flagged windows cover: doc_id, n_words, n_removed, kept_sha256, kept (UTF-8)."""
-    mine = flags.groupBy("doc_id").agg(F.collect_list("hashes").alias("hashes"))
-    smallest = F.lit(int(np.iinfo(np.int64).min))
+def remove_flagged(docs: DataFrame, flags: DataFrame, width: int = WIDTH, bits: int = 64) -> DataFrame:
+    """Documents without the words that verified flags cover: doc_id, n_words, n_removed, kept_sha256, kept (UTF-8)."""
+    mine = flags.groupBy(F.col("doc_id").alias("key")).agg(F.collect_list(F.struct("hashes", "digests")).alias("flags"))
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), binary_text().alias("raw"))
-    rows = rows.withColumn("key", F.coalesce("doc_id", smallest)).join(mine.withColumnRenamed("doc_id", "key"), "key", "left")
-    return rows.select("doc_id", "raw", "hashes").mapInArrow(_remove(width), "doc_id long, n_words long, n_removed long, kept_sha256 string, kept binary")
+    rows = rows.withColumn("key", F.coalesce("doc_id", F.lit(NO_ID))).join(mine, "key", "left")
+    return rows.select("doc_id", "raw", "flags").mapInArrow(_remove(width, bits), "doc_id long, n_words long, n_removed long, kept_sha256 string, kept binary")
 
 
 def buckets_for(docs: DataFrame, expected_growth: int = 1) -> int:
@@ -342,11 +489,11 @@ def buckets_for(docs: DataFrame, expected_growth: int = 1) -> int:
     return max(LEAST_BUCKETS, partitions_for(docs.sparkSession, size * expected_growth // BYTES_PER_WORD, WINDOWS_PER_BUCKET))
 
 
-def substring_dedup(docs: DataFrame, batches: int = 4, width: int = WIDTH) -> DataFrame:
+def substring_dedup(docs: DataFrame, batches: int = 4, width: int = WIDTH, bits: int = 64) -> DataFrame:
     """Ingests the documents by rising id in `batches` batches and removes what an earlier document already has."""
     spark = docs.sparkSession
     cuts = sorted(set(docs.select(F.col("doc_id").cast("double").alias("d")).approxQuantile("d", [i / batches for i in range(1, batches)], 0.001))) if batches > 1 else []
-    index = WindowIndex(spark, buckets_for(docs), width)
+    index = WindowIndex(spark, buckets_for(docs), width, bits=bits)
     low, parts = None, []
     for high in [*cuts, None]:
         part = docs
@@ -359,10 +506,9 @@ def substring_dedup(docs: DataFrame, batches: int = 4, width: int = WIDTH) -> Da
         parts.append(index.ingest(part))
         low = high
     index.drop()
-    flags = parts[0]
-    for p in parts[1:]:
-        flags = flags.unionByName(p)
-    out = materialise(remove_flagged(docs, flags, width).drop("kept"), "kept")
-    for p in parts:
-        release(p)
+    sure = verified(docs, reduce(DataFrame.unionByName, parts), index.buckets, width, bits)
+    sure = materialise(sure, "sure")
+    release(*parts)
+    out = materialise(remove_flagged(docs, sure, width, bits).drop("kept"), "kept")
+    release(sure)
     return out

@@ -115,17 +115,56 @@ def test_index_compacts_and_reopens(spark):
         index = window_index.WindowIndex.open(spark, index.path, index.manifest()) if b == 1 else index
         index.fanout = 2
         flags = part if flags is None else flags.unionByName(part)
-    assert len(index.runs) <= 2
-    got = {r.doc_id: (r.n_words, r.n_removed, r.kept_sha256) for r in window_index.remove_flagged(docs_of(spark, rows), flags, 6).collect()}
+    assert len(index.runs) <= 2 and index.compactions >= 1
+    sure = window_index.verified(docs_of(spark, rows), flags, 16, 6)
+    got = {r.doc_id: (r.n_words, r.n_removed, r.kept_sha256) for r in window_index.remove_flagged(docs_of(spark, rows), sure, 6).collect()}
     assert got == brute_removed(rows, 6)
     index.drop()
 
 
-def test_settle_tells_equal_hashes_apart():
-    h, c, d = np.array([5, 5, 5, 9], np.uint64), np.array([1, 2, 1, 1], np.uint16), np.array([7, 3, 4, 8], np.int64)
-    uh, uc, ud, beaten = window_index.settle(h, c, d)
-    assert list(zip(uh.tolist(), uc.tolist(), ud.tolist(), strict=True)) == [(5, 1, 4), (5, 2, 3), (9, 1, 8)] and beaten.tolist() == [0]
-    assert window_index.present(uh, uc, np.array([5, 5], np.uint64), np.array([2, 3], np.uint16)).tolist() == [False, True, False]
+@pytest.mark.parametrize("bits", [3, 7])
+def test_equal_hashes_of_other_words(spark, bits):
+    """Few hash bits: most matches are of other words, and the words alone must decide."""
+    rng = np.random.default_rng(11)
+    rows = [(i, " ".join(rng.choice(["a", "b", "c"], int(rng.integers(0, 25))))) for i in range(40)]
+    got = {r.doc_id: (r.n_words, r.n_removed, r.kept_sha256) for r in window_index.substring_dedup(docs_of(spark, rows), 4, 5, bits=bits).collect()}
+    assert got == brute_removed(rows, 5)
+
+
+def test_the_registered_number_of_batches_compacts(spark, monkeypatch):
+    """`substring_dedup` with its defaults merges runs before its last batch."""
+    made = []
+    real = window_index.WindowIndex.compact
+    monkeypatch.setattr(window_index.WindowIndex, "compact", lambda self: (real(self), made.append(self.compactions)))
+    rows = [(i, f"x{i} " + "to be or not to be that is the question now " * (i % 3)) for i in range(40)]
+    got = {r.doc_id: r.n_removed for r in window_index.substring_dedup(docs_of(spark, rows)).collect()}
+    assert made == [1] and got == {i: n for i, (_, n, _) in brute_removed(rows, 13).items()}
+
+
+def test_windows_of_null_and_repeated_ids(spark):
+    text = "one two three four five six"
+    rows = [(None, text), (3, text), (3, text + " seven"), (5, "zero " + text), (None, text), (6, None), (7, "three four five six seven")]
+    got = sorted(((r.doc_id is not None, r.doc_id or 0, r.n_words, r.n_removed) for r in window_index.substring_dedup(docs_of(spark, rows), 2, 4).collect()))
+    assert got == [(False, 0, 6, 0), (False, 0, 6, 0), (True, 3, 6, 6), (True, 3, 7, 6), (True, 5, 7, 6), (True, 6, 0, 0), (True, 7, 5, 5)]
+    assert window_index.substring_dedup(docs_of(spark, rows).limit(0)).count() == 0
+
+
+def test_a_repeated_attempt_leaves_the_run_that_is_there(tmp_path):
+    path = f"file://{tmp_path}/run"
+    h, d = np.array([1, 5, 9], np.uint64), np.array([7, 3, 4], np.int64)
+    for _ in range(2):
+        window_index._write_run(path, 0, h, d)
+    assert [x.tolist() for x in window_index._read_run(path, 0)] == [h.tolist(), d.tolist()]
+    assert len(list((tmp_path / "run").iterdir())) == 1
+
+
+def test_settle_names_the_smallest_document():
+    h, d = np.array([5, 5, 5, 9], np.uint64), np.array([7, 3, 4, 8], np.int64)
+    uh, ud, beaten, sources = window_index.settle(h, d)
+    assert (uh.tolist(), ud.tolist()) == ([5, 9], [3, 8]) and sorted(zip(beaten.tolist(), sources.tolist(), strict=True)) == [(0, 3), (2, 3)]
+    hit, old = window_index.present(uh, np.array([5, 6], np.uint64), np.array([2, 3]))
+    assert hit.tolist() == [True, False] and old.tolist() == [2]
+
 
 
 # ---- decontamination ------------------------------------------------------------------------------------------------
