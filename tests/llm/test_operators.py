@@ -187,10 +187,29 @@ def test_decontamination_odd_rows(spark):
 def test_proximity(spark):
     docs = docs_of(spark, [(1, "red a b blue c green"), (2, "red " + "x " * 20 + "blue green"), (3, "Green blue RED"), (4, None)])
     queries = spark.createDataFrame([(7, "red blue green"), (8, "absent red")], "query_id long, text string")
-    got = {(r.query_id, r.doc_id): r.n for r in decontaminate.proximity_matches(docs, queries, 6).collect()}
+    got = {(r.query_id, r.doc_id): r.n for r in decontaminate.proximity_matches(decontaminate.build_index(docs), queries, 6).collect()}
     assert got == {(7, 1): 1, (7, 3): 1}
 
 
+def test_proximity_against_brute_force(spark):
+    """One index answers two query sets; places of the rarest term that lie in a run of `span` words with all others."""
+    rng = np.random.default_rng(8)
+    rows = [(i, " ".join(rng.choice(list("abcdefgh"), int(rng.integers(0, 60)), p=[0.3, 0.2, 0.2, 0.1, 0.1, 0.05, 0.03, 0.02]))) for i in range(30)]
+    index = decontaminate.build_index(docs_of(spark, rows))
+    texts = {i: t.split() for i, t in rows}
+    total = Counter(w for t in texts.values() for w in t)
+    for asked, span in (({1: "a h", 2: "c d e", 3: "f"}, 4), ({4: "a b c d g", 5: "h absent"}, 9)):
+        queries = spark.createDataFrame(list(asked.items()), "query_id long, text string")
+        got = {(r.query_id, r.doc_id): r.n for r in decontaminate.proximity_matches(index, queries, span).collect()}
+        want = Counter()
+        for q, words in ((q, t.split()) for q, t in asked.items()):
+            rarest = min(words, key=lambda w: (total[w], words.index(w)))  # noqa: B023
+            for i, t in texts.items():
+                for p in (p for p, w in enumerate(t) if w == rarest):
+                    want[q, i] += any(set(words) <= set(t[max(s, 0) : s + span]) for s in range(p - span + 1, p + 1))
+        assert got == {k: n for k, n in want.items() if n}
+
+
 # ---- archives -------------------------------------------------------------------------------------------------------
 
 
