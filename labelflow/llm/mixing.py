@@ -74,7 +74,7 @@ def drawn(docs: DataFrame, rates: DataFrame, seed: int = SEED) -> DataFrame:
 
 def _bytes_out(docs: DataFrame, total: float | None) -> int:
     """Expected bytes after replication: what the optimizer knows of the input's size, times rows out over rows in."""
-    size = int(docs._jdf.queryExecution().optimizedPlan().stats().sizeInBytes().toString())
+    size = int(str(docs._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
     if total is None:
         return size
     return int(size * min(1e4, total / max(1, docs.count())))
