@@ -4,12 +4,13 @@ A document is the set of its shingles' 64-bit hashes; equal sets count once. Lin
 verified on the whole sets:
 
 1. Fingerprints of the sets are joined by ball hashing (see `simhash`) and each set is compared with the least of its group:
-   linear in a group, and settles most of it. Four bits of 64 find a pair of similarity 0.8 rarely, so this is not all.
+   linear in a group. Four bits of 64 find a pair of similarity 0.8 rarely, so this is not all.
 2. The rest by prefixes: sets whose similarity is 4/5 share one of their first n - ceil(4n/5) + 1 hashes under any order of
    the hashes. The order puts rare ones first, by counts in SLOTS slots; the counts only set the order, so collisions cost
-   time and lose nothing. Sets that meet at a hash and are in different groups so far are compared in blocks of BLOCK sets,
-   so that a hash of any number of sets is dealt over tasks. Sizes and parities (128, 512, then WIDE bits) bound a pair's
-   similarity from above and rule most pairs out before the sets are fetched.
+   time and lose nothing. ROUNDS times the sets that meet at a hash are compared with LEADERS random ones of them that are in
+   other groups so far, and groups are contracted: linear again, and settles a group of copies of any size. What is then
+   still in different groups is compared in blocks of BLOCK sets, so that a hash of any number of sets is dealt over tasks.
+   Sizes and parities (128, then WIDE bits) bound a pair's similarity from above; only pairs that they leave possible become rows.
 
 Defined results: null ids and texts without words take no part; fewer words than a shingle make one shingle of all.
 """
@@ -32,6 +33,8 @@ from labelflow.plans.joins import lookup, without
 SLOTS = 1 << 18
 CHUNK = 1 << 12
 WIDE = 2048
+ROUNDS = 3
+LEADERS = 2
 BLOCK = 4096
 PAIRS_AT_ONCE = 1 << 20
 ROWS_AT_ONCE = 512
@@ -47,11 +50,11 @@ def _sets(shingle: int):
                     hashes = np.unique(shingle_hashes(raw, shingle))
                     if len(hashes):
                         raw_set = hashes.tobytes()
-                        rows.append((i, xxhash.xxh64_intdigest(raw_set) - (1 << 63), majority_bits(hashes), len(hashes), parity(hashes, 512).tobytes(), parity(hashes, WIDE).tobytes(), raw_set))
-                cols = list(zip(*rows, strict=True)) or [[]] * 7
+                        rows.append((i, xxhash.xxh64_intdigest(raw_set) - (1 << 63), majority_bits(hashes), len(hashes), parity(hashes, WIDE).tobytes(), raw_set))
+                cols = list(zip(*rows, strict=True)) or [[]] * 6
                 prints = pa.array(np.array(cols[2], np.uint64).view(np.int64))
-                kinds = (pa.int64(), pa.int64(), None, pa.int32(), pa.binary(), pa.binary(), pa.binary())
-                yield pa.RecordBatch.from_arrays([pa.array(c, t) if t else prints for c, t in zip(cols, kinds, strict=True)], names=["doc_id", "sid", "print", "n", "mid", "wide", "hashes"])
+                kinds = (pa.int64(), pa.int64(), None, pa.int32(), pa.binary(), pa.binary())
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) if t else prints for c, t in zip(cols, kinds, strict=True)], names=["doc_id", "sid", "print", "n", "wide", "hashes"])
 
     return run
 
@@ -134,6 +137,26 @@ def _pairs(a: np.ndarray, b: np.ndarray) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(p[:, 0])), pa.array(np.ascontiguousarray(p[:, 1]))], names=["u", "v"])
 
 
+def _led(turn: int):
+    """Of a partition dealt by h: each set with leaders of its h that are in another group."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        t = _whole(batches)
+        if t is None:
+            return
+        c, h, comp = _columns(t), t["h"].to_numpy(), t["comp"].to_numpy()
+        for k in range(LEADERS):
+            rank = c["sid"].view(np.uint64) * np.uint64(0x9E3779B97F4A7C15 + 2 * (turn * LEADERS + k) * 0x51ED27)
+            rank ^= rank >> np.uint64(29)
+            order = np.lexsort((rank * np.uint64(0xBF58476D1CE4E5B9), h))
+            new = np.concatenate(([True], h[order][1:] != h[order][:-1]))
+            lead = order[np.flatnonzero(new)][np.cumsum(new) - 1]
+            ok = (comp[order] != comp[lead]) & _possible(c, order, c, lead)
+            yield _pairs(c["sid"][order][ok], c["sid"][lead][ok])
+
+    return run
+
+
 def _across(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Of a partition dealt by h and blocks i, j: possible pairs in different components, of one block or between two."""
     t = _whole(batches)
@@ -144,7 +167,7 @@ def _across(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     c = {k: v[order] for k, v in _columns(t).items()}
     keys = [k[order] for k in keys]
     comp, block, within = t["comp"].to_numpy()[order], t["block"].to_numpy()[order], keys[0] == keys[1]
-    mid = np.frombuffer(b"".join(t["mid"].to_pylist()), np.uint64).reshape(len(comp), -1)[order]
+    wide = np.frombuffer(b"".join(t["wide"].to_pylist()), np.uint64).reshape(len(comp), -1)[order]
     starts = np.flatnonzero(np.concatenate(([True], np.any([k[1:] != k[:-1] for k in keys], axis=0))))
     ends = np.repeat(np.append(starts[1:], len(comp)), np.diff(np.append(starts, len(comp))))
     at, apart, found, held = np.arange(len(comp)), 0, [], 0
@@ -156,7 +179,7 @@ def _across(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         p, q = at[live], to[live]
         ok = _possible(c, p, c, q)
         p, q = p[ok], q[ok]
-        ok = 9 * np.bitwise_count(mid[p] ^ mid[q]).sum(axis=1, dtype=np.int64) <= c["n"][p].astype(np.int64) + c["n"][q]
+        ok = 9 * np.bitwise_count(wide[p] ^ wide[q]).sum(axis=1, dtype=np.int64) <= c["n"][p].astype(np.int64) + c["n"][q]
         found.append((c["sid"][p[ok]], c["sid"][q[ok]]))
         held += int(ok.sum())
         if held > PAIRS_AT_ONCE or not len(at):
@@ -208,31 +231,46 @@ def _by_fingerprint(sets: DataFrame, radius: int) -> DataFrame:
     return _verified(pairs, sets)
 
 
+def _apart(met: DataFrame, links: DataFrame, block: int = BLOCK) -> DataFrame:
+    """The rows of hashes at which different groups meet, with their group and the number of blocks of the hash."""
+    comps = materialise(closed(links).select(F.col("node_id").alias("sid"), F.col("comp_id").alias("comp")), "near-comps")
+    placed = materialise(lookup(met, comps, ["sid"], "left", salts=1).withColumn("comp", F.coalesce("comp", "sid")), "near-placed")
+    live = placed.groupBy("h").agg(F.count("*").alias("m"), F.min("comp").alias("a"), F.max("comp").alias("b")).filter("a != b")
+    live = materialise(live.select("h", F.ceil(F.col("m") / block).cast("int").alias("blocks")), "near-live")
+    out = materialise(lookup(placed, live, ["h"], "inner", "sid"), "near-apart")
+    release(comps, placed, live)
+    return out
+
+
 def near_copies(docs: DataFrame, shingle: int = 5, radius: int = 4, block: int = BLOCK) -> DataFrame:
     """(doc_id, component_id) of the documents that are not the least id of their component."""
     spark = docs.sparkSession
     named = docs.filter("doc_id is not null").select(F.col("doc_id").cast("long").alias("doc_id"), binary_text().alias("raw"))
-    rows = materialise(named.mapInArrow(_sets(shingle), "doc_id long, sid long, print long, n int, mid binary, wide binary, hashes binary"), "near-sets")
+    rows = materialise(named.mapInArrow(_sets(shingle), "doc_id long, sid long, print long, n int, wide binary, hashes binary"), "near-sets")
     ids = materialise(rows.select("doc_id", "sid"), "near-ids")
     least = materialise(ids.groupBy("sid").agg(F.min("doc_id").alias("doc_id")), "near-least")
     again = materialise(ids.join(least.withColumnRenamed("doc_id", "least"), "sid").filter("doc_id != least").select("doc_id", "sid").distinct(), "near-again")
     sets = without(rows, again, ["doc_id", "sid"])
     links = _by_fingerprint(sets, radius)
-    comps = links.select(F.col("u").alias("sid"), F.col("v").alias("comp"))  # a star each
     parts = partitions_for(spark, rows.count(), 8_000)
-    met = sets.select("sid", "hashes").mapInArrow(_prefixes(_levels(rows)), MEETING).repartition(parts, "h").mapInArrow(_meeting, MEETING)
-    met = materialise(lookup(met, comps, ["sid"], "left", salts=1).withColumn("comp", F.coalesce("comp", "sid")), "near-met")
-    live = met.groupBy("h").agg(F.count("*").alias("m"), F.min("comp").alias("a"), F.max("comp").alias("b")).filter("a != b")
-    live = materialise(live.select("h", F.ceil(F.col("m") / block).cast("int").alias("blocks")), "near-live")
-    placed = lookup(met, live, ["h"], "inner", "sid").withColumn("block", F.pmod(F.xxhash64("sid"), F.col("blocks")).cast("int"))
+    met = materialise(sets.select("sid", "hashes").mapInArrow(_prefixes(_levels(rows)), MEETING).repartition(parts, "h").mapInArrow(_meeting, MEETING), "near-met")
+    for turn in range(ROUNDS):
+        placed = _apart(met, links)
+        if placed.isEmpty():
+            break
+        more = _verified(placed.repartition(parts, "h").mapInArrow(_led(turn), "u long, v long"), sets)
+        was, links = links, materialise(links.unionByName(more), "near-links")
+        release(was, more, placed)
+    placed = _apart(met, links, block).withColumn("block", F.pmod(F.xxhash64("sid"), F.col("blocks")).cast("int"))
     placed = placed.withColumn("_to", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).withColumn("i", F.least("block", "_to")).withColumn("j", F.greatest("block", "_to"))
-    placed = lookup(placed, sets.select("sid", "mid").dropDuplicates(["sid"]), ["sid"], "inner", limit=100_000, salts=1)
+    wide = materialise(sets.select("sid", "wide").dropDuplicates(["sid"]), "near-wide")
+    placed = lookup(placed, wide, ["sid"], "inner", limit=50_000, salts=1)
     rest = _verified(placed.repartition(parts, "h", "i", "j").mapInArrow(_across, "u long, v long"), sets)
-    joined = closed(materialise(links.unionByName(rest), "near-all-links"))
-    linked = materialise(joined.select(F.col("node_id").alias("sid"), "comp_id"), "near-linked")
+    linked = materialise(closed(materialise(links.unionByName(rest), "near-all-links")).select(F.col("node_id").alias("sid"), "comp_id"), "near-linked")
     known = materialise(lookup(least, linked, ["sid"], "left", salts=1).withColumn("comp", F.coalesce("comp_id", "sid")).select("sid", "comp", "doc_id"), "near-known")
-    first = known.groupBy("comp").agg(F.min("doc_id").alias("component_id"))
-    found = ids.join(known.select("sid", "comp"), "sid").join(first, "comp").filter("doc_id != component_id").select("doc_id", "component_id").distinct()
+    first = materialise(known.groupBy("comp").agg(F.min("doc_id").alias("component_id")), "near-first")
+    named = materialise(lookup(known, first, ["comp"], "inner", "sid").select("sid", "component_id"), "near-named")
+    found = ids.join(named, "sid").filter("doc_id != component_id").select("doc_id", "component_id").distinct()
     out = materialise(found, "near-copies")
-    release(rows, ids, least, again, met, live, links, rest, linked, known)
+    release(rows, ids, least, again, met, links, rest, wide, linked, known, first, named)
     return out
