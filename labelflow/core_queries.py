@@ -252,19 +252,27 @@ def initial_frontier_query(spark, sf_dir):
     return up.affected.join(state.filter("w_all > 0"), "node_id", "left_semi")
 
 
-@query("frontier_commit_small")
+_LABELS = f"SELECT node_id, f FROM t{STEPS}"
+
+
+@query("frontier_commit_small", sql.update_sql(True, True, STEPS, DELTA, _LABELS, commit_small=True))
 def frontier_commit_small(spark, sf_dir):
-    return update(spark, sf_dir, steps=100_000, commit_small=True).run.state.select("node_id", "f")
+    return update(spark, sf_dir, commit_small=True).run.state.select("node_id", "f")
 
 
-@query("frontier_two_phase")
+@query("frontier_two_phase", sql.update_sql(True, True, STEPS, DELTA, _LABELS, schedule="two_phase"))
 def frontier_two_phase(spark, sf_dir):
-    return update(spark, sf_dir, steps=100_000, schedule="two_phase").run.state.select("node_id", "f")
+    return update(spark, sf_dir, schedule="two_phase").run.state.select("node_id", "f")
+
 
+@query("frontier_two_phase_distributed", sql.update_sql(True, True, 2, DELTA, "SELECT node_id, f FROM t2", schedule="two_phase"))
+def frontier_two_phase_distributed(spark, sf_dir):
+    return update(spark, sf_dir, steps=2, schedule="two_phase", plan="sync").run.state.select("node_id", "f")
 
-@query("frontier_tau_gates_graph")
+
+@query("frontier_tau_gates_graph", sql.update_sql(True, True, STEPS, DELTA, _LABELS, gates=True))
 def frontier_tau_gates_graph(spark, sf_dir):
-    return update(spark, sf_dir, steps=100_000, tau_gates_graph=True).run.state.select("node_id", "f")
+    return update(spark, sf_dir, tau_gates_graph=True).run.state.select("node_id", "f")
 
 
 @query("frontier_converged")
@@ -569,10 +577,13 @@ def balanced_sample(spark, sf_dir):
 
 
 _CUT = round(1_000_000 * 0.01 / 0.91)
-_DEL = round(1_000_000 * 0.09 / 0.91)
+_DEL = round(1_000_000 * 0.09 / 0.91 / graph.DRAWS)
+
+
+_DRAWN = "\n".join(f"UNION ALL SELECT CAST(batch_id + 1 + t % (9 - batch_id) AS INT), 'del', node_id, NULL FROM {hash_sql(hash_sql('r', 'node_id', 5 + 2 * k, 'x'), 'node_id', 6 + 2 * k, 't')} WHERE batch_id < 9 AND x % 1000000 < {_DEL}" for k in range(graph.DRAWS))
 
 
-@query("make_batches_90_1_9", f"WITH {sql.NODES}, r AS (SELECT *, CAST(h % 10 AS INT) AS batch_id FROM {hash_sql(hash_sql(hash_sql('nodes', 'node_id', 3), 'node_id', 4, 'h2'), 'node_id', 5, 'h3')}) SELECT batch_id, 'ins' AS op, node_id, CASE WHEN h2 % 1000000 < {_CUT} THEN truth END AS truth FROM r UNION ALL SELECT CAST(batch_id + 1 + h2 % (9 - batch_id) AS INT), 'del', node_id, NULL FROM r WHERE batch_id < 9 AND h3 % 1000000 < {_DEL}")
+@query("make_batches_90_1_9", f"WITH {sql.NODES}, r AS (SELECT *, CAST(h % 10 AS INT) AS batch_id FROM {hash_sql(hash_sql('nodes', 'node_id', 3), 'node_id', 4, 'h2')}) SELECT batch_id, 'ins' AS op, node_id, CASE WHEN h2 % 1000000 < {_CUT} THEN truth END AS truth FROM r {_DRAWN}")
 def make_batches(spark, sf_dir):
     return graph.make_batches(graph.order_part(read(spark, sf_dir, "orders"), read(spark, sf_dir, "lineitem"))[0], 10)
 

@@ -79,13 +79,16 @@ def apply_deletes(g: SimilarityGraph, dels: DataFrame) -> tuple[SimilarityGraph,
 
 def apply_inserts(g: SimilarityGraph, ins: DataFrame, ins_edges: DataFrame) -> tuple[SimilarityGraph, DataFrame]:
     """The graph with new nodes (node_id, truth) and edges (u, v, w) that touch them, and the affected: new nodes and their
-    neighbours. Edges whose other end is not in the graph are left out; co-inserted nodes may be partners."""
-    new = materialise(ins.select("node_id", "truth").dropDuplicates(["node_id"]), "ins")
-    nodes = g.nodes.select("node_id", "truth").unionByName(without(new, g.nodes.select("node_id"), ["node_id"]))
+    neighbours. Edges whose other end is not in the graph are left out; co-inserted nodes may be partners. An insert that names a
+    node of the graph sets its truth where it carries one, and keeps it where not; of several inserts of a node the largest counts."""
+    new = materialise(ins.groupBy("node_id").agg(F.max("truth").alias("truth")), "ins")
+    known = lookup(g.nodes.select("node_id", "truth"), new.withColumnRenamed("truth", "told"), ["node_id"], "left", "node_id", salts=1)
+    known = known.select("node_id", F.coalesce("told", "truth").alias("truth"))
+    nodes = known.unionByName(without(new, g.nodes.select("node_id"), ["node_id"]))
     live = materialise(nodes.select("node_id"), "live")
     edges = lookup(lookup(ins_edges, live.select(F.col("node_id").alias("u")), ["u"], "inner", "v"), live.select(F.col("node_id").alias("v")), ["v"], "inner", "u")
     added = materialise(arcs_of(canonical(edges.select("u", "v", "w"))), "ins-arcs")
-    affected = new.select("node_id").union(neighbours_of(added, new)).distinct()
+    affected = new.select("node_id").union(neighbours_of(added.unionByName(g.arcs.select(*added.columns)), new)).distinct()
     return SimilarityGraph(nodes, g.arcs.select("src", "dst", "w").unionByName(added)), affected
 
 
@@ -123,24 +126,32 @@ def choose_seeds(nodes: DataFrame, frac: float | None = None, n: int | None = No
     return known.filter(F.col("h") < int(P * frac)).select("node_id", "truth")
 
 
+#: Times that a node may be drawn for deletion.
+DRAWS = 3
+
+
 def make_batches(nodes: DataFrame, n_batches: int, mix: tuple[float, float, float] = (0.90, 0.01, 0.09), salt: int = 3) -> DataFrame:
     """Change batches (batch_id, op, node_id, truth): every node is inserted in one batch chosen by hash, a share of the inserts with
     its label, and the rest of a batch are deletions drawn by hash from the nodes of earlier batches.
 
-    Deletions are drawn with replacement, as the same node may be hit by two batches; the graph never loses all nodes, since a batch
-    only deletes among earlier ones."""
+    Deletions are drawn with replacement: DRAWS times by hashes of their own, so that the same node may be hit by two batches. The
+    graph never loses all nodes, since a batch only deletes among earlier ones."""
     unlabelled, labelled, deleted = mix
     rows = nodes.select("node_id", "truth")
-    for name, s in (("h", salt), ("h2", salt + 1), ("h3", salt + 2)):
+    for name, s in (("h", salt), ("h2", salt + 1)):
         rows = with_hash(rows, name, "node_id", s)
     rows = rows.withColumn("batch_id", (F.col("h") % n_batches).cast("int"))
     cut = round(1_000_000 * labelled / (unlabelled + labelled))
     ins = rows.select("batch_id", F.lit("ins").alias("op"), "node_id", F.when(F.col("h2") % 1_000_000 < cut, F.col("truth")).alias("truth"))
-    # a node of batch b is deleted by batch b + 1 + (h2 mod rest) with the share that keeps deletions at their part of a batch
+    # a draw hits a node of batch b, in batch b + 1 + (hash mod rest), with the share that keeps deletions at their part of a batch
     rest = n_batches - 1 - F.col("batch_id")
-    share = round(1_000_000 * deleted / (unlabelled + labelled))
-    dels = rows.filter((rest > 0) & (F.col("h3") % 1_000_000 < share))
-    dels = dels.select((F.col("batch_id") + 1 + F.col("h2") % F.greatest(rest, F.lit(1))).cast("int").alias("batch_id"), F.lit("del").alias("op"), "node_id", F.lit(None).cast("int").alias("truth"))
+    share = round(1_000_000 * deleted / (unlabelled + labelled) / DRAWS)
+    dels = None
+    for k in range(DRAWS):
+        drawn = with_hash(with_hash(rows, "hit", "node_id", salt + 2 + 2 * k), "when", "node_id", salt + 3 + 2 * k)
+        drawn = drawn.filter((rest > 0) & (F.col("hit") % 1_000_000 < share))
+        drawn = drawn.select((F.col("batch_id") + 1 + F.col("when") % F.greatest(rest, F.lit(1))).cast("int").alias("batch_id"), F.lit("del").alias("op"), "node_id", F.lit(None).cast("int").alias("truth"))
+        dels = drawn if dels is None else dels.unionByName(drawn)
     return ins.withColumn("truth", F.col("truth").cast("int")).unionByName(dels)
 
 

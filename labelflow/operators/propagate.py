@@ -3,7 +3,9 @@
 State is (node_id, f, w1, w_all) of unlabelled nodes, labels in whole units; arcs_free are the arcs whose both ends are unlabelled.
 Ground truth enters through w1 and w_all only. Three plans reach the same labels:
 
-* `sync`    one distributed step at a time, one join and one pre-summed aggregation each, written once a step;
+* `sync`    one distributed step at a time, one join and one pre-summed aggregation each. Arcs lie in folders by the hash of their
+  source, of which a step reads those that hold hot nodes; it writes the labels that changed, as a small table over the written
+  state, which takes them in when they have become many;
 * `tail`    where all arcs fit TAIL_ARCS, one task finishes the run on a compressed row layout;
 * `ball`    where the rows of the hot nodes and of some rings around them fit, one task runs supersteps on them until the frontier
   reaches a node whose row it does not hold: the same labels, many supersteps for one pass over the arcs;
@@ -36,6 +38,11 @@ MAX_STEPS = 100_000
 RINGS = 6
 #: A node of more arcs makes a join key that is worth salting.
 HUB_ARCS = 1_000_000
+#: Arcs a folder is meant to hold, and the most folders.
+ARCS_PER_BUCKET = 250_000
+MOST_BUCKETS = 4_096
+#: Changed labels beside the state, at most, before they are merged into it.
+MOST_CHANGES = BROADCAST_ROWS
 
 
 @dataclass
@@ -87,6 +94,47 @@ def hub_salts(degrees: DataFrame) -> int:
     return SALTS if (degrees.agg(F.max("degree")).first()[0] or 0) > HUB_ARCS else 1
 
 
+class Bucketed:
+    """Arcs in folders by the hash of their source."""
+
+    def __init__(self, arcs: DataFrame, n_arcs: int):
+        self.buckets = max(1, min(MOST_BUCKETS, -(-n_arcs // ARCS_PER_BUCKET)))
+        rows = arcs.select("src", "dst", "w", self._bucket("src").alias("bucket"))
+        self.arcs = materialise(rows.repartition(self.buckets, "bucket").sortWithinPartitions("bucket", "src"), "bucketed-arcs", by="bucket")
+
+    def _bucket(self, c: str) -> Column:
+        return F.pmod(F.xxhash64(c), F.lit(self.buckets)).cast("int")
+
+    def of(self, nodes: DataFrame) -> DataFrame:
+        """The arcs in the folders of some nodes (node_id); at most MOST_BUCKETS folder numbers are collected."""
+        held = [r.bucket for r in nodes.select(self._bucket("node_id").alias("bucket")).distinct().collect()]
+        return (self.arcs if len(held) == self.buckets else self.arcs.filter(F.col("bucket").isin(held))).drop("bucket")
+
+
+class Labels:
+    """A written state and, over it, a small table of the labels that changed since."""
+
+    def __init__(self, state: DataFrame):
+        self.state, self.changes = state, None
+
+    def view(self) -> DataFrame:
+        if self.changes is None:
+            return self.state
+        return lookup(self.state, self.changes, ["node_id"], "left", "node_id", salts=1).select("node_id", F.coalesce("fresh", "f").alias("f"), "w0", "w1", "w_all")
+
+    def put(self, fresh: DataFrame) -> None:
+        """Takes in new labels (node_id, fresh)."""
+        fresh = materialise(fresh.select("node_id", "fresh"), "fresh")
+        was = self.changes
+        self.changes = fresh if was is None else materialise(without(was, fresh.select("node_id"), ["node_id"]).unionByName(fresh), "changes")
+        if was is not None:
+            release(was, fresh)
+        if self.changes.count() > MOST_CHANGES:
+            self.state, spent = materialise(self.view(), "merged"), self.changes
+            self.changes = None
+            release(spent)
+
+
 def free_state(g: SimilarityGraph, f0: DataFrame | None = None, default: int = HALF) -> tuple[DataFrame, DataFrame]:
     """(state, arcs_free) of a graph; f0 (node_id, f0) gives starting labels, others start at the default."""
     weights = contraction(g.arcs, g.nodes)
@@ -158,14 +206,14 @@ def _fits(arcs: DataFrame) -> bool:
     return arcs.count() <= TAIL_ARCS
 
 
-def _ball(arcs: DataFrame, degrees: DataFrame, hot: DataFrame, salts: int) -> tuple[DataFrame, DataFrame] | None:
+def _ball(stored: Bucketed, degrees: DataFrame, hot: DataFrame, salts: int) -> tuple[DataFrame, DataFrame] | None:
     """(inner nodes, all their arcs): the hot nodes and up to RINGS rings around them, as far as the arcs stay within TAIL_ARCS, which
     the degrees tell before any arc is read; None where not even the hot nodes' own arcs do."""
     inner, held = hot.select("node_id"), None
     for _ in range(RINGS):
         if (lookup(degrees, inner, ["node_id"], "inner", "node_id", salts=1).agg(F.sum("degree")).first()[0] or 0) > TAIL_ARCS:
             break
-        rows = materialise(lookup(arcs, inner.select(F.col("node_id").alias("src")), ["src"], "inner", "dst", salts=salts).select("src", "dst", "w"), "ball")
+        rows = materialise(lookup(stored.of(inner), inner.select(F.col("node_id").alias("src")), ["src"], "inner", "dst", salts=salts).select("src", "dst", "w"), "ball")
         if held is not None:
             release(held[1])
         held = inner, rows
@@ -209,50 +257,52 @@ def frontier_loop(state: DataFrame, arcs: DataFrame, hot: DataFrame, delta: floa
     start, limit = time.monotonic(), units(delta)
     hot = materialise(lookup(hot.select("node_id").distinct(), state.filter("w_all > 0").select("node_id"), ["node_id"], "inner", "node_id", salts=1), "hot")
     steps: list[tuple[int, int, int, int]] = []
-    used, degrees, salts = "sync", None, SALTS
+    used, degrees, salts, held, stored = "sync", None, SALTS, Labels(state), None
+    if plan in ("auto", "tail") and _fits(arcs):
+        state, steps = _tail(state, arcs, hot, lambda rows, f, w1, w_all, flags: frontier_steps(rows, f, w1, w_all, flags, limit, max_steps, commit_small, schedule))
+        return Run(state, steps, time.monotonic() - start, "tail", len(steps) < max_steps or not steps or steps[-1][1] == 0)
+    if plan == "tail":
+        raise ValueError(f"more than {TAIL_ARCS} arcs: the tail plan is for what one task can hold")
     while len(steps) < max_steps:
-        if plan in ("auto", "tail") and _fits(arcs):
-            state, more = _tail(state, arcs, hot, lambda rows, f, w1, w_all, flags: frontier_steps(rows, f, w1, w_all, flags, limit, max_steps - len(steps), commit_small, schedule))
-            steps += more
-            used = "tail" if len(steps) == len(more) else "sync+tail"
-            done = len(steps) < max_steps or not more or more[-1][1] == 0
-            return Run(state, steps, time.monotonic() - start, used, done)
-        if plan == "tail":
-            raise ValueError(f"more than {TAIL_ARCS} arcs: the tail plan is for what one task can hold")
         n_hot = hot.count()
         if not n_hot:
             break
         if degrees is None:
             degrees = materialise(arc_counts(arcs), "degrees")
-            salts = hub_salts(degrees)
-        ball = _ball(arcs, degrees, hot, salts) if plan in ("auto", "ball") and schedule == "sync" else None
+            total, most = degrees.agg(F.sum("degree"), F.max("degree")).first()
+            salts = SALTS if (most or 0) > HUB_ARCS else 1
+            stored = Bucketed(arcs, total or 0)
+        ball = _ball(stored, degrees, hot, salts) if plan in ("auto", "ball") and schedule == "sync" else None
         if ball is not None:
             left = max_steps - len(steps)
-            changed, hot, more = _ball_steps(state, ball, hot, lambda rows, f, w1, w_all, flags, halo: frontier_steps(rows, f, w1, w_all, flags, limit, left, commit_small, "sync", halo))
+            changed, hot, more = _ball_steps(held.view(), ball, hot, lambda rows, f, w1, w_all, flags, halo: frontier_steps(rows, f, w1, w_all, flags, limit, left, commit_small, "sync", halo))
             release(ball[1])
             steps += more
             used = "ball" if used == "ball" or len(steps) == len(more) else "sync+ball"
-            fresh = changed.withColumnRenamed("f", "fresh")
-            state = materialise(lookup(state, fresh, ["node_id"], "left", "node_id", salts=1).select("node_id", F.coalesce("fresh", "f").alias("f"), "w0", "w1", "w_all"), "patched")
+            held.put(changed.withColumnRenamed("f", "fresh"))
             continue
-        moved = None
+        moved, top = None, 0
+        touched = lookup(degrees, hot, ["node_id"], "inner", "node_id", salts=1).agg(F.sum("degree")).first()[0] or 0
         for colour in (None,) if schedule == "sync" else (0, 1):
-            part = hot if colour is None else hot.filter(F.pmod("node_id", F.lit(2)) == colour)
-            rows = relax(state, arcs, part, form, salts)
-            big = F.abs(F.col("new") - F.col("f")) > limit
-            take = F.col("new").isNotNull() if commit_small else F.coalesce(big, F.lit(False))
-            stepped = materialise(rows.select("node_id", F.when(take, F.col("new")).otherwise(F.col("f")).alias("f"), "w0", "w1", "w_all", F.coalesce(big, F.lit(False)).alias("moved"), F.abs(F.col("new") - F.col("f")).alias("change")), "step")
-            state = stepped.select("node_id", "f", "w0", "w1", "w_all")
-            m = stepped.filter("moved").select("node_id")
+            part = hot if colour is None else materialise(hot.filter(F.pmod("node_id", F.lit(2)) == colour), "colour")
+            now = held.view()
+            sums = neighbour_sums(stored.of(part), now, part, salts=salts)
+            rows = lookup(now, part, ["node_id"], "inner", "node_id", salts=1).join(sums, "node_id", "left")
+            new = F.when(F.col("w_all") > 0, FORMS[form](F.coalesce("num", F.lit(0)), F.col("f"), F.col("w1"), F.col("w_all")))
+            change = F.abs(F.col("new") - F.col("f"))
+            stepped = materialise(rows.withColumn("new", new).select("node_id", F.col("new").alias("fresh"), change.alias("change")).filter("fresh is not null"), "step")
+            held.put(stepped.filter(F.col("change") > (0 if commit_small else limit)))
+            m = stepped.filter(F.col("change") > limit).select("node_id")
             moved = m if moved is None else moved.unionByName(m)
-            top = stepped.agg(F.max("change")).first()[0] or 0
+            top = max(top, stepped.agg(F.max("change")).first()[0] or 0)
         moved = materialise(moved, "moved")
         n_moved = moved.count()
-        steps.append((n_hot, n_moved, 0, int(top)))
-        hot = materialise(advance_frontier(arcs, moved, salts), "hot")
+        steps.append((n_hot, n_moved, int(touched), int(top)))
+        hot = materialise(advance_frontier(stored.of(moved), moved, salts), "hot")
         if not n_moved:
             break
-    return Run(state, steps, time.monotonic() - start, used, not steps or steps[-1][1] == 0 or len(steps) < max_steps)
+    done = held.state if held.changes is None else materialise(held.view(), "labels")
+    return Run(done, steps, time.monotonic() - start, used, not steps or steps[-1][1] == 0 or len(steps) < max_steps)
 
 
 def full_sweep(state: DataFrame, arcs: DataFrame, delta: float = 1e-4, plan: str = "auto", max_steps: int = MAX_STEPS, form: str = "average", accel: float = 0.0, blocks: int | None = None, inner: int = 8, block_width: int | None = None) -> Run:
@@ -268,14 +318,14 @@ def full_sweep(state: DataFrame, arcs: DataFrame, delta: float = 1e-4, plan: str
     if plan == "tail" or accel:
         raise ValueError(f"more than {TAIL_ARCS} arcs: neither the tail plan nor acceleration applies")
     steps = []
-    n = state.filter("w_all > 0").count()
+    n, n_arcs = state.filter("w_all > 0").count(), arcs.count()
     salts = hub_salts(arc_counts(arcs)) if n else SALTS
     while len(steps) < max_steps and n:
         rows = relax(state, arcs, None, form, salts)
         stepped = materialise(rows.select("node_id", F.coalesce("new", "f").alias("f"), "w0", "w1", "w_all", F.abs(F.col("new") - F.col("f")).alias("change")), "sweep")
         top, moved = stepped.agg(F.max("change"), F.count(F.when(F.col("change") > limit, 1))).first()
         state = stepped.drop("change")
-        steps.append((n, moved, 0, int(top or 0)))
+        steps.append((n, moved, n_arcs, int(top or 0)))
         if (top or 0) <= limit:
             break
     return Run(state, steps, time.monotonic() - start, "sync", not steps or steps[-1][3] <= limit)
@@ -301,7 +351,7 @@ def _blocked(state: DataFrame, arcs: DataFrame, limit: int, max_steps: int, bloc
             f[live] = (2 * num + w_all[live]) // (2 * w_all[live])
         return pa.table({"node_id": rows.ids, "f": f, "w0": w0, "w1": w1, "w_all": w_all, "change": np.abs(f - before)})
 
-    steps = []
+    steps, n_arcs = [], arcs.count()
     place = (lambda c: F.xxhash64(c)) if block_width is None else (lambda c: F.floor(F.col(c) / block_width))
     key = lambda c: F.pmod(place(c), F.lit(blocks)).cast("int").alias("b")
     while len(steps) < max_steps:
@@ -310,7 +360,7 @@ def _blocked(state: DataFrame, arcs: DataFrame, limit: int, max_steps: int, bloc
         stepped = materialise(out, "blocked")
         top, n = stepped.agg(F.max("change"), F.count("*")).first()
         state = stepped.drop("change")
-        steps.append((n, n, 0, int(top or 0)))
+        steps.append((n, n, inner * n_arcs, int(top or 0)))
         if (top or 0) <= limit:
             break
     return Run(state, steps, time.monotonic() - start, "blocked", not steps or steps[-1][3] <= limit)

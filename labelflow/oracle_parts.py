@@ -40,12 +40,13 @@ def sweeps(k: int, s: str = "s", fa: str = "fa") -> str:
     )
 
 
-def frontier(k: int, delta: float, s: str = "t", fa: str = "fa") -> str:
+def frontier(k: int, delta: float, s: str = "t", fa: str = "fa", commit_small: bool = False) -> str:
     """t1 ... tk and the frontiers h1 ... hk from t0 and h0(node_id)."""
     out = []
+    take = "new IS NOT NULL" if commit_small else "moved"
     for i in range(k):
         out.append(
-            f"""{s}{i + 1} AS MATERIALIZED (SELECT node_id, CAST(CASE WHEN moved THEN new ELSE f END AS BIGINT) AS f, w0, w1, w_all, moved FROM (
+            f"""{s}{i + 1} AS MATERIALIZED (SELECT node_id, CAST(CASE WHEN {take} THEN new ELSE f END AS BIGINT) AS f, w0, w1, w_all, moved FROM (
   SELECT *, coalesce(abs(new - f) > {units(delta)}, false) AS moved FROM (SELECT s.node_id, s.f, s.w0, s.w1, s.w_all, CASE WHEN h.node_id IS NOT NULL AND s.w_all > 0 THEN {_new()} END AS new
   FROM {s}{i} s LEFT JOIN h{i} h ON h.node_id = s.node_id LEFT JOIN (SELECT src, sum(w * f) AS num FROM {fa} JOIN {s}{i} t ON t.node_id = dst GROUP BY src) m ON m.src = s.node_id)))"""
         )
@@ -53,6 +54,21 @@ def frontier(k: int, delta: float, s: str = "t", fa: str = "fa") -> str:
     return ",\n".join(out)
 
 
+def two_phase(k: int, delta: float, fa: str = "fa") -> str:
+    """As `frontier`, but even ids move first (a step's table `e`) and odd ids see the result."""
+    out = []
+    for i in range(k):
+        for s, t, parity in ((f"t{i}", f"e{i + 1}", 0), (f"e{i + 1}", f"t{i + 1}", 1)):
+            was = "false" if parity == 0 else "was"
+            out.append(
+                f"""{t} AS MATERIALIZED (SELECT node_id, CAST(CASE WHEN big THEN new ELSE f END AS BIGINT) AS f, w0, w1, w_all, big OR {was} AS {"was" if parity == 0 else "moved"} FROM (
+  SELECT *, coalesce(abs(new - f) > {units(delta)}, false) AS big FROM (SELECT s.*, CASE WHEN h.node_id IS NOT NULL AND s.node_id % 2 = {parity} AND s.w_all > 0 THEN {_new()} END AS new
+  FROM {s} s LEFT JOIN h{i} h ON h.node_id = s.node_id LEFT JOIN (SELECT src, sum(w * f) AS num FROM {fa} JOIN {s} t ON t.node_id = dst GROUP BY src) m ON m.src = s.node_id)))"""
+            )
+        out.append(f"h{i + 1} AS MATERIALIZED (SELECT node_id FROM t{i + 1} WHERE moved UNION SELECT dst FROM {fa} JOIN t{i + 1} ON node_id = src WHERE moved)")
+    return ",\n".join(out)
+
+
 def components(nodes: str, arcs: str, name: str = "cc") -> str:
     """Smallest reachable id by a keyed recursive table."""
     return f"""{name}(node_id, comp_id) USING KEY (node_id) AS (SELECT node_id, node_id FROM {nodes}
@@ -64,8 +80,10 @@ NEW_IDS = "SELECT o_orderkey * 2 AS node_id FROM orders WHERE o_orderdate >= (SE
 DEL_IDS = "SELECT o_orderkey * 2 AS node_id FROM orders WHERE o_orderkey % 97 = 5 AND o_orderdate < (SELECT date_trunc('month', max(o_orderdate)) - INTERVAL 1 MONTH FROM orders)"
 
 
-def update_sql(inserts: bool, deletes: bool, steps: int, delta: float, select: str) -> str:
+def update_sql(inserts: bool, deletes: bool, steps: int, delta: float, select: str, commit_small: bool = False, gates: bool = False, schedule: str = "sync") -> str:
     """The whole update: five sweeps on the old graph, the batch, component labels, and frontier steps."""
+    ran = two_phase(steps, delta) if schedule == "two_phase" else frontier(steps, delta, commit_small=commit_small)
+    gate = "SELECT all_arcs.* FROM all_arcs, tau WHERE w > tau OR src NOT IN (SELECT node_id FROM fresh) AND dst NOT IN (SELECT node_id FROM fresh)" if gates else "SELECT * FROM all_arcs"
     old = "old_nodes AS MATERIALIZED (SELECT * FROM nodes" + (" WHERE node_id NOT IN (SELECT node_id FROM fresh))" if inserts else ")")
     gone = f"gone AS MATERIALIZED ({DEL_IDS})" if deletes else "gone AS (SELECT CAST(0 AS BIGINT) AS node_id WHERE false)"
     fresh = f"fresh AS MATERIALIZED ({NEW_IDS})" if inserts else "fresh AS (SELECT CAST(0 AS BIGINT) AS node_id WHERE false)"
@@ -73,9 +91,10 @@ def update_sql(inserts: bool, deletes: bool, steps: int, delta: float, select: s
 old_arcs AS MATERIALIZED (SELECT * FROM arcs WHERE src IN (SELECT node_id FROM old_nodes) AND dst IN (SELECT node_id FROM old_nodes)),
 {contraction('old_arcs', 'old_nodes', 'cw0')}, {start('s0', 'old_nodes', 'cw0')}, {free_arcs('s0', 'old_arcs', 'fa0')}, {sweeps(5, 's', 'fa0')},
 now AS MATERIALIZED (SELECT * FROM nodes WHERE node_id NOT IN (SELECT node_id FROM gone)),
-now_arcs AS MATERIALIZED (SELECT * FROM arcs WHERE src NOT IN (SELECT node_id FROM gone) AND dst NOT IN (SELECT node_id FROM gone)),
+all_arcs AS MATERIALIZED (SELECT * FROM arcs WHERE src NOT IN (SELECT node_id FROM gone) AND dst NOT IN (SELECT node_id FROM gone)),
 tau AS MATERIALIZED (SELECT avg(w) AS tau FROM (SELECT w FROM edges WHERE u IN (SELECT node_id FROM fresh) OR v IN (SELECT node_id FROM fresh)
-  UNION ALL SELECT w FROM now_arcs WHERE src < dst AND src NOT IN (SELECT node_id FROM fresh) AND dst NOT IN (SELECT node_id FROM fresh))),
+  UNION ALL SELECT w FROM all_arcs WHERE src < dst AND src NOT IN (SELECT node_id FROM fresh) AND dst NOT IN (SELECT node_id FROM fresh))),
+now_arcs AS MATERIALIZED ({gate}),
 sub AS MATERIALIZED (SELECT src, dst, w FROM now_arcs, tau WHERE w > tau AND src IN (SELECT node_id FROM fresh) AND dst IN (SELECT node_id FROM fresh)),
 {components('fresh', 'sub')},
 {contraction('now_arcs', 'now')},
@@ -85,5 +104,5 @@ f0 AS MATERIALIZED (SELECT node_id, f0 FROM init UNION ALL SELECT node_id, f FRO
 {start('t0', 'now', 'cw', f'coalesce(f0.f0, {HALF})', 'LEFT JOIN f0 ON f0.node_id = n.node_id')}, {free_arcs('t0', 'now_arcs', 'fa')},
 touched AS MATERIALIZED (SELECT node_id FROM fresh UNION SELECT dst FROM now_arcs JOIN fresh ON src = node_id UNION SELECT dst FROM old_arcs JOIN gone ON src = node_id),
 h0 AS MATERIALIZED (SELECT node_id FROM touched WHERE node_id IN (SELECT node_id FROM t0 WHERE w_all > 0)),
-{frontier(steps, delta)}
+{ran}
 {select}"""

@@ -51,7 +51,7 @@ def relaxed(rows: Rows, nodes: np.ndarray, f: np.ndarray, w1: np.ndarray, w_all:
 def frontier_steps(rows: Rows, f: np.ndarray, w1: np.ndarray, w_all: np.ndarray, hot: np.ndarray, delta: int, most: int, commit_small: bool = False, schedule: str = "sync", halo: np.ndarray | None = None) -> list[tuple[int, int, int, int]]:
     """Runs supersteps on f in place until no node is hot, or one of `halo` is, whose rows are not all here; per step: hot nodes, committed nodes, arcs touched, largest change.
 
-    `two_phase` updates even places first and lets odd ones see the result, which is nearer to updating in place."""
+    `two_phase` updates even ids first and lets odd ones see the result, which is nearer to updating in place."""
     steps = []
     while len(steps) < most:
         if halo is not None and np.any(hot & halo):
@@ -61,7 +61,7 @@ def frontier_steps(rows: Rows, f: np.ndarray, w1: np.ndarray, w_all: np.ndarray,
             hot[:] = False
             break
         moved_parts, top, touched = [], 0, 0
-        groups = [live] if schedule == "sync" else [live[live % 2 == 0], live[live % 2 == 1]]
+        groups = [live] if schedule == "sync" else [live[rows.ids[live] % 2 == k] for k in (0, 1)]
         for nodes in groups:
             if not len(nodes):
                 continue

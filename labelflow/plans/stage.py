@@ -57,12 +57,13 @@ def shuffle_cleanup(spark: SparkSession) -> Iterator[None]:
         spark.conf.set(CLEANUP_KEY, before)
 
 
-def materialise(df: DataFrame, label: str = "stage") -> DataFrame:
-    """Writes a stage and reads it back: lineage ends, and a lost executor loses nothing."""
+def materialise(df: DataFrame, label: str = "stage", by: str | None = None) -> DataFrame:
+    """Writes a stage and reads it back: lineage ends, and a lost executor loses nothing. `by` names a column (the last) whose
+    values get a folder each, so that a filter on it reads only those."""
     spark = df.sparkSession
     path = new_path(spark, label)
     with shuffle_cleanup(spark):
-        df.write.parquet(path)
+        (df.write.partitionBy(by) if by else df.write).parquet(path)
     gc.collect()
     out = spark.read.schema(df.schema).parquet(path)
     out._labelflow_path = path
