@@ -27,6 +27,8 @@ DELTA = 1e-4
 DELTAS = (0.1, 0.01, 0.001, 0.0001, 0.00001)
 DEGREES = (3, 5, 7)
 GAMMAS = (0.1, 1.0, 10.0)
+#: Labelled documents of the text graphs whose number of neighbours varies.
+SEEDS = 100
 
 
 def n_orders(spark: SparkSession, sf_dir: str) -> int:
@@ -96,9 +98,9 @@ def w1_size_sweep(spark, sf_dir):
 
 @query("w2_delta_by_dataset")
 def w2_delta_by_dataset(spark, sf_dir):
-    """Threshold against accuracy, iterations and time."""
+    """Threshold against accuracy, iterations and time, on text, vectors, random and order-part graphs."""
     rows = []
-    for name, g in stand_ins(spark, sf_dir).items():
+    for name, g in (stand_ins(spark, sf_dir) | {"vectors": vector_graph(spark, sf_dir, 5, 0.05)[0]}).items():
         ref, flags, n = reference(g), materialise(reached(g), "flags"), g.nodes.count()
         for delta in DELTAS:
             run, s = one_batch(g, delta)
@@ -113,31 +115,38 @@ def w3_delta_by_batch(spark, sf_dir):
     for size in sorted({max(150, n // 100), max(300, n // 10), n}):
         g = random_graph(spark, size, 5, 0.01)
         ref, flags = reference(g), materialise(reached(g), "flags")
-        for delta in DELTAS[1:4]:
+        for delta in DELTAS:
             run, s = one_batch(g, delta)
             rows.append(_row("random", "frontier", delta, size, run, s, _accuracy(run.state, ref, flags)))
     return table(spark, rows, METRICS)
 
 
-def growing(spark: SparkSession, g: SimilarityGraph, batches: int = 5, seeds: float = 0.01, delta: float = DELTA, mixed: bool = False) -> list[tuple]:
-    """Batches arrive until the graph is whole; per batch the frontier update, the restarted and the warm full sweep. With `mixed` a batch
-    also deletes a share of what is there. Rows of _row, parameter being the batch."""
-    order = with_hash(g.nodes, "h", "node_id", 21)
-    order = materialise(order.withColumn("batch", F.when(F.col("truth").isNotNull() & (F.col("h") % 10 < 9), 0).otherwise(1 + F.col("h") % batches)), "arrival")
+def growing(spark: SparkSession, g: SimilarityGraph, batches: int = 5, delta: float = DELTA, changes: DataFrame | None = None, sweeps: bool = True) -> list[tuple]:
+    """Batches arrive until the graph is whole; per batch the frontier update, the restarted and the warm full sweep. `changes` gives
+    the batches (see graph.make_batches), deletions among them; else nodes arrive by hash on top of most of the labelled ones. Rows
+    of _row, parameter being the batch."""
+    if changes is None:
+        order = with_hash(g.nodes, "h", "node_id", 21)
+        order = order.withColumn("batch", F.when(F.col("truth").isNotNull() & (F.col("h") % 10 < 9), 0).otherwise(1 + F.col("h") % batches))
+    else:
+        order = changes.filter("op = 'ins'").select("node_id", "truth", "batch_id", F.col("batch_id").alias("batch"))
+    order = materialise(order, "arrival")
     edges = materialise(g.arcs.filter("src < dst").select(F.col("src").alias("u"), F.col("dst").alias("v"), "w"), "all-edges")
     at = lambda c: order.select(F.col("node_id").alias(c), F.col("batch").alias(f"b_{c}"))
     edges = materialise(edges.join(at("u"), "u").join(at("v"), "v").withColumn("batch", F.greatest("b_u", "b_v")).select("u", "v", "w", "batch"), "dated-edges")
     cur = SimilarityGraph(materialise(order.filter("batch = 0").select("node_id", "truth"), "base"), materialise(graph.arcs_of(edges.filter("batch = 0")), "base-arcs"))
     labels, rows = None, []
-    for b in range(1, batches + 1):
+    for b in range(1, batches + (changes is None)):
         ins = materialise(order.filter(F.col("batch") == b).select("node_id", "truth"), "ins")
-        dels = None
-        if mixed and b > 1:
-            dels = materialise(cur.nodes.filter(F.pmod(F.xxhash64("node_id", F.lit(b)), F.lit(1000)) < 90 // b).select("node_id"), "dels")
+        dels = None if changes is None else materialise(changes.filter((F.col("op") == "del") & (F.col("batch_id") == b)).select("node_id"), "dels")
         begun = time.monotonic()
         up = frontier_update(cur, labels, ins, edges.filter(F.col("batch") == b).select("u", "v", "w"), dels, delta=delta)
         took = time.monotonic() - begun
         cur = up.graph
+        if not sweeps:
+            labels = up.run.state
+            rows.append(_row("", "frontier", b, cur.nodes.count(), up.run, took, None))
+            continue
         full, s_full = swept(cur, delta)
         warm_from = labels.select("node_id", F.col("f").alias("f0")) if labels is not None else None
         warm, s_warm = swept(cur, delta, warm_from)
@@ -153,11 +162,16 @@ def growing(spark: SparkSession, g: SimilarityGraph, batches: int = 5, seeds: fl
 
 @query("w4_iterations_vs_sweep")
 def w4_iterations_vs_sweep(spark, sf_dir):
-    """Iterations and updates against full sweeps while batches arrive, by degree."""
+    """Iterations and updates against full sweeps while batches arrive: random graphs by degree, text by k and with as many seeds at any k."""
     rows = []
     for d in DEGREES:
         g = random_graph(spark, n_orders(spark, sf_dir), d, 0.01)
         rows += [(f"random_deg{d}", *r[1:]) for r in growing(spark, g, 3)]
+    for k in DEGREES:
+        g, truth = text_graph(spark, sf_dir, k, 1.0)
+        seeds = graph.choose_seeds(truth, n=SEEDS)
+        g = SimilarityGraph(materialise(g.nodes.select("node_id").join(seeds, "node_id", "left"), "seeded"), g.arcs)
+        rows += [(f"text_k{k}", *r[1:]) for r in growing(spark, g, 2)]
     return table(spark, rows, METRICS)
 
 
@@ -204,14 +218,22 @@ def _features(docs: DataFrame) -> DataFrame:
 
 @query("w7_vs_neural_knn")
 def w7_vs_neural_knn(spark, sf_dir):
-    """Vectors, a few per cent of truth: frontier against the neural learner, accuracy on the planted classes."""
+    """Vectors, a few per cent of truth, five batches: frontier against the neural learner, accuracy on the planted classes."""
     g, x, truth = vector_graph(spark, sf_dir, 5, 0.04)
     held = truth.join(g.nodes.filter("truth is null").select("node_id"), "node_id", "left_semi")
-    run, s = one_batch(g)
-    got, t = timed(lambda: learners.neural_knn(g, x))
-    acc = lambda df: float(measures.accuracy_truth(df, held).first().accuracy or 0)
-    n = g.nodes.count()
-    return table(spark, [_row("vectors", "frontier", 0, n, run, s, acc(run.state)), _row("vectors", "neural_knn", 0, n, None, t, acc(got.select("node_id", F.round(F.col("label") * SCALE).cast("long").alias("f"))))], METRICS)
+    order = materialise(with_hash(g.nodes, "h", "node_id", 21).withColumn("batch", F.when(F.col("truth").isNotNull(), 0).otherwise(1 + F.col("h") % 5)), "arrival")
+    rows = []
+    acc = lambda df, some: float(measures.accuracy_truth(df, some).first().accuracy or 0)
+    for b in range(1, 6):  # what has arrived by batch b
+        here = materialise(order.filter(F.col("batch") <= b).select("node_id"), "here")
+        arcs = g.arcs.join(here.withColumnRenamed("node_id", "src"), "src", "left_semi").join(here.withColumnRenamed("node_id", "dst"), "dst", "left_semi")
+        part = SimilarityGraph(materialise(g.nodes.join(here, "node_id", "left_semi"), "part"), materialise(arcs.select("src", "dst", "w"), "part-arcs"))
+        some = materialise(held.join(here, "node_id", "left_semi"), "held")
+        run, s = one_batch(part)
+        got, t = timed(lambda part=part, here=here: learners.neural_knn(part, x.join(here, "node_id", "left_semi")))
+        n = part.nodes.count()
+        rows += [_row("vectors", "frontier", b, n, run, s, acc(run.state, some)), _row("vectors", "neural_knn", b, n, None, t, acc(got.select("node_id", F.round(F.col("label") * SCALE).cast("long").alias("f")), some))]
+    return table(spark, rows, METRICS)
 
 
 @query("w8_vs_gcn")
@@ -242,9 +264,35 @@ def w9_single_batch_times(spark, sf_dir):
             rows.append(_row(name, "harmonic_contracted", 0, n, None, s, None))
         except harmonic.CapacityError:
             rows.append((name, "harmonic_contracted", 0.0, n, 0, 0, None, None))
+        try:
+            _, s = timed(lambda g=g: sparse_inverse.harmonic_sparse_inverse(g, 1.0, "ratio", 60))
+            rows.append(_row(name, "harmonic_sparse_inverse", 1.0, n, None, s, None))
+        except harmonic.CapacityError:
+            rows.append((name, "harmonic_sparse_inverse", 1.0, n, 0, 0, None, None))
+    rows += _learned(spark, sf_dir)
     return table(spark, rows, METRICS)
 
 
+def _learned(spark: SparkSession, sf_dir: str) -> list[tuple]:
+    """The learners, which need features: the graph convolution and the neural kNN on text and vectors, and the frontier beside them."""
+    rows = []
+    text, labels = text_graph(spark, sf_dir, 5, 0.05)
+    vectors, x, planted = vector_graph(spark, sf_dir, 5, 0.04)
+    words = materialise(_features(read(spark, sf_dir, "documents")), "features")
+    for name, g, feats, truth in (("text", text, words, labels), ("vectors", vectors, x, planted)):
+        n = g.nodes.count()
+        held = materialise(truth.join(g.nodes.filter("truth is null").select("node_id"), "node_id", "left_semi"), "held")
+        acc = lambda df: float(measures.accuracy_truth(df, held).first().accuracy or 0)  # noqa: B023, E731
+        as_units = lambda df: df.select("node_id", F.round(F.col("label") * SCALE).cast("long").alias("f"))
+        run, s = one_batch(g)
+        rows.append(_row(f"{name}_learned", "frontier", 0, n, run, s, acc(run.state)))
+        got, s = timed(lambda g=g, feats=feats: learners.gcn_two_layer(g, feats, epochs=60))
+        rows.append(_row(f"{name}_learned", "gcn", 0, n, None, s, acc(as_units(got))))
+        got, s = timed(lambda g=g, feats=feats: learners.neural_knn(g, feats))
+        rows.append(_row(f"{name}_learned", "neural_knn", 0, n, None, s, acc(as_units(got))))
+    return rows
+
+
 @query("w10_random_batches")
 def w10_random_batches(spark, sf_dir):
     """Random graphs of rising size: time and accuracy of every method, gamma in 0.1, 1 and 10."""
@@ -275,20 +323,23 @@ def w11_summary(spark, sf_dir):
 
 @query("w12_dynamic_mix")
 def w12_dynamic_mix(spark, sf_dir):
-    """Insertions, labelled insertions and deletions together, on the order-part graph."""
-    g, _ = order_part_graph(spark, sf_dir)
-    return table(spark, [("order_part", *r[1:]) for r in growing(spark, seeded(g, 0.05), 3, mixed=True)], METRICS)
+    """Batches of 90% unlabelled inserts, 1% labelled ones and 9% deletions with replacement, on text, random and order-part graphs."""
+    rows = []
+    graphs = {"text": text_graph(spark, sf_dir, 5, 1.0)[0], "random": random_graph(spark, n_orders(spark, sf_dir), 5, 1.0), "order_part": order_part_graph(spark, sf_dir)[0]}
+    for name, g in graphs.items():
+        changes = materialise(graph.normalise_changes(graph.make_batches(g.nodes, 4)), "changes")
+        rows += [(name, *r[1:]) for r in growing(spark, g, 4, changes=changes)]
+    return table(spark, rows, METRICS)
 
 
 @query("w13_batch_scaling")
 def w13_batch_scaling(spark, sf_dir):
-    """Total seconds by number of batches, and the line through them."""
-    g = random_graph(spark, min(n_orders(spark, sf_dir), 15_000), 5, 0.02)
+    """Total seconds by number of equal batches, 1 to 20, and the line through them."""
+    g = random_graph(spark, n_orders(spark, sf_dir), 5, 0.02)
     rows, total = [], 0.0
-    for r in growing(spark, g, 5):
-        if r[1] == "frontier":
-            total += r[6]
-            rows.append((int(r[2]), total))
+    for r in growing(spark, g, 20, sweeps=False):
+        total += r[6]
+        rows.append((int(r[2]), total))
     m = table(spark, rows, "batches int, seconds double")
     return m.crossJoin(F.broadcast(measures.batch_slope(m)))  # one row
 
@@ -381,10 +432,12 @@ def w20_feature_export(spark, sf_dir):
 
 @query("w_capacity")
 def w_capacity(spark, sf_dir):
-    """Largest random graph that a dense and a sparse method accept here, doubling the size."""
+    """Largest random graph that a dense and a sparse method accept here: the size doubles until a method refuses it by its own bound or
+    takes over ten seconds, or the table's orders have been used up 16 times."""
     rows = []
-    for method, run in (("harmonic_contracted", lambda n: harmonic.harmonic_contracted(random_graph(spark, n), 2_000).count()), ("frontier", lambda n: one_batch(random_graph(spark, n)))):
-        for n, ok, s in measures.capacity_probe(run, [1_000, 2_000, 4_000], 60.0):
+    sizes = [1_000 << k for k in range(20) if 1_000 << k <= 16 * n_orders(spark, sf_dir)]
+    for method, run in (("harmonic_contracted", lambda n: harmonic.harmonic_contracted(random_graph(spark, n)).count()), ("frontier", lambda n: one_batch(random_graph(spark, n)))):
+        for n, ok, s in measures.capacity_probe(run, sizes, 10.0):
             rows.append((method, n, ok, round(s, 3)))
     return table(spark, rows, "method string, n int, ran boolean, seconds double")
 
