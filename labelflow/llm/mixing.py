@@ -22,6 +22,8 @@ SEED = 20240613
 PART = 30.0
 #: Bytes of the scanned files (compressed) that one partition of the shuffled output is meant to hold.
 BYTES_PER_PARTITION = 64 << 20
+#: The optimizer's size of a plan that it can't tell, or a product of such.
+UNKNOWN_SIZE = 1 << 60
 NO_SOURCE = "\x00"
 
 
@@ -73,8 +75,12 @@ def drawn(docs: DataFrame, rates: DataFrame, seed: int = SEED) -> DataFrame:
 
 
 def _bytes_out(docs: DataFrame, total: float | None) -> int:
-    """Expected bytes after replication: what the optimizer knows of the input's size, times rows out over rows in."""
+    """Expected bytes after replication: what the optimizer knows of the input's size, times rows out over rows in. Where it knows
+    none (rows that are not read from files), the strings are measured."""
     size = int(str(docs._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    if size >= UNKNOWN_SIZE:
+        strings = [F.coalesce(F.octet_length(c), F.lit(0)) for c, kind in docs.dtypes if kind == "string"]
+        size = int(docs.agg(F.sum(sum(strings, F.lit(8 * len(docs.columns)))).alias("bytes")).first().bytes or 0)
     if total is None:
         return size
     return int(size * min(1e4, total / max(1, docs.count())))
