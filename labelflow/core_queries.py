@@ -398,7 +398,7 @@ def sweep_warm_start(spark, sf_dir):
 def sweep_accelerated(spark, sf_dir):
     g, _ = order_part_graph(spark, sf_dir)
     state, arcs = propagate.free_state(seeded(g))
-    return propagate.full_sweep(state, arcs, DELTA, accel=0.4).state.select("node_id", "f")
+    return propagate.full_sweep(state, arcs, DELTA, accel="cheby").state.select("node_id", "f")
 
 
 @query("sweep_blocked")

@@ -14,6 +14,7 @@ from labelflow.operators.classweights import contraction, initial_labels
 from labelflow.operators.components import connected_components
 from labelflow.operators.graph import SimilarityGraph, apply_deletes, apply_inserts, new_subgraph, tau_mean
 from labelflow.operators.propagate import TAIL_ARCS, Run, free_state, frontier_loop
+from labelflow.operators.similarity import insert_knn
 from labelflow.plans.joins import lookup, without
 from labelflow.plans.local_update import ARC, NODE, SCHEMA, STATE, STEP, TAU, run_update
 from labelflow.plans.stage import materialise
@@ -68,6 +69,14 @@ def frontier_update(g: SimilarityGraph, labels: DataFrame | None, ins: DataFrame
     return Update(g, run, float(tau) if tau != "mean" else 0.0, hot, setup)
 
 
+def vector_update(g: SimilarityGraph, labels: DataFrame | None, old: DataFrame, new: DataFrame, truth: DataFrame, k: int = 5, search: str = "exact", **options) -> Update:
+    """An insertion of raw points: `new` vectors (node_id, q) find their k nearest among `old` and each other, and the edges found are the batch.
+    `truth` (node_id, truth) names the known ones among the new; `search` and its bounds are those of insert_knn, `options` those of frontier_update."""
+    edges = materialise(insert_knn(old, new, k, search), "insert-edges")
+    ins = new.select("node_id").distinct().join(truth.select("node_id", F.col("truth").cast("int").alias("truth")), "node_id", "left")
+    return frontier_update(g, labels, ins, edges, **options)
+
+
 def _one_task_update(g, labels, ins, ins_edges, dels, tau, delta, init, commit_small, schedule, max_steps, gates, begun) -> Update:
     """The whole batch in one task; sizes have been checked."""
     blank = F.lit(None).cast("long")

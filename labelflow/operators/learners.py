@@ -7,7 +7,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from labelflow.functions.fixed import HALF, SCALE, units
+from labelflow.functions.fixed import HALF, SCALE
 from labelflow.operators.graph import SimilarityGraph
 from labelflow.operators.harmonic import CapacityError
 from labelflow.operators.propagate import free_state, full_sweep
@@ -15,6 +15,8 @@ from labelflow.plans.stage import materialise
 
 #: Nodes whose reduced features one task may hold for training: 200,000 x 512 doubles are 800 MB.
 GCN_NODES = 200_000
+#: Whole steps of a pseudo label's certainty.
+CERTAINTY = 4
 
 
 def normalised_adjacency(arcs: DataFrame, nodes: DataFrame) -> DataFrame:
@@ -95,9 +97,17 @@ def gcn_two_layer(g: SimilarityGraph, features: DataFrame, svd_dim: int = 512, h
     return nodes.withColumn("k", F.lit(0)).groupBy("k").cogroup(links.withColumn("k", F.lit(0)).groupBy("k")).applyInArrow(run, "node_id long, label double")
 
 
+def certain(known: DataFrame, labels: DataFrame) -> DataFrame:
+    """(node_id, label): known labels CERTAINTY times, pseudo labels as many times as they are certain."""
+    steps = F.round(F.abs(F.col("f") - HALF) * (CERTAINTY / HALF)).cast("int")
+    pseudo = labels.select("node_id", (F.col("f") >= HALF).cast("double").alias("label"), steps.alias("times"))
+    return known.withColumn("times", F.lit(CERTAINTY)).unionByName(pseudo).select("node_id", "label", F.explode(F.array_repeat(F.lit(0), F.col("times")))).select("node_id", "label")
+
+
 def neural_knn(g: SimilarityGraph, features: DataFrame, delta: float = 1e-3, hidden: int = 32, rounds: int = 2, max_iter: int = 40, seed: int = 1) -> DataFrame:
-    """(node_id, label): a sweep over the kNN graph gives pseudo labels; a small network learns them from the features, those of confidence 0.5
-    or more; its probabilities start the next sweep."""
+    """(node_id, label): a sweep over the kNN graph gives pseudo labels; a small network learns them from the features; its probabilities
+    start the next sweep. The loss is weighted by certainty, the distance of a pseudo label from the cutoff, in CERTAINTY whole steps: the
+    network takes no weights, so a row stands once for each step; a known label stands CERTAINTY times, one at the cutoff not at all."""
     from pyspark.ml.classification import MultilayerPerceptronClassifier
     from pyspark.ml.functions import array_to_vector, vector_to_array
 
@@ -107,8 +117,7 @@ def neural_knn(g: SimilarityGraph, features: DataFrame, delta: float = 1e-3, hid
     known = g.nodes.filter("truth is not null").select("node_id", F.col("truth").cast("double").alias("label"))
     labels = full_sweep(state, arcs, delta).state
     for _ in range(rounds):
-        sure = labels.filter(F.abs(F.col("f") - HALF) >= units(0.25)).select("node_id", (F.col("f") >= HALF).cast("double").alias("label"))
-        rows = materialise(known.unionByName(sure).join(x, "node_id"), "train")
+        rows = materialise(certain(known, labels).join(x, "node_id"), "train")
         if rows.select("label").distinct().count() < 2:
             break
         net = MultilayerPerceptronClassifier(layers=[dim, hidden, 2], maxIter=max_iter, seed=seed).fit(rows.select("label", "features"))

@@ -305,8 +305,8 @@ def frontier_loop(state: DataFrame, arcs: DataFrame, hot: DataFrame, delta: floa
     return Run(done, steps, time.monotonic() - start, used, not steps or steps[-1][1] == 0 or len(steps) < max_steps)
 
 
-def full_sweep(state: DataFrame, arcs: DataFrame, delta: float = 1e-4, plan: str = "auto", max_steps: int = MAX_STEPS, form: str = "average", accel: float = 0.0, blocks: int | None = None, inner: int = 8, block_width: int | None = None) -> Run:
-    """Every node is re-averaged every round until no move exceeds delta. `accel` adds momentum (tail plan only).
+def full_sweep(state: DataFrame, arcs: DataFrame, delta: float = 1e-4, plan: str = "auto", max_steps: int = MAX_STEPS, form: str = "average", accel: float | str = 0.0, blocks: int | None = None, inner: int = 8, block_width: int | None = None) -> Run:
+    """Every node is re-averaged every round until no move exceeds delta. `accel` combines sweeps by the Chebyshev recurrence (tail plan only).
 
     Blocks are cut by hash, or by runs of `block_width` ids, which keeps neighbours together where ids follow arrival."""
     start, limit = time.monotonic(), units(delta)

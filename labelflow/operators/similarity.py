@@ -184,22 +184,31 @@ def lsh_buckets(vecs: DataFrame, planes: int = 8, tables: int = 8, seed: int = 7
     return vecs.select("node_id", "q").mapInArrow(sign, "node_id long, q array<long>, table int, bucket int")
 
 
-def lsh_knn(vecs: DataFrame, k: int, planes: int = 8, tables: int = 8, seed: int = 7, bucket_rows: int = 2_000) -> DataFrame:
+def lsh_knn(vecs: DataFrame, k: int, planes: int = 8, tables: int = 8, seed: int = 7, bucket_rows: int = 2_000, queries: DataFrame | None = None) -> DataFrame:
     """(u, v, sim): approximate k nearest neighbours. A bucket larger than bucket_rows is dealt over salts, each of which meets the whole
-    bucket, so that no candidate is lost; the candidates are re-ranked exactly."""
+    bucket, so that no candidate is lost; the candidates are re-ranked exactly. `queries` (node_id) restricts u, as an insertion needs."""
     b = materialise(lsh_buckets(vecs, planes, tables, seed), "lsh")
     heavy = materialise(b.groupBy("table", "bucket").agg(F.count("*").alias("n")).filter(F.col("n") > bucket_rows).select("table", "bucket", F.ceil(F.col("n") / bucket_rows).cast("int").alias("salts")), "heavy")
     b = lookup(b, heavy, ["table", "bucket"], "left", "node_id").withColumn("salts", F.coalesce("salts", F.lit(1)))
     left = b.select(F.col("node_id").alias("u"), F.col("q").alias("qu"), "table", "bucket", F.pmod(F.xxhash64("node_id"), F.col("salts")).cast("int").alias("salt"))
+    if queries is not None:
+        asked = materialise(queries.select(F.col("node_id").alias("u"), F.lit(True).alias("asked")).distinct(), "asked")
+        left = lookup(left, asked, ["u"], "inner", salts=1).drop("asked")
     other = b.select(F.col("node_id").alias("v"), F.col("q").alias("qv"), "table", "bucket", F.explode(F.sequence(F.lit(0), F.col("salts") - 1)).alias("salt"))
     pairs = left.join(other, ["table", "bucket", "salt"]).filter("u != v")
     sim = F.aggregate(F.zip_with("qu", "qv", lambda x, y: x * y), F.lit(0).cast("long"), lambda a, x: a + x)
-    return knn(pairs.dropDuplicates(["u", "v"]).select("u", "v", sim.alias("sim")), k)
-
-
-def insert_knn(old: DataFrame, new: DataFrame, k: int) -> DataFrame:
-    """Edges (u, v, w) by which inserted vectors join: each picks its k best among live and co-inserted ones; old lists stay as they are."""
-    return knn_edges(dense_pairs(old.unionByName(new), new), k)
+    return knn(pairs.select("u", "v", sim.alias("sim")).distinct(), k)  # the vectors stay out of the shuffle
+
+
+def insert_knn(old: DataFrame, new: DataFrame, k: int, search: str = "exact", planes: int = 3, tables: int = 16) -> DataFrame:
+    """Edges (u, v, w) by which inserted vectors join: each picks its k best among live and co-inserted ones; old lists stay as they are.
+    `exact` compares a batch of bounded size with all vectors; `lsh` meets them in buckets, for a batch of any size."""
+    both = old.unionByName(new)
+    if search == "exact":
+        return knn_edges(dense_pairs(both, new), k)
+    if search != "lsh":
+        raise ValueError("search is exact or lsh")
+    return knn_edges(lsh_knn(both, k, planes, tables, queries=new), k)
 
 
 def changed_lists(pairs: DataFrame, new_ids: DataFrame, k: int) -> DataFrame:

@@ -20,12 +20,13 @@ class GraphStore:
     def _put(self, df: DataFrame, kind: str, batch_id: int) -> None:
         df.write.mode("overwrite").parquet(f"{self.path}/{kind}/batch_id={batch_id}")
 
-    def _get(self, kind: str, schema: str) -> DataFrame:
+    def _get(self, kind: str, schema: str, before: int | None = None) -> DataFrame:
         jvm = self.spark.sparkContext._jvm
         where = jvm.org.apache.hadoop.fs.Path(f"{self.path}/{kind}")
         if not where.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()).exists(where):
             return self.spark.createDataFrame([], f"{schema}, batch_id int")
-        return self.spark.read.schema(f"{schema}, batch_id int").parquet(f"{self.path}/{kind}")
+        held = self.spark.read.schema(f"{schema}, batch_id int").parquet(f"{self.path}/{kind}")
+        return held if before is None else held.filter(F.col("batch_id") < before)  # folders, so the scan is pruned
 
     def append(self, batch_id: int, nodes: DataFrame | None = None, arcs: DataFrame | None = None, dels: DataFrame | None = None) -> None:
         if nodes is not None:
@@ -35,18 +36,18 @@ class GraphStore:
         if dels is not None:
             self._put(dels.select("node_id").distinct(), "tombstones", batch_id)
 
-    def _dead(self) -> DataFrame:
-        return self._get("tombstones", "node_id long").groupBy("node_id").agg(F.max("batch_id").alias("dead"))
+    def _dead(self, before: int | None = None) -> DataFrame:
+        return self._get("tombstones", "node_id long", before).groupBy("node_id").agg(F.max("batch_id").alias("dead"))
 
-    def nodes(self) -> DataFrame:
-        """Live nodes: inserted after, or in the batch of, their last deletion."""
-        born = self._get("nodes", "node_id long, truth int").groupBy("node_id").agg(F.max_by("truth", "batch_id").alias("truth"), F.max("batch_id").alias("born"))
-        return born.join(self._dead(), "node_id", "left").filter("dead is null or born >= dead").select("node_id", "truth")
+    def nodes(self, before: int | None = None) -> DataFrame:
+        """Live nodes: inserted after, or in the batch of, their last deletion; `before` leaves out that batch and later ones."""
+        born = self._get("nodes", "node_id long, truth int", before).groupBy("node_id").agg(F.max_by("truth", "batch_id").alias("truth"), F.max("batch_id").alias("born"))
+        return born.join(self._dead(before), "node_id", "left").filter("dead is null or born >= dead").select("node_id", "truth")
 
-    def arcs(self) -> DataFrame:
-        """Arcs between live nodes that were written after the ends' last deletion."""
-        dead = materialise(self._dead(), "dead")
-        a = self._get("arcs", "src long, dst long, w long")
+    def arcs(self, before: int | None = None) -> DataFrame:
+        """Arcs between live nodes that were written after the ends' last deletion, of the weight written last."""
+        dead = materialise(self._dead(before), "dead")
+        a = self._get("arcs", "src long, dst long, w long", before)
         for end in ("src", "dst"):
             a = a.join(F.broadcast(dead.withColumnRenamed("node_id", end)) if dead.count() < 500_000 else dead.withColumnRenamed("node_id", end), end, "left").filter("dead is null or batch_id >= dead").drop("dead")
         return a.groupBy("src", "dst").agg(F.max_by("w", "batch_id").alias("w"))

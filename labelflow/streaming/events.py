@@ -10,26 +10,29 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from labelflow.operators.frontier import frontier_update
-from labelflow.operators.graph import SimilarityGraph
-from labelflow.plans.stage import new_path
+from labelflow.operators.graph import SimilarityGraph, arcs_of
+from labelflow.plans.stage import materialise, new_path, release
+from labelflow.sources.store import GraphStore
 from labelflow.sources.tables import read
 
 FILES = 6
 
 
-def staged(spark: SparkSession, sf_dir: str, files: int = FILES, extra: DataFrame | None = None) -> str:
-    """Writes the events as files by rising event time; returns the folder."""
+def staged(spark: SparkSession, sf_dir: str, files: int = FILES, extra: DataFrame | None = None, tardy: str = "false") -> str:
+    """Writes the events as files by rising event time, those for which the condition `tardy` holds in the last; returns the folder."""
     path = new_path(spark, "events")
     e = read(spark, sf_dir, "events").withColumn("ts", F.col("ts").cast("timestamp"))
     if extra is not None:
         e = e.unionByName(extra)
     cuts = e.select(F.col("ts").cast("double").alias("t")).approxQuantile("t", [i / files for i in range(1, files)], 0.001)
+    late = F.expr(f"coalesce({tardy}, false)")
     for i in range(files):
-        part = e
+        part = F.lit(True)
         if i:
-            part = part.filter(F.col("ts").cast("double") > cuts[i - 1])
+            part = part & (F.col("ts").cast("double") > cuts[i - 1])
         if i < files - 1:
-            part = part.filter(F.col("ts").cast("double") <= cuts[i])
+            part = part & (F.col("ts").cast("double") <= cuts[i])
+        part = e.filter(part & ~late if i < files - 1 else part | late)
         part.coalesce(1).write.mode("append").parquet(path)
     return path
 
@@ -73,6 +76,33 @@ def late_changes(events: DataFrame, allowed: str = "1 day") -> DataFrame:
     return events.withWatermark("ts", allowed).groupBy(F.window("ts", "1 day").alias("w")).agg(F.count("*").alias("n")).select(F.col("w.start").alias("day"), "n")
 
 
+def split_late(events: DataFrame, allowed: str = "1 day", out: str | None = None, mark: str | None = None) -> str:
+    """Runs the stream into a folder per micro-batch, each row with `late`: whether its day had closed, that is, ended `allowed` before the
+    newest event of the batches before. Late rows take this side path, none is dropped; rows without a time have no day and are late.
+
+    A batch writes its own folder and the newest time up to it, so a replay after a restart with the same `out` and `mark` overwrites itself."""
+    spark = events.sparkSession
+    out, mark = out or new_path(spark, "late-out"), mark or new_path(spark, "late-log")
+
+    def put(batch: DataFrame, batch_id: int) -> None:
+        newest = spark.read.parquet(f"{out}/newest/batch_id={batch_id - 1}").first().ts if batch_id else None  # one row
+        closes = F.date_trunc("day", "ts") + F.expr(f"INTERVAL 1 DAY + INTERVAL {allowed}")
+        late = F.coalesce(closes <= F.lit(newest), F.col("ts").isNull())
+        batch.withColumn("late", late).write.mode("overwrite").parquet(f"{out}/rows/batch_id={batch_id}")
+        seen = spark.read.schema("ts timestamp").parquet(f"{out}/rows/batch_id={batch_id}")
+        seen.agg(F.greatest(F.max("ts"), F.lit(newest).cast("timestamp")).alias("ts")).write.mode("overwrite").parquet(f"{out}/newest/batch_id={batch_id}")
+
+    events.writeStream.foreachBatch(put).option("checkpointLocation", mark).trigger(availableNow=True).start().awaitTermination()
+    return out
+
+
+def late_corrected(spark: SparkSession, out: str, allowed: str = "1 day") -> DataFrame:
+    """(day, n, n_late) of the closed days of `split_late`: rows that came in time, and those that the side path adds."""
+    newest = spark.read.parquet(f"{out}/newest").agg(F.max("ts")).first()[0]
+    days = spark.read.parquet(f"{out}/rows").groupBy(F.date_trunc("day", "ts").alias("day")).agg(F.count_if(~F.col("late")).alias("n"), F.count_if("late").alias("n_late"))
+    return days.filter(F.col("day") + F.expr(f"INTERVAL 1 DAY + INTERVAL {allowed}") <= F.lit(newest))
+
+
 def deduplicated(events: DataFrame) -> DataFrame:
     if events.isStreaming:
         return events.withWatermark("ts", "40 days").dropDuplicatesWithinWatermark(["event_id"])
@@ -93,27 +123,30 @@ def click_purchase(events: DataFrame) -> DataFrame:
     return c.join(p, F.expr("cu = pu AND pt >= ct AND pt <= ct + INTERVAL 1 HOUR")).select("click_id", "purchase_id", F.col("cu").alias("user_id"))
 
 
-def live_labels(events: DataFrame, truth: DataFrame, delta: float = 1e-3) -> DataFrame:
+def live_labels(events: DataFrame, truth: DataFrame, delta: float = 1e-3, store: GraphStore | None = None, mark: str | None = None) -> DataFrame:
     """Labels of users kept current while events arrive: a user is linked to the (type, day) cells of its events. Each micro-batch is one frontier
-    update; the graph and labels before it are those of the batch before."""
+    update of the graph and labels that the store held before it.
+
+    The store keeps a batch's new nodes, the new totals of the arcs it touched, and the labels as a version named by the batch. With the same
+    `store` and `mark` a restarted stream goes on where it stopped, and a batch that is played again overwrites itself."""
     spark = events.sparkSession
-    held: dict = {"g": SimilarityGraph(spark.createDataFrame([], "node_id long, truth int"), spark.createDataFrame([], "src long, dst long, w long")), "labels": None}
+    store = store or GraphStore(spark)
 
     def cell(df: DataFrame) -> DataFrame:
         key = F.concat_ws("/", "event_type", F.date_trunc("day", "ts").cast("string"))
         return df.groupBy((F.col("user_id") * 2).alias("u"), (F.pmod(F.xxhash64(key), F.lit(1 << 40)) * 2 + 1).alias("v")).agg(F.count("*").alias("w"))
 
     def step(batch: DataFrame, batch_id: int) -> None:
-        from labelflow.plans.stage import materialise
-
         edges = materialise(cell(batch), "stream-edges")
-        ids = edges.select(F.explode(F.array("u", "v")).alias("node_id")).distinct().join(held["g"].nodes.select("node_id"), "node_id", "left_anti")
-        ins = ids.join(truth.select((F.col("user_id") * 2).alias("node_id"), "truth"), "node_id", "left")
-        up = frontier_update(held["g"], held["labels"], ins, edges, tau=0.0, delta=delta)
-        g = up.graph
-        summed = materialise(g.arcs.groupBy("src", "dst").agg(F.sum("w").alias("w")), "stream-arcs")
-        held["g"], held["labels"] = SimilarityGraph(g.nodes, summed), up.run.state
-
-    mark = new_path(spark, "stream-log")
+        nodes, arcs = materialise(store.nodes(batch_id), "stream-nodes"), materialise(store.arcs(batch_id), "stream-arcs")
+        ids = edges.select(F.explode(F.array("u", "v")).alias("node_id")).distinct().join(nodes.select("node_id"), "node_id", "left_anti")
+        ins = materialise(ids.join(truth.select((F.col("user_id") * 2).alias("node_id"), F.col("truth").cast("int").alias("truth")), "node_id", "left"), "stream-ins")
+        up = frontier_update(SimilarityGraph(nodes, arcs), store.state(batch_id - 1) if batch_id else None, ins, edges, tau=0.0, delta=delta)
+        totals = arcs_of(edges).join(arcs.withColumnRenamed("w", "had"), ["src", "dst"], "left").select("src", "dst", (F.col("w") + F.coalesce("had", F.lit(0))).alias("w"))
+        store.append(batch_id, ins, totals)
+        store.commit(batch_id, up.run.state.select("node_id", "f"))
+        release(edges, nodes, arcs, ins)
+
+    mark = mark or new_path(spark, "stream-log")
     events.writeStream.foreachBatch(step).option("checkpointLocation", mark).trigger(availableNow=True).start().awaitTermination()
-    return held["labels"]
+    return store.state()
