@@ -484,7 +484,7 @@ def stream_late_changes(spark, sf_dir):
     return ev.late_corrected(spark, out).select(_plain("day"), (F.col("n") + F.col("n_late")).alias("n"))
 
 
-@query("stream_closed_days")
+@query("stream_closed_days", "SELECT date_trunc('day', ts) AS day, count(*) AS n FROM events GROUP BY 1 HAVING date_trunc('day', ts) + INTERVAL 2 DAY <= (SELECT max(ts) FROM events)")
 def stream_closed_days(spark, sf_dir):
     return ev.finish(ev.late_changes(_stream(spark, sf_dir))).select(_plain("day"), "n")
 
