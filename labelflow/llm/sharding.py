@@ -49,6 +49,7 @@ class Node:
     width: int = 1
     want: float = 0.0
     below: float = 0.0
+    rows: int = 0  # rows between low and high that agree with the cut so far
     open: bool = False
 
 
@@ -110,28 +111,29 @@ def _assign(rows: DataFrame, tree: dict[int, Node], live: list[int]) -> DataFram
 
 
 def _refine(rows: DataFrame, nodes: list[Node], leaf_bytes: float) -> None:
-    """Finds the cuts of all nodes of a level together; a pass narrows every open one by a factor of BINS."""
+    """Finds the cuts of all nodes of a level together; a pass narrows every open one by a factor of BINS, or, once no more
+    than BINS rows are left of it, weighs every value of its own."""
     for _ in range(MOST_PASSES):
         todo = [n for n in nodes if n.open]
         if not todo:
             return
         for n in todo:
-            n.width = max(1, -(-(n.high - n.low + 1) // BINS))
+            n.width = 1 if n.rows <= BINS else max(1, -(-(n.high - n.low + 1) // BINS))
         value = _case(todo, lambda n: F.col(_key(n, len(n.cut))))
         low, width = _case(todo, lambda n: F.lit(n.low)), _case(todo, lambda n: F.lit(n.width))
         inside = _case(todo, lambda n: _prefix(n) & (F.col(_key(n, len(n.cut))) >= n.low) & (F.col(_key(n, len(n.cut))) <= n.high), False)
         bins = rows.filter(F.col("node").isin([n.id for n in todo])).filter(inside).select("node", ((value - low) - F.pmod(value - low, width)).alias("step"), "size")
-        found = bins.groupBy("node", "step").agg(F.sum("size").alias("size")).collect()  # at most BINS rows a node
+        found = bins.groupBy("node", "step").agg(F.sum("size").alias("size"), F.count("*").alias("rows")).collect()  # at most BINS rows a node
         by: dict[int, list] = {}
         for r in found:
-            by.setdefault(r.node, []).append((r.step, r.size))
+            by.setdefault(r.node, []).append((r.step, r.size, r.rows))
         for n in todo:
             total, steps = n.below, sorted(by.get(n.id, []))
             if not steps:
                 n.cut, n.open = [*n.cut, n.low], False
                 continue
-            for step, size in steps:
-                if total + size >= n.want or (step, size) == steps[-1]:
+            for step, size, count in steps:
+                if total + size >= n.want or step == steps[-1][0]:
                     break
                 total += size
             at, stop = n.low + step, n.low + step + n.width - 1
@@ -141,11 +143,11 @@ def _refine(rows: DataFrame, nodes: list[Node], leaf_bytes: float) -> None:
             elif n.want - total <= TOLERANCE * leaf_bytes:
                 n.cut, n.open = [*n.cut, at], False  # the whole bin goes right
             elif not single:
-                n.low, n.high, n.below = at, stop, total
+                n.low, n.high, n.below, n.rows = at, stop, total, count
             elif len(n.cut) == 1 and size <= GROUP_TOLERANCE * leaf_bytes:  # copies of one text, few enough to stay together
                 n.cut, n.open = [*n.cut, at if n.want - total < total + size - n.want else at + 1], False
             elif len(n.cut) < 2:
-                n.cut, n.below = [*n.cut, at], total  # one value: go on by the next tie-breaker
+                n.cut, n.below, n.rows = [*n.cut, at], total, count  # one value: go on by the next tie-breaker
                 n.low, n.high = -(1 << 61), (1 << 61) - 1
             else:
                 n.cut, n.open = [*n.cut, at if n.want - total < total + size - n.want else at + 1], False
@@ -162,7 +164,7 @@ def build_tree(rows: DataFrame, n_dims: int, shards: int) -> dict[int, Node]:
         if not level:
             return tree
         here = _assign(rows, tree, [n.id for n in level])
-        stats = {r.node: r for r in here.groupBy("node").agg(F.sum("size").alias("size"), *[f(c).alias(f"{k}_{c}") for c in names for k, f in (("lo", F.min), ("hi", F.max))]).collect()}
+        stats = {r.node: r for r in here.groupBy("node").agg(F.sum("size").alias("size"), F.count("*").alias("rows"), *[f(c).alias(f"{k}_{c}") for c in names for k, f in (("lo", F.min), ("hi", F.max))]).collect()}
         if span is None:
             root = stats.get(1)
             if root is None:
@@ -176,7 +178,7 @@ def build_tree(rows: DataFrame, n_dims: int, shards: int) -> dict[int, Node]:
             else:
                 n.dim = max(range(n_dims), key=lambda i: (s[f"hi_{names[i]}"] - s[f"lo_{names[i]}"]) / span[i])
                 n.low, n.high = s[f"lo_{names[n.dim]}"], s[f"hi_{names[n.dim]}"]
-                n.want, n.open = s["size"] * (n.leaves // 2) / n.leaves, True
+                n.want, n.rows, n.open = s["size"] * (n.leaves // 2) / n.leaves, s["rows"], True
             left = n.leaves // 2
             tree[2 * n.id] = Node(2 * n.id, n.first, left)
             tree[2 * n.id + 1] = Node(2 * n.id + 1, n.first + left, n.leaves - left)
