@@ -8,9 +8,9 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from labelflow.plans.joins import lookup
-from labelflow.plans.stage import materialise, new_path, release, remove_path, shared_dir, shuffle_cleanup
+from labelflow.plans.stage import arrow_rows, materialise, new_path, release, remove_path, shared_dir, shuffle_cleanup
 
-__all__ = ["ascii_lower", "binary_text", "doc_bucket", "id_column", "join_groups", "materialise", "new_path", "partitions_for", "release", "remove_path", "shared_dir", "shuffle_cleanup", "table"]
+__all__ = ["arrow_rows", "ascii_lower", "binary_text", "doc_bucket", "id_column", "join_groups", "materialise", "new_path", "partitions_for", "release", "remove_path", "shared_dir", "shuffle_cleanup", "table"]
 
 MASK64 = (1 << 64) - 1
 
