@@ -11,7 +11,7 @@ model over that, the number and the sum of significant segments gives the score.
 
 Every token with support is scored; only those whose log-odds pass the tests come to the driver. Bounds, all parameters:
 `calibration_rows` labelled rows for the logistic model, and `most_terms` selected tokens, beyond which training refuses and cuts
-nothing. Up to `shared_terms` candidates the counts of other documents are taken for these alone, beyond that for all tokens, with
+nothing. Up to `shared_terms` candidates the counts of other documents are kept for these alone, beyond that for all tokens, with
 equal results. Counts are over all rows. Defined results: a null or empty text has no segments and gets the score of such texts; a label is toxic if
 any of a document's label rows is; null labels are ignored; without any labelled training row of both kinds every score is
 the smoothed base rate. Other columns pass through untouched.
@@ -156,35 +156,33 @@ def _count_toxic(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     yield out()
 
 
-def _count_other(known: frozenset[bytes] | None):
-    """Per task: documents of each known token, or of each token; and, under the name WORDS, how many words there are."""
+def _count_other(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Per task: documents of each token; and, under the name WORDS, how many words there are. It knows no candidates: their number
+    grows with the corpus, and so would the rows of equal tasks."""
+    held: dict[bytes, int] = {WORDS: 0}
+    cache: dict[bytes, list[bytes]] = {}
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: dict[bytes, int] = {WORDS: 0}
-        cache: dict[bytes, tuple[bytes, ...]] = {}
-        for batch in batches:
-            for raw in batch.column(0).to_pylist():
-                found: set[bytes] = set()
-                words = words_of(raw)
-                held[WORDS] = held.get(WORDS, 0) + len(words)
-                for w in set(words):
-                    t = cache.get(w)
-                    if t is None:
-                        if len(cache) >= CACHE:
-                            cache.clear()
-                        t = cache[w] = tuple(x for x in tokens_of(w) if known is None or x in known)
-                    found.update(t)
-                for t in found:
-                    held[t] = held.get(t, 0) + 1
-                if len(held) >= CACHE:
-                    yield out(held)
-                    held.clear()
-        yield out(held)
-
-    def out(held: dict[bytes, int]) -> pa.RecordBatch:
+    def out() -> pa.RecordBatch:
         return pa.RecordBatch.from_arrays([pa.array(list(held), pa.binary()), pa.array(list(held.values()), pa.int64())], names=["token", "n"])
 
-    return run
+    for batch in batches:
+        for raw in batch.column(0).to_pylist():
+            found: set[bytes] = set()
+            words = words_of(raw)
+            held[WORDS] = held.get(WORDS, 0) + len(words)
+            for w in set(words):
+                t = cache.get(w)
+                if t is None:
+                    if len(cache) >= CACHE:
+                        cache.clear()
+                    t = cache[w] = tokens_of(w)
+                found.update(t)
+            for t in found:
+                held[t] = held.get(t, 0) + 1
+            if len(held) >= CACHE:
+                yield out()
+                held.clear()
+    yield out()
 
 
 def _score_rows(model: ToxicityModel, with_features: bool):
@@ -264,8 +262,10 @@ def train(docs: DataFrame, labels: DataFrame, shared_terms: int = 50_000, most_t
     toxic = labelled.filter("_toxic > 0").select("_raw").mapInArrow(_count_toxic, "token binary, n long, marks long")
     toxic = toxic.groupBy("token").agg(F.sum("n").alias("n"), F.bit_count(F.bit_or("marks")).alias("contexts"))
     found = materialise(toxic.filter((F.col("n") >= support) & (F.col("contexts") >= contexts)).select("token", F.col("n").alias("k")), "toxic-terms")
-    known = frozenset(bytes(r.token) for r in found.select("token").collect()) if found.count() <= shared_terms else None
-    other = labelled.filter("_toxic <= 0").select("_raw").mapInArrow(_count_other(known), "token binary, n long").groupBy("token").agg(F.sum("n").alias("n"))
+    other = labelled.filter("_toxic <= 0").select("_raw").mapInArrow(_count_other, "token binary, n long").groupBy("token").agg(F.sum("n").alias("n"))
+    if found.count() <= shared_terms:
+        wanted = found.select("token").union(docs.sparkSession.range(1).select(F.lit(WORDS).alias("token")))
+        other = other.join(F.broadcast(wanted), "token", "left_semi")
     other = materialise(other, "other-terms")
     n_words = float(max(1, other.filter(F.col("token") == F.lit(WORDS)).agg(F.sum("n")).first()[0] or 0))
     both = found.join(other, "token", "left").select("token", "k", F.coalesce("n", F.lit(0)).alias("n"))
