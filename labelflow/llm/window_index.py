@@ -76,6 +76,12 @@ def window_digests(words: list[bytes], starts: np.ndarray, width: int) -> np.nda
     return np.frombuffer(flat, np.uint64).reshape(-1, 2)
 
 
+def of_source(digests: np.ndarray, sources: np.ndarray) -> np.ndarray:
+    """Digests of words as a source has them: equal for equal words and source; others are equal with a chance of 2^-128 as before."""
+    s = sources.view(np.uint64)
+    return digests ^ np.column_stack([_mix(s), _mix(s + _FACTORS[0])])
+
+
 def settle(h: np.ndarray, d: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """Distinct sorted hashes with their smallest document; and the rows (as indices) that a smaller document beats, with that document."""
     if not len(h):
@@ -305,7 +311,8 @@ class WindowIndex:
         self.runs = []
 
 
-WORK = "bucket int, kind int, source_base long, hashes binary, sources binary, digests binary"
+#: Questions, with their hashes, and answers, without: a digest tells both the words, and so the hash, and the source.
+WORK = "bucket int, hashes binary, digests binary"
 WANTED = "part int, hashes binary, sources binary"
 
 
@@ -351,17 +358,13 @@ def _digests(width: int, buckets: int, bits: int):
     """Of documents with flags and wanted hashes: by bucket, the digests that are asked of sources and those that answer, each once a batch."""
     edges = bucket_edges(buckets)
 
-    def out(kind: int, parts: list[tuple[np.ndarray, ...]]) -> list[tuple]:
+    def out(asked: bool, parts: list[tuple[np.ndarray, ...]]) -> list[tuple]:
         h, s, g = (np.concatenate(c) for c in zip(*parts, strict=True))
-        g1, g0, s, h = _distinct(g[:, 1], g[:, 0], s, h)
+        g = of_source(g, s)
+        g1, g0, h = _distinct(g[:, 1], g[:, 0], h)
         g = np.column_stack([g0, g1])
         cuts = np.concatenate(([0], np.searchsorted(h, edges), [len(h)])).tolist()
-        rows = []
-        for b, (x, y) in enumerate(zip(cuts[:-1], cuts[1:], strict=True)):
-            if y > x:
-                base, sources = _narrow(s[x:y])
-                rows.append((b, kind, base, h[x:y].tobytes(), sources, g[x:y].tobytes()))
-        return rows
+        return [(b, h[x:y].tobytes() if asked else None, g[x:y].tobytes()) for b, (x, y) in enumerate(zip(cuts[:-1], cuts[1:], strict=True)) if y > x]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -382,7 +385,7 @@ def _digests(width: int, buckets: int, bits: int):
                 if asked:
                     at = np.flatnonzero(np.isin(h, np.concatenate(asked)))
                     answers.append((h[at], np.full(len(at), doc, np.int64), g[at]))
-            rows = [r for kind, parts in ((0, asks), (1, answers)) if parts for r in out(kind, parts)]
+            rows = [r for asked, parts in ((True, asks), (False, answers)) if parts for r in out(asked, parts)]
             if rows:
                 yield _arrow(rows, WORK)
 
@@ -391,25 +394,26 @@ def _digests(width: int, buckets: int, bits: int):
 
 def _confirm(key: tuple, group: pa.Table) -> pa.Table:
     """Of a bucket: the hashes with a match whose source does not have these words."""
-    parts: tuple[list, list] = ([], [])
-    for kind, base, rh, rs, rg in zip(*(group[c].to_pylist() for c in ("kind", "source_base", "hashes", "sources", "digests")), strict=True):
-        h = np.frombuffer(rh, np.uint64)
-        parts[kind].append((h, _widen(base, rs, len(h)), np.frombuffer(rg, np.uint64).reshape(-1, 2)))
-    if not parts[0]:
+    asks, answers = [], []
+    for rh, rg in zip(*(group[c].to_pylist() for c in ("hashes", "digests")), strict=True):
+        g = np.frombuffer(rg, np.uint64).reshape(-1, 2)
+        if rh is None:
+            answers.append(g)
+        else:
+            asks.append((np.frombuffer(rh, np.uint64), g))
+    if not asks:
         return pa.Table.from_batches([_arrow([], "hashes binary")])
-    h, s, g = (np.concatenate(c) for c in zip(*parts[0], strict=True))
+    h, g = (np.concatenate(c) for c in zip(*asks, strict=True))
     same = np.zeros(len(h), bool)
-    if parts[1]:
-        ah, at_doc, ag = (np.concatenate(c) for c in zip(*parts[1], strict=True))
-        order = np.argsort(names := ah ^ _mix(at_doc.view(np.uint64)))
-        names, ah, at_doc, ag = names[order], ah[order], at_doc[order], ag[order]
-        mine = h ^ _mix(s.view(np.uint64))
+    if answers:
+        ag = np.concatenate(answers)
+        ag = ag[np.argsort(ag[:, 0])]
+        names, mine = np.ascontiguousarray(ag[:, 0]), g[:, 0]
         low = np.searchsorted(names, mine)
         todo = np.flatnonzero(low < len(names))
         while len(todo):
             todo = todo[names[low[todo]] == mine[todo]]
-            at = low[todo]
-            hit = (ah[at] == h[todo]) & (at_doc[at] == s[todo]) & (ag[at] == g[todo]).all(axis=1)
+            hit = ag[low[todo], 1] == g[todo, 1]
             same[todo[hit]] = True
             todo = todo[~hit]
             low[todo] += 1

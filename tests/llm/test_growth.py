@@ -58,3 +58,22 @@ def test_long_sets_that_differ_are_parted_before_they_travel():
     assert 9 * np.bitwise_count(wide[0] ^ wide[1]).sum(dtype=np.int64) <= 12_000
     assert [(r["u"], r["v"]) for out in near_copies._tall_alike(iter([pairs])) for r in out.to_pylist()] == [(1, 3)]
     assert (near_copies.folded(np.frombuffer(tall[1], np.int64), near_copies.WIDE // 64) == wide[0]).all()
+
+
+def test_answers_carry_digests_alone_and_still_part_sources():
+    """An answer takes 16 bytes a window and a question 24; the words of another source, or other words of the source, confirm nothing."""
+    words = [f"w{k}".encode() for k in range(14)]
+    h = window_index.window_hashes(window_index.word_hashes(words), 13)
+    ask = lambda source: [{"hashes": h.tobytes(), "sources": np.full(len(h), source).tobytes()}]
+    answer = [{"hashes": h.tobytes(), "sources": None}]
+    text = b" ".join(words)
+
+    def odd(*docs) -> list[bytes]:
+        one = pa.RecordBatch.from_pylist([{"key": i, "raw": raw, "work": work} for i, raw, work in docs])
+        rows = pa.Table.from_batches(list(window_index._digests(13, 1, 64)(iter([one]))))
+        assert sum(len(r["hashes"] or b"") + len(r["digests"]) for r in rows.to_pylist()) == sum((24 if work is not answer else 16) * len(h) for _, raw, work in docs if raw == text)
+        return [r["hashes"] for r in window_index._confirm((pa.scalar(0),), rows).to_pylist()]
+
+    assert odd((5, text, ask(3)), (3, text, answer)) == []
+    assert odd((5, text, ask(3)), (4, text, answer)) == [np.sort(h).tobytes()]
+    assert odd((5, text, ask(3)), (3, b" ".join(words[::-1]), answer)) == [np.sort(h).tobytes()]
