@@ -10,7 +10,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from labelflow.plans.joins import lookup
+from labelflow.plans.joins import BROADCAST_ROWS, lookup, salts_for
+from labelflow.plans.packed import Packed, components, run_packed
 from labelflow.plans.stage import materialise, release
 
 MAX_ROUNDS = 200
@@ -96,8 +97,9 @@ def contract(edges: DataFrame) -> DataFrame:
         best = both.groupBy("u").agg(F.min(rank("v")).alias("far"), F.min(rank("u")).alias("own"))
         move = materialise(best.select("u", F.least("far", "own")["id"].alias("to")), "cc-move")
         moves.append(move)
-        left = lookup(e, move, ["u"], "inner", "v").select(F.col("to").alias("a"), "v")
-        ends = lookup(left, move.select(F.col("u").alias("v"), F.col("to").alias("b")), ["v"], "inner", "a")
+        salts = salts_for(e, "u", "v") if move.count() > BROADCAST_ROWS else 1  # a side that is broadcast needs none
+        left = lookup(e, move, ["u"], "inner", "v", salts=salts).select(F.col("to").alias("a"), "v")
+        ends = lookup(left, move.select(F.col("u").alias("v"), F.col("to").alias("b")), ["v"], "inner", "a", salts=salts)
         after = materialise(ends.filter("a != b").select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).distinct(), "cc-edges")
         release(e)
         e = after
@@ -106,9 +108,11 @@ def contract(edges: DataFrame) -> DataFrame:
     total = moves[-1]
     for move in reversed(moves[:-1]):  # where a node's place moved on to, or the place itself
         onward = total.select(F.col("u").alias("to"), F.col("to").alias("top"))
-        total = materialise(lookup(move, onward, ["to"], "left", "u").select("u", F.coalesce("top", "to").alias("to")), "cc-total")
+        salts = salts_for(move, "to") if onward.count() > BROADCAST_ROWS else 1
+        total = materialise(lookup(move, onward, ["to"], "left", "u", salts=salts).select("u", F.coalesce("top", "to").alias("to")), "cc-total")
     least = materialise(total.groupBy("to").agg(F.min("u").alias("comp_id")), "cc-least")
-    out = materialise(lookup(total, least, ["to"], "inner", "u").select(F.col("u").alias("node_id"), "comp_id"), "components")
+    salts = salts_for(total, "to") if least.count() > BROADCAST_ROWS else 1
+    out = materialise(lookup(total, least, ["to"], "inner", "u", salts=salts).select(F.col("u").alias("node_id"), "comp_id"), "components")
     release(all_ids, least, *moves)
     return out
 
@@ -146,11 +150,19 @@ def one_task(edges: DataFrame) -> DataFrame:
 METHODS = {"hook_jump": hook_jump, "stars": stars, "contract": contract, "one_task": one_task}
 
 
-def connected_components(edges: DataFrame, nodes: DataFrame | None = None, method: str = "auto") -> DataFrame:
-    """(node_id, comp_id = smallest id of the component). `nodes` adds those without edges.
+def packed_task(packed: Packed) -> DataFrame:
+    """All components in one task on the packed layout, which holds more edges than one_task can."""
+    return run_packed(packed, packed.places.select("node_id"), lambda rows, _: pa.table({"node_id": rows.ids, "comp_id": components(rows)}), "node_id long, comp_id long", "components")
 
-    `auto` counts the edges: up to ONE_TASK_EDGES one task labels them, beyond that the graph is contracted by distributed rounds."""
+
+def connected_components(edges: DataFrame, nodes: DataFrame | None = None, method: str = "auto", packed: Packed | None = None) -> DataFrame:
+    """(node_id, comp_id = smallest id of the component). `nodes` adds those without edges; `packed` holds both packed.
+
+    `auto` takes the packed graph, else counts the edges: up to ONE_TASK_EDGES one task labels them, beyond that the graph is contracted by
+    distributed rounds."""
     if method == "auto":
+        if packed is not None:
+            return packed_task(packed)
         edges = materialise(edges.select("u", "v"), "cc-input")
         method = "one_task" if edges.count() <= ONE_TASK_EDGES else "contract"
     return _with_isolated(METHODS[method](edges), nodes)

@@ -6,11 +6,15 @@ task whose input is bounded by the caller.
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
 
 SCALE = 1_000_000_000
 #: Moves too small to accelerate.
 FEW_UNITS = 16
+#: Arcs that a kernel spreads out at once.
+PIECE = 2_000_000
 
 
 class Rows:
@@ -25,6 +29,22 @@ class Rows:
         self.dst, self.w = d[by], w[by]
         self.at = np.searchsorted(s[by], np.arange(len(self.ids) + 1))
 
+    @classmethod
+    def packed(cls, ids: np.ndarray, at: np.ndarray, dst: np.ndarray, w: np.ndarray) -> Rows:
+        """From a layout that is there: ids in the order of their places, row bounds, far places and weights."""
+        rows = cls.__new__(cls)
+        rows.ids, rows.order, rows.at, rows.dst, rows.w = ids, np.arange(len(ids)), at, dst, w
+        return rows
+
+    def pieces(self, nodes: np.ndarray) -> Iterator[tuple[int, int]]:
+        """Bounds of runs of the nodes, each of at most PIECE arcs or one node."""
+        ends = np.cumsum(self.at[nodes + 1] - self.at[nodes])
+        a = 0
+        while a < len(nodes):
+            b = max(a + 1, int(np.searchsorted(ends, (ends[a - 1] if a else 0) + PIECE, "right")))
+            yield a, b
+            a = b
+
     def spread(self, nodes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Arc places of the nodes' rows, and where each node's run starts among them."""
         size = self.at[nodes + 1] - self.at[nodes]
@@ -33,13 +53,25 @@ class Rows:
         places = np.arange(int(ends[-1]) if len(ends) else 0) - np.repeat(starts, size) + np.repeat(self.at[nodes], size)
         return places, starts
 
+    def weighted(self, x: np.ndarray) -> np.ndarray:
+        """Sums of a vector of doubles over each node's neighbours by weight."""
+        out = np.zeros(len(self.ids))
+        for a, b in self.pieces(np.arange(len(self.ids))):
+            lo, hi = self.at[a], self.at[b]
+            if hi > lo:
+                full = np.flatnonzero(self.at[a + 1 : b + 1] > self.at[a:b])
+                out[a + full] = np.add.reduceat(self.w[lo:hi] * x[self.dst[lo:hi]], self.at[a:b][full] - lo)
+        return out
+
     def sums(self, nodes: np.ndarray, f: np.ndarray) -> np.ndarray:
         """Weighted neighbour labels of each node."""
-        places, starts = self.spread(nodes)
         out = np.zeros(len(nodes), np.int64)
-        if len(places):
-            full = self.at[nodes + 1] > self.at[nodes]
-            out[full] = np.add.reduceat(self.w[places] * f[self.dst[places]], starts[full])
+        for a, b in self.pieces(nodes):
+            part = nodes[a:b]
+            places, starts = self.spread(part)
+            if len(places):
+                full = self.at[part + 1] > self.at[part]
+                out[a:b][full] = np.add.reduceat(self.w[places] * f[self.dst[places]], starts[full])
         return out
 
 
@@ -79,8 +111,9 @@ def frontier_steps(rows: Rows, f: np.ndarray, w1: np.ndarray, w_all: np.ndarray,
         steps.append((len(live), len(moved), touched, top))
         hot[:] = False
         hot[moved] = True
-        places, _ = rows.spread(moved)
-        hot[rows.dst[places]] = True
+        for a, b in rows.pieces(moved):
+            places, _ = rows.spread(moved[a:b])
+            hot[rows.dst[places]] = True
     return steps
 
 
